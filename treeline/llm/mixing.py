@@ -40,7 +40,8 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MO
     every = Window.partitionBy()
     x = x.withColumn("total", F.sum("source_size").over(every) * F.lit(float(share)))
     x = x.withColumn("level", (F.col("total") - F.coalesce(F.sum("limit").over(ahead), F.lit(0))) / F.sum("w").over(rest))
-    x = x.withColumn("level", F.min(F.when(F.col("level") < F.col("full_at"), F.col("level"))).over(every))
+    x = x.withColumn("first", F.struct(F.row_number().over(order).alias("at"), "level"))  # the first below its own stop
+    x = x.withColumn("level", F.min(F.when(F.col("level") < F.col("full_at"), F.col("first"))).over(every)["level"])
     target = F.when(F.col("level").isNull(), F.col("limit").cast("double")).otherwise(F.least(F.col("limit").cast("double"), F.col("level") * F.col("w")))
     return x.select("source", "source_size", "rows", target.alias("target"))
 
