@@ -2,8 +2,9 @@
 
 Documents with one shingle set are one class; only classes are hashed, banded and compared. A bucket's classes are
 paired with the bucket's leader, not with each other. After the links found so become components, only members of
-different components in a bucket are still open; new leaders reduce these round by round, and when few pairs are
-left they are compared one by one. So no bucket is capped and no link between components is lost.
+different components in a bucket are still open; a second leader reduces these further. What is left is compared
+in full: pair by pair in buckets of a few members, and block by block, in tasks that put out links only, in large
+ones. So no bucket is capped and no link between components is lost.
 """
 
 from __future__ import annotations
@@ -26,8 +27,8 @@ N_HASHES, BANDS = 128, 32
 #: Pairs whose signatures agree in a smaller share than threshold - SLACK are not looked at again; with 128 minima
 #: an estimate falls so far short of the truth once in about 1e8 pairs.
 SLACK = 0.2
-#: One-by-one comparison starts when the open pairs are at most this many times the classes, or after MAX_ROUNDS.
-OPEN_PER_CLASS, MAX_ROUNDS = 1.0, 4
+#: Rounds of leaders before the rest is compared; buckets up to SMALL classes by pairs, others in blocks of BLOCK.
+ROUNDS, SMALL, BLOCK = 2, 24, 512
 BITMAP_BITS = 1 << 26
 
 
@@ -55,45 +56,30 @@ def _class_rows(k: int, sign: bool):
     return run
 
 
-def _set_rows(k: int, bits: np.ndarray):
-    """cls, shingles (packed hashes) of texts whose class may be asked for."""
+def _set_rows(k: int, sent):
+    """cls, shingles (packed hashes) of texts whose rows may be asked for."""
 
     def run(batches):
         for batch in batches:
+            ids = np.asarray(batch.column("doc_id").fill_null(0)) % BITMAP_BITS
+            batch = batch.filter(pa.array((sent.value[ids >> 3] >> (ids & 7).astype(np.uint8) & 1).astype(bool)))
             held, keys, out = 0, [], []
-            ids = batch.column("doc_id").to_pylist()
-            for lo, data, offsets in K.chunks(batch.column("text")):
-                for i, s in enumerate(K.shingle_sets(K.Words(data, offsets), k)):
-                    if len(s) and wanted(bits, key := K.set_key(s), ids[lo + i]):
-                        keys.append(key)
-                        out.append(s.tobytes())
-                        held += 8 * len(s)
-                        if held > 8_000_000:
-                            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(out, pa.binary())], ["cls", "shingles"])
-                            held, keys, out = 0, [], []
+            for _, data, offsets in K.chunks(batch.column("text")):
+                for s in K.shingle_sets(K.Words(data, offsets), k):
+                    keys.append(K.set_key(s))
+                    out.append(s.tobytes())
+                    held += 8 * len(s)
+                    if held > 8_000_000:
+                        yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(out, pa.binary())], ["cls", "shingles"])
+                        held, keys, out = 0, [], []
             yield pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(out, pa.binary())], ["cls", "shingles"])
 
     return run
 
 
-def slot(key: bytes, doc_id) -> int:
-    """Bitmap place of a class and its representative's doc_id; _slot is the same in Spark."""
-    return (int.from_bytes(key[:7], "big") + (doc_id or 0) % BITMAP_BITS) % BITMAP_BITS
-
-
-def wanted(bits: np.ndarray, key: bytes, doc_id) -> bool:
-    at = slot(key, doc_id)
-    return bool(bits[at >> 3] >> (at & 7) & 1)
-
-
-def _slot(cls: Column, rep: Column) -> Column:
-    high = F.conv(F.substring(F.hex(cls), 1, 14), 16, 10).cast("bigint")
-    return (high + F.pmod(F.coalesce(rep, F.lit(0)), F.lit(BITMAP_BITS))) % BITMAP_BITS
-
-
 def bitmap(asked: DataFrame) -> np.ndarray:
-    """A bitmap of fixed size (8 MB) of the representatives asked for: cls, rep. Misses none, may admit others."""
-    at = asked.select((_slot(F.col("cls"), F.col("rep")) + 1).alias("at"))  # positions from 1 fall into buckets from 1
+    """A bitmap of fixed size (8 MB) of the doc_ids in column rep. Misses none, may admit others."""
+    at = asked.select((F.pmod(F.coalesce("rep", F.lit(0)), F.lit(BITMAP_BITS)) + 1).alias("at"))  # positions from 1 fall into buckets from 1
     rows = at.groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
     out = np.zeros(BITMAP_BITS // 8, np.uint8)
     for bucket, part in rows.toLocalIterator():
@@ -154,7 +140,7 @@ def near_duplicates(docs: DataFrame, k: int = 4, percent: int = 80) -> DataFrame
     classes = stored(classes, "classes")
     links = _links(spark, base, classes, k, percent)
     size = rows.select("doc_id", "cls", "n_shingles")
-    if links is None:
+    if links is None or links.isEmpty():
         whole = classes.select("cls", F.col("rep").alias("component_id"))
     else:
         roots = stored(components(links), "roots")
@@ -171,63 +157,160 @@ def near_duplicates(docs: DataFrame, k: int = 4, percent: int = 80) -> DataFrame
 
 def _links(spark: SparkSession, docs: DataFrame, classes: DataFrame, k: int, percent: int) -> DataFrame | None:
     """a, b: links that connect what the full set of links connects; None where no two classes share a bucket."""
-    banded = classes.select("cls", "n", F.explode(_band_keys(F.col("sig"))).alias("bucket"))
+    banded = classes.select("cls", "n", F.posexplode(_band_keys(F.col("sig"))).alias("band", "bucket"))
     shared = banded.groupBy("bucket").agg(F.count("*").alias("c")).where("c > 1").select("bucket")
     banded = stored(banded.join(shared, "bucket"), "banded")
-    if banded.isEmpty():
-        return None
-    n_classes = classes.count()
-    links, roots, done = None, None, None
-    for turn in range(MAX_ROUNDS + 1):
-        pairs, last = _open_pairs(banded, roots, turn, percent, n_classes)
-        pairs = pairs.distinct()
-        if done is not None:
-            pairs = pairs.join(done, ["a", "b"], "left_anti")
-        pairs = stored(pairs, "pairs")
+    links, members = None, banded.withColumn("root", F.col("cls"))
+    for turn in range(ROUNDS):
+        pairs = stored(_leader_pairs(members, turn, percent).distinct(), "pairs")
         if pairs.isEmpty():
-            if last or turn >= MAX_ROUNDS:
-                break
-            continue
-        done = pairs if done is None else done.union(pairs)
-        found = stored(_confirmed(spark, docs, classes, pairs, k, percent), "found")
+            return links
+        likely = stored(_likely(classes, pairs, percent), "likely")
+        found = stored(_confirmed(likely, _sets(docs, classes, likely, k), percent), "found")
         links = found if links is None else stored(links.union(found), "links")
-        if last:
-            break
-        roots = stored(components(links), "roots") if not links.isEmpty() else None
-    return None if links is None or links.isEmpty() else links
+        if not links.isEmpty():
+            roots = stored(components(links).select(F.col("node").alias("cls"), "root"), "roots")
+            members = banded.join(roots, "cls", "left").withColumn("root", F.coalesce("root", "cls"))
+        members = stored(_still_open(members), "open")
+    if members.isEmpty():
+        return links
+    pairs = stored(_small_pairs(members, percent).distinct(), "pairs")
+    likely = stored(_likely(classes, pairs, percent), "likely")
+    blocks = stored(_near_in_blocks(members, classes, percent), "blocks")
+    asked = likely.union(blocks.select(F.col("cls").alias("a"), F.col("cls").alias("b")))
+    sets = _sets(docs, classes, asked, k)
+    in_blocks = blocks.join(sets, "cls").groupBy("bucket", "block", "part").applyInArrow(_linked_in_block(percent), "a binary, b binary")
+    return links.union(stored(_confirmed(likely, sets, percent).union(in_blocks), "found"))
 
 
-def _open_pairs(banded: DataFrame, roots: DataFrame | None, turn: int, percent: int, n_classes: int) -> tuple[DataFrame, bool]:
-    """Pairs to look at in this turn, and whether they are all that is left."""
-    if roots is None:
-        members = banded.withColumn("root", F.col("cls"))
-    else:
-        members = banded.join(roots.withColumnRenamed("node", "cls"), "cls", "left").withColumn("root", F.coalesce("root", "cls"))
-    split = members.groupBy("bucket", "root").agg(F.count("*").alias("m")).groupBy("bucket").agg(F.sum("m").alias("s"), F.sum(F.col("m") * F.col("m")).alias("q"), F.count("*").alias("parts"))
-    mixed = stored(split.where("parts > 1"), "mixed")
-    still = mixed.agg(F.sum((F.col("s") * F.col("s") - F.col("q")) / 2)).first()[0] or 0
-    members = members.join(mixed.select("bucket"), "bucket")
-    close = F.least("n", "n2") * 100 >= percent * F.greatest("n", "n2")
-    if (turn and still <= OPEN_PER_CLASS * n_classes) or turn >= MAX_ROUNDS:
-        other = members.select("bucket", F.col("cls").alias("cls2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
-        pairs = members.join(other, "bucket").where("root < root2").where(close)
-        return pairs.select(F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b")), True
+def _still_open(members: DataFrame) -> DataFrame:
+    """Members of buckets that hold several components, with m, q and top: the bucket's members, those outside its
+    largest component, and that component's root."""
+    parts = members.groupBy("bucket", "root").agg(F.count("*").alias("c"))
+    parts = parts.groupBy("bucket").agg(F.sum("c").alias("m"), F.count("*").alias("parts"), F.max(F.struct("c", "root")).alias("top"))
+    parts = parts.where("parts > 1").select("bucket", "m", (F.col("m") - F.col("top.c")).alias("q"), F.col("top.root").alias("top"))
+    return members.select("bucket", "band", "cls", "n", "root").join(parts, "bucket")
+
+
+def _close(percent: int) -> Column:
+    return F.least("n", "n2") * 100 >= percent * F.greatest("n", "n2")
+
+
+def _pair() -> list[Column]:
+    return [F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b")]
+
+
+def _leader_pairs(members: DataFrame, turn: int, percent: int) -> DataFrame:
     lead = members.groupBy("bucket").agg(F.min(F.struct(F.xxhash64("cls", F.lit(turn)), "cls", "n", "root")).alias("l"))
     lead = lead.select("bucket", F.col("l.cls").alias("cls2"), F.col("l.n").alias("n2"), F.col("l.root").alias("root2"))
-    pairs = members.join(lead, "bucket").where("root <> root2").where(close)
-    return pairs.select(F.least("cls", "cls2").alias("a"), F.greatest("cls", "cls2").alias("b")), False
+    return members.join(lead, "bucket").where("root <> root2").where(_close(percent)).select(*_pair())
 
 
-def _confirmed(spark: SparkSession, docs: DataFrame, classes: DataFrame, pairs: DataFrame, k: int, percent: int) -> DataFrame:
-    """The pairs (a, b) that are links: first by their signatures, then by their full sets."""
+def _small_pairs(members: DataFrame, percent: int) -> DataFrame:
+    """Pairs of different components in buckets of at most SMALL members: SMALL / 2 for each member at most."""
+    few = members.where(F.col("m") <= SMALL)
+    other = few.select("bucket", F.col("cls").alias("cls2"), F.col("n").alias("n2"), F.col("root").alias("root2"))
+    return few.join(other, "bucket").where("root < root2").where(_close(percent)).select(*_pair())
+
+
+def _near_in_blocks(members: DataFrame, classes: DataFrame, percent: int) -> DataFrame:
+    """bucket, block, part, asks, cls, root: members of large buckets that may have a link to another component.
+
+    Every member outside a bucket's largest component asks; askers are cut into parts, members into blocks, and each
+    part meets each block in a task of its own, by signature. A pair is looked at in the first band it shares.
+    """
+    many = members.where(F.col("m") > SMALL).join(classes.select("cls", "sig"), "cls")
+    many = many.withColumn("blocks", F.ceil(F.col("m") / BLOCK)).withColumn("parts", F.ceil(F.col("q") / BLOCK))
+    keys = ["bucket", "block", "part"]
+    every = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+    cols = ["band", "cls", "n", "root", "sig"]
+    data = many.withColumn("block", F.pmod(F.xxhash64("cls"), F.col("blocks"))).withColumn("part", every("parts")).select(*keys, *cols)
+    asks = many.where("root <> top").withColumn("part", F.pmod(F.xxhash64("cls", F.lit(3)), F.col("parts"))).withColumn("block", every("blocks")).select(*keys, *cols)
+    asks = asks.toDF(*keys, *cols)
+    ddl = "bucket bigint, block bigint, part bigint, asks boolean, cls binary, root binary"
+    return asks.groupBy(*keys).cogroup(data.groupBy(*keys)).applyInArrow(_near_block(percent), ddl)
+
+
+def _signatures(t: pa.Table) -> np.ndarray:
+    return np.frombuffer(b"".join(t["sig"].to_pylist()), np.uint32).reshape(len(t), -1)
+
+
+def _near_block(percent: int):
+    width = N_HASHES // BANDS
+
+    def run(asks: pa.Table, data: pa.Table) -> pa.Table:
+        keep_a, keep_d = np.zeros(len(asks), bool), np.zeros(len(data), bool)
+        if len(asks) and len(data):
+            band = asks["band"][0].as_py()
+            sig_a, sig_d = _signatures(asks), _signatures(data)
+            root_d, n_d = np.array(data["root"].to_pylist(), object), data["n"].to_numpy()
+            for i, (root, n) in enumerate(zip(asks["root"].to_pylist(), asks["n"].to_pylist(), strict=True)):
+                same = sig_d == sig_a[i]
+                ok = (same.mean(axis=1) >= percent / 100 - SLACK) & (root_d != root)
+                ok &= np.minimum(n, n_d) * 100 >= percent * np.maximum(n, n_d)
+                if band and ok.any():
+                    ok &= ~same[:, : band * width].reshape(len(data), band, width).all(axis=2).any(axis=1)
+                keep_a[i] = ok.any()
+                keep_d |= ok
+        out = []
+        for t, keep, side in ((asks, keep_a, True), (data, keep_d, False)):
+            t = t.filter(pa.array(keep)) if len(t) else t
+            t = t.append_column("asks", pa.array([side] * len(t), pa.bool_()))
+            out.append(t.select(["bucket", "block", "part", "asks", "cls", "root"]))
+        return pa.concat_tables(out)
+
+    return run
+
+
+def _linked_in_block(percent: int):
+    """For each asker one link to each other component that it is linked with in this block."""
+
+    def run(t: pa.Table) -> pa.Table:
+        sides = t["asks"].to_pylist()
+        cls, root, sets = t["cls"].to_pylist(), t["root"].to_pylist(), [np.frombuffer(x, np.uint64) for x in t["shingles"].to_pylist()]
+        data = [i for i, s in enumerate(sides) if not s]
+        out: list = [[], []]
+        if data:
+            size = np.array([len(sets[i]) for i in data])
+            values = np.concatenate([sets[i] for i in data])
+            owner = np.repeat(np.arange(len(data)), size)
+            order = np.argsort(values, kind="stable")
+            values, owner = values[order], owner[order]
+            for i in (i for i, s in enumerate(sides) if s):
+                x = sets[i]
+                lo, hi = np.searchsorted(values, x, "left"), np.searchsorted(values, x, "right")
+                c = hi - lo
+                at = np.arange(c.sum()) + np.repeat(lo - (np.cumsum(c) - c), c)
+                both = np.bincount(owner[at], minlength=len(data))
+                seen = {root[i]}
+                for j in np.flatnonzero(100 * both >= percent * (len(x) + size - both)):
+                    d = data[j]
+                    if root[d] not in seen:
+                        seen.add(root[d])
+                        out[0].append(min(cls[i], cls[d]))
+                        out[1].append(max(cls[i], cls[d]))
+        return pa.table({"a": pa.array(out[0], pa.binary()), "b": pa.array(out[1], pa.binary())})
+
+    return run
+
+
+def _likely(classes: DataFrame, pairs: DataFrame, percent: int) -> DataFrame:
     sig = classes.select("cls", "sig")
     signed = pairs.join(sig.toDF("a", "sig_a"), "a").join(sig.toDF("b", "sig_b"), "b")
-    likely = stored(signed.mapInArrow(_agreeing(percent / 100 - SLACK), "a binary, b binary"), "likely")
-    asked = likely.select(F.col("a").alias("cls")).union(likely.select(F.col("b").alias("cls"))).distinct()
+    return signed.mapInArrow(_agreeing(percent / 100 - SLACK), "a binary, b binary")
+
+
+def _sets(docs: DataFrame, classes: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
+    """cls, shingles of the classes in pairs, made from the texts of their representatives."""
+    asked = pairs.select(F.col("a").alias("cls")).union(pairs.select(F.col("b").alias("cls"))).distinct()
     asked = stored(asked.join(classes.select("cls", "rep"), "cls"), "asked")
-    bits = bitmap(asked)
-    sets = docs.mapInArrow(_set_rows(k, bits), "cls binary, shingles binary").join(asked.select("cls"), "cls", "left_semi")
-    sets = stored(sets.groupBy("cls").agg(F.any_value("shingles").alias("shingles")), "sets")
+    sent = docs.sparkSession.sparkContext.broadcast(bitmap(asked))
+    sets = docs.mapInArrow(_set_rows(k, sent), "cls binary, shingles binary").join(asked.select("cls"), "cls", "left_semi")
+    return stored(sets.groupBy("cls").agg(F.any_value("shingles").alias("shingles")), "sets")
+
+
+def _confirmed(likely: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """The pairs (a, b) that are links by their full sets."""
     full = likely.join(sets.toDF("a", "set_a"), "a").join(sets.toDF("b", "set_b"), "b")
     return full.mapInArrow(_linked(percent), "a binary, b binary")
 

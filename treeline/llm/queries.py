@@ -2,12 +2,21 @@
 
 from __future__ import annotations
 
+from .decontaminate import op6_decontaminate
+from .knn import OP10_SQL, op10_top_products
+from .licenses import op7_licenses
+from .mixing import op1_mix
 from .near_dedup import op4_near_dedup
+from .toxicity import op2_toxicity
+from .warc import OP3_SQL, op3_warc
 
 
 def queries() -> dict:
-    return {"op4_near_dedup": op4_near_dedup}
+    return {
+        f.__name__: f
+        for f in (op1_mix, op2_toxicity, op3_warc, op4_near_dedup, op6_decontaminate, op7_licenses, op10_top_products)
+    }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op3_warc": OP3_SQL, "op10_top_products": OP10_SQL}
