@@ -2,7 +2,7 @@
 
 Documents with one shingle set are one class; only classes are hashed, banded and compared. A bucket's classes are
 paired with the bucket's leader, not with each other. After the links found so become components, only members of
-different components in a bucket are still open; a second leader reduces these further. What is left is compared
+different components in a bucket are still open (further rounds of leaders reduce these). What is left is compared
 in full: pair by pair in buckets of a few members, and block by block, in tasks that put out links only, in large
 ones. So no bucket is capped and no link between components is lost.
 """
@@ -28,7 +28,7 @@ N_HASHES, BANDS = 128, 32
 #: an estimate falls so far short of the truth once in about 1e8 pairs.
 SLACK = 0.2
 #: Rounds of leaders before the rest is compared; buckets up to SMALL classes by pairs, others in blocks of BLOCK.
-ROUNDS, SMALL, BLOCK = 2, 24, 512
+ROUNDS, SMALL, BLOCK = 1, 24, 512
 BITMAP_BITS = 1 << 26
 
 
@@ -80,9 +80,10 @@ def _set_rows(k: int, sent):
 def bitmap(asked: DataFrame) -> np.ndarray:
     """A bitmap of fixed size (8 MB) of the doc_ids in column rep. Misses none, may admit others."""
     at = asked.select((F.pmod(F.coalesce("rep", F.lit(0)), F.lit(BITMAP_BITS)) + 1).alias("at"))  # positions from 1 fall into buckets from 1
+    # at most BITMAP_BITS / 32768 rows of 4 KB
     rows = at.groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
     out = np.zeros(BITMAP_BITS // 8, np.uint8)
-    for bucket, part in rows.toLocalIterator():
+    for bucket, part in rows.collect():
         lo = (bucket - 1) * 4096
         out[lo : lo + len(part)] |= np.frombuffer(bytes(part), np.uint8)
     return out

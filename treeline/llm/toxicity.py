@@ -270,7 +270,7 @@ def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     at = F.pmod(F.col("doc_id"), F.lit(_ID_BITS)) + 1
     rows = labels.select(at.alias("at")).groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
     bits = np.zeros(_ID_BITS // 8, np.uint8)
-    for bucket, part in rows.toLocalIterator():
+    for bucket, part in rows.collect():
         bits[(bucket - 1) * 4096 : bucket * 4096] |= np.frombuffer(bytes(part), np.uint8)
     sent = docs.sparkSession.sparkContext.broadcast(bits)
 
