@@ -46,8 +46,9 @@ def targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MO
     return x.select("source", "source_size", "rows", target.alias("target"))
 
 
-def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST, share: float = 1.0) -> DataFrame:
-    """One row per row of docs (doc_id, text, source): doc_id, source, size, source_size, target, epochs, taken.
+def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST, share: float = 1.0, carry: tuple | list = ()) -> DataFrame:
+    """One row per row of docs (doc_id, text, source): doc_id, source, size, source_size, target, epochs, taken, and
+    the columns of docs named in carry.
 
     size counts words between ASCII white space (null text: 0). Each row is taken `epochs` times whole and once more
     for taken - epochs * size words (0 for most). A source's taken words are its target without the fraction. The
@@ -55,7 +56,7 @@ def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
     interchangeable. A null source is a source of its own; sources without words get nothing; an empty table gives
     no rows; other columns play no part.
     """
-    base = docs.select(F.col("doc_id"), "source", words_in(F.col("text")).alias("size"))
+    base = docs.select(*carry, "doc_id", "source", words_in(F.col("text")).alias("size"))
     base = stored(base.withColumn("key", F.xxhash64("doc_id", "source")), "sizes")
     sizes = base.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("rows"))
     goal = targets(sizes, weights, most, share).withColumn("ranges", F.ceil(F.col("rows") / RANGE_ROWS)).withColumn("s", F.coalesce(F.concat(F.lit("="), "source"), F.lit("")))
@@ -74,7 +75,7 @@ def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
     cut = F.greatest(F.lit(0), F.least(F.col("size"), F.col("left") - F.col("before") - F.col("within")))
     out = out.withColumn("epochs", epochs).withColumn("left", left)
     taken = (F.col("epochs") * F.col("size") + cut).cast("bigint")
-    return out.select("doc_id", "source", "size", "source_size", "target", "epochs", taken.alias("taken"))
+    return out.select(*carry, "doc_id", "source", "size", "source_size", "target", "epochs", taken.alias("taken"))
 
 
 def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:

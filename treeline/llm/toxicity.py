@@ -118,8 +118,8 @@ def word_slice(first, second, slices: int):
     return (first.astype(np.int64) * 257 + second) % slices
 
 
-def _features(sent, slices: int):
-    """n, s, strong, top of each text for one slice of the tree, in place of text."""
+def _features(sent, keep_text: bool):
+    """__n, __s, __strong, __top of each text for one slice of the tree, in place of text or beside it."""
 
     def run(batches):
         tree = sent.value
@@ -139,7 +139,7 @@ def _features(sent, slices: int):
                 cols["s"].append(total[b[1:]] - total[b[:-1]])
                 cols["strong"].append(strong[b[1:]] - strong[b[:-1]])
                 cols["top"].append(np.array([ratio[x:y].max() if y > x else 0.0 for x, y in zip(b[:-1], b[1:], strict=True)]))
-            out = {n: batch.column(n) for n in batch.schema.names if n != "text"}
+            out = {n: batch.column(n) for n in batch.schema.names if keep_text or n != "text"}
             for name, kind in (("n", pa.int64()), ("s", pa.float64()), ("strong", pa.int64()), ("top", pa.float64())):
                 out[f"__{name}"] = pa.array(np.concatenate(cols[name]) if cols[name] else [], kind)
             yield pa.RecordBatch.from_pydict(out)
@@ -207,18 +207,21 @@ def _trees(model: DataFrame) -> list:
     return out
 
 
-def _text_features(docs: DataFrame, trees: list) -> DataFrame:
-    """docs without text and with n, s, strong, top; one pass over the texts for each slice of the tree."""
-    schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.drop("text").schema.fields)
-    schema += ", __n bigint, __s double, __strong bigint, __top double"
-    parts = [docs.mapInArrow(_features(t, len(trees)), schema) for t in trees]
-    if len(parts) == 1:
-        return parts[0]
+def _text_features(docs: DataFrame, trees: list, keep_text: bool = False) -> DataFrame:
+    """docs with __n, __s, __strong, __top, and without text unless it is kept. A tree of several slices takes one
+    pass over the texts for each slice, whose parts are added up by row."""
+    added = "__n bigint, __s double, __strong bigint, __top double"
+    if len(trees) == 1:
+        own = docs if keep_text else docs.drop("text")
+        schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in own.schema.fields), added])
+        return docs.mapInArrow(_features(trees[0], keep_text), schema)
+    rows = stored(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
+    parts = [rows.select("__row", "text").mapInArrow(_features(t, False), f"__row bigint, {added}") for t in trees]
     out = parts[0]
     for p in parts[1:]:
         out = out.union(p)
-    own = [c for c in docs.columns if c != "text"]
-    return out.groupBy(*own).agg(F.max("__n").alias("__n"), F.sum("__s").alias("__s"), F.sum("__strong").alias("__strong"), F.max("__top").alias("__top"))
+    out = out.groupBy("__row").agg(F.max("__n").alias("__n"), F.sum("__s").alias("__s"), F.sum("__strong").alias("__strong"), F.max("__top").alias("__top"))
+    return (rows if keep_text else rows.drop("text")).join(out, "__row").drop("__row")
 
 
 def _inputs():
@@ -248,18 +251,15 @@ class ToxicityModel:
     def __init__(self, trees: list, weights: list[float]):
         self.trees, self.weights = trees, weights
 
-    def score(self, docs: DataFrame) -> DataFrame:
-        """All columns of docs but text, with score (double, 0 to 1). Null and empty texts have no words: they get the
-        score of such texts among the labelled rows (near the share of toxic rows). A column named score is replaced.
-        Repeated rows get the same score each."""
-        docs = docs.drop("score")
-        if len(self.trees) > 1:
-            docs = docs.withColumn("__row", F.monotonically_increasing_id())
-        out = _text_features(docs, self.trees)
+    def score(self, docs: DataFrame, keep_text: bool = False) -> DataFrame:
+        """All columns of docs (text only if kept), with score (double, 0 to 1). Null and empty texts have no words:
+        they get the score of such texts among the labelled rows (near the share of toxic rows). A column named score
+        is replaced. Repeated rows get the same score each."""
+        out = _text_features(docs.drop("score"), self.trees, keep_text)
         z = F.lit(0.0)
         for w, x in zip(self.weights, _inputs(), strict=True):
             z = z + F.lit(float(w)) * x
-        return out.withColumn("score", 1 / (1 + F.exp(-z))).drop("__n", "__s", "__strong", "__top", "__row")
+        return out.withColumn("score", 1 / (1 + F.exp(-z))).drop("__n", "__s", "__strong", "__top")
 
 
 def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
