@@ -7,6 +7,7 @@ from .knn import OP10_SQL, op10_top_products
 from .licenses import op7_licenses
 from .mixing import op1_mix
 from .near_dedup import op4_near_dedup
+from .passages import op9_passages
 from .pii import op5_surrogates
 from .quality import op8_quality
 from .toxicity import op2_toxicity
@@ -16,7 +17,7 @@ from .warc import OP3_SQL, op3_warc
 def queries() -> dict:
     return {
         f.__name__: f
-        for f in (op1_mix, op2_toxicity, op3_warc, op4_near_dedup, op5_surrogates, op6_decontaminate, op7_licenses, op8_quality, op10_top_products)
+        for f in (op1_mix, op2_toxicity, op3_warc, op4_near_dedup, op5_surrogates, op6_decontaminate, op7_licenses, op8_quality, op9_passages, op10_top_products)
     }
 
 
