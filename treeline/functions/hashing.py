@@ -33,7 +33,7 @@ def mix_numpy(row: np.ndarray, tree: int, seed: int = 42) -> np.ndarray:
 
 def mix_sql(row: str, tree: str, seed: int = 42) -> str:
     """The same as text for a SQL engine with 64-bit integers."""
-    p = PRIME
+    p, row, tree = PRIME, f"CAST({row} AS BIGINT)", f"CAST({tree} AS BIGINT)"
     a = f"((({row}) % {p} * 1000003 + ({tree}) * 7919 + {17 + seed}) % {p})"
     b = f"(({a} * {a} % {p} + ({tree}) * 104729 + ({row}) % {p} * 31 + 5) % {p})"
     c = f"(({b} * {b} % {p} + ({tree}) * 15485863 + ({row}) % {p} + 11) % {p})"
