@@ -87,7 +87,7 @@ def rebalance(placement: DataFrame, capacity: DataFrame) -> DataFrame:
     share = {w: total * c / all_room for w, c in room.items()}
     moves = []
     for f, w, u in pieces:
-        if load[w] - u < share[w] - 1e-9:
+        if load[w] <= share[w] + 1e-9:
             continue
         to = next((v for v in sorted(room) if load[v] + u <= share[v] + 1e-9), None)
         if to is not None:
