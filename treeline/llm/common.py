@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 
@@ -33,10 +34,54 @@ def stored(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     writer = df.write
     if partition_by:
         writer = writer.partitionBy(*partition_by)
+    if _noted is not None:
+        _noted.append(path)
     writer.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+_noted: list[str] | None = None
+
+
+@contextlib.contextmanager
+def noting(paths: list[str]):
+    """Notes in paths what stored() writes meanwhile, for drop_stored() once it is no longer read."""
+    global _noted
+    before, _noted = _noted, paths
+    try:
+        yield paths
+    finally:
+        _noted = before
+
+
+def drop_stored(spark: SparkSession, paths: list[str]) -> None:
+    jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
+    for path in paths:
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(conf).delete(at, True)
+
+
+#: Bitmaps of row numbers are sent to every task up to so many bytes (8 for each 16 rows or so at least).
+BITMAPS_SENT = 64_000_000
+
+
+def rows_in(rows: DataFrame, ids: DataFrame, key: str) -> DataFrame:
+    """rows whose key, a monotonically_increasing_id of a scan, is among ids. One bit a row, by partition, goes to the
+    rows, which stay where they are; beyond BITMAPS_SENT both sides are joined instead."""
+    part, at = F.shiftrightunsigned(key, 33), F.col(key).bitwiseAND((1 << 33) - 1) + 1
+
+    def cut(df: DataFrame) -> DataFrame:
+        df = df.withColumn("__part", part).withColumn("__at", at)
+        return df.withColumn("__bucket", F.expr("bitmap_bucket_number(__at)")).withColumn("__bit", F.expr("bitmap_bit_position(__at)"))
+
+    maps = stored(cut(ids.select(key)).groupBy("__part", "__bucket").agg(F.expr("bitmap_construct_agg(__bit)").alias("__bits")), "bitmaps")
+    if maps.count() * 4096 > BITMAPS_SENT:
+        return rows.join(ids.select(key).distinct(), key, "left_semi").select(*rows.columns)
+    byte = F.conv(F.hex(F.substring(F.col("__bits"), (F.col("__bit") / 8).cast("int") + 1, F.lit(1))), 16, 10).cast("int")
+    is_in = byte.bitwiseAND(F.pow(F.lit(2), F.col("__bit") % 8).cast("int")) != 0
+    return cut(rows).join(F.broadcast(maps), ["__part", "__bucket"]).where(is_in).select(*rows.columns)
+
+
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -48,5 +93,17 @@ def ascii_lower(col):
     return F.when(F.contains(col, F.lit("K")), F.translate(col, upper, lower)).otherwise(F.lower(col))
 
 
+#: Rows of an Arrow batch: texts and sets of hashes are large rows, and a worker holds a batch or two.
+BATCH_ROWS = 2000
+
+
+def small_batches(spark: SparkSession) -> None:
+    """Lowers the session's Arrow batch size, where it is larger; it changes no result."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    now = int(spark.conf.get(name, "10000"))
+    if now <= 0 or now > BATCH_ROWS:
+        spark.conf.set(name, str(BATCH_ROWS))
+
+
 def n_parts(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))

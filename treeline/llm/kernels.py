@@ -11,7 +11,7 @@ from pyspark import cloudpickle
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 #: Texts are worked on in chunks of so many bytes, or one at a time if longer.
-CHUNK_BYTES = 2_000_000
+CHUNK_BYTES = 1_000_000
 LOWER = np.arange(256, dtype=np.uint8)
 LOWER[65:91] += 32
 _space = np.zeros(256, bool)
@@ -42,10 +42,10 @@ def _powers(n: int) -> np.ndarray:
 
 
 def chunks(texts: pa.Array, most: int = CHUNK_BYTES):
-    """Cuts an Arrow text column into (first row, bytes, offsets); nulls have no bytes."""
+    """Cuts an Arrow column of texts, or of UTF-8 bytes, into (first row, bytes, offsets); nulls have no bytes."""
     if isinstance(texts, pa.ChunkedArray):
         texts = texts.combine_chunks()
-    texts = texts.cast(pa.large_string())
+    texts = texts.cast(pa.large_binary() if pa.types.is_binary(texts.type) else pa.large_string())
     n = len(texts)
     if not n:
         return
@@ -64,6 +64,7 @@ def chunks(texts: pa.Array, most: int = CHUNK_BYTES):
         hi = min(hi, n)
         yield lo, data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]
         lo = hi
+    pa.default_memory_pool().release_unused()
 
 
 class Words:

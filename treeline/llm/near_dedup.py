@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import stored, table
+from .common import small_batches, stored, table
 from .components import components
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -29,7 +29,8 @@ N_HASHES, BANDS = 128, 32
 SLACK = 0.2
 #: Rounds of leaders before the rest is compared; buckets up to SMALL classes by pairs, others in blocks of BLOCK.
 ROUNDS, SMALL, BLOCK = 1, 24, 512
-BITMAP_BITS = 1 << 26
+#: Bits of the bitmap of ids; row numbers keep a partition in their upper bits, which SPREAD brings down.
+BITMAP_BITS, SPREAD = 1 << 26, 4294967
 
 
 def _class_rows(k: int, sign: bool):
@@ -61,7 +62,8 @@ def _set_rows(k: int, sent):
 
     def run(batches):
         for batch in batches:
-            ids = np.asarray(batch.column("doc_id").fill_null(0)) % BITMAP_BITS
+            ids = np.asarray(batch.column("doc_id").fill_null(0))
+            ids = (ids + (ids >> 33) * SPREAD) % BITMAP_BITS
             batch = batch.filter(pa.array((sent.value[ids >> 3] >> (ids & 7).astype(np.uint8) & 1).astype(bool)))
             held, keys, out = 0, [], []
             for _, data, offsets in K.chunks(batch.column("text")):
@@ -79,7 +81,8 @@ def _set_rows(k: int, sent):
 
 def bitmap(asked: DataFrame) -> np.ndarray:
     """A bitmap of fixed size (8 MB) of the doc_ids in column rep. Misses none, may admit others."""
-    at = asked.select((F.pmod(F.coalesce("rep", F.lit(0)), F.lit(BITMAP_BITS)) + 1).alias("at"))  # positions from 1 fall into buckets from 1
+    rep = F.coalesce("rep", F.lit(0))
+    at = asked.select((F.pmod(rep + F.shiftright(rep, 33) * SPREAD, F.lit(BITMAP_BITS)) + 1).alias("at"))  # positions from 1 fall into buckets from 1
     # at most BITMAP_BITS / 32768 rows of 4 KB
     rows = at.groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
     out = np.zeros(BITMAP_BITS // 8, np.uint8)
@@ -135,6 +138,7 @@ def near_duplicates(docs: DataFrame, k: int = 4, percent: int = 80) -> DataFrame
     has none. Empty tables give no rows.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     base = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text")
     rows = stored(base.mapInArrow(_class_rows(k, True), "doc_id bigint, cls binary, n_shingles bigint, sig binary"), "signed")
     classes = rows.where("n_shingles > 0").groupBy("cls").agg(F.min("doc_id").alias("rep"), F.max("n_shingles").alias("n"), F.any_value("sig").alias("sig"))

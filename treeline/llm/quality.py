@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import stored, table
+from .common import small_batches, stored, table
 from .toxicity import held_out
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -154,6 +154,7 @@ def fit_quality(docs: DataFrame, ratings: DataFrame, n_grades: int, rated_rows:
     are 0 and every tail is one half.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     rated = ratings.where(F.col("doc_id").isNotNull() & F.col("grade").between(0, n_grades - 1)).groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg(F.min(F.col("grade").cast("int")).alias("grade"))
     rated = stored(rated.orderBy(F.xxhash64("doc_id"), "doc_id").limit(rated_rows), "rated")
     own = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").join(F.broadcast(rated), "doc_id")  # rated_rows rows

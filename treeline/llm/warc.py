@@ -18,7 +18,7 @@ from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import n_parts, shared_dir, stored, table
+from .common import n_parts, shared_dir, small_batches, stored, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -155,6 +155,7 @@ def write_archive(pages: DataFrame, path: str, chunk_bytes: int = CHUNK_BYTES) -
     the others revisit it; rows that repeat this page_id are responses too. A null html is an empty payload; rows of a
     null page_id revisit a like payload that has one. Other columns are ignored.
     """
+    small_batches(pages.sparkSession)
     packed = captures(pages.select(F.col("page_id").cast("bigint").alias("page_id"), "url", "html"))
     packed = packed.withColumn("rid", F.monotonically_increasing_id())
     chunks = packed.mapInArrow(_write(chunk_bytes), _CHUNK_DDL)
