@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import n_parts, table
+from .common import n_parts, small_batches, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -172,6 +172,7 @@ def decontaminated(docs: DataFrame, benchmark: DataFrame, n: int = 10, broadcast
     replaced. An empty benchmark hits nothing.
     """
     spark = docs.sparkSession
+    small_batches(spark)
     docs = docs.drop(*_ADDED)
     keep = docs.columns if keep is None else keep
     items = benchmark.select(F.col("item_id").cast("string").alias("item_id"), "text").where("text is not null")
@@ -240,7 +241,7 @@ def _joined(docs: DataFrame, items: DataFrame, n: int) -> DataFrame:
 
     docs = stored(docs.withColumn("rid", F.monotonically_increasing_id()), "docs")
     items = stored(items.withColumn("iid", F.monotonically_increasing_id()), "items")
-    count = F.expr(f"regexp_count(text, '{PLAIN_WORD_ANY_CASE}')")
+    count = F.regexp_count("text", F.lit(PLAIN_WORD_ANY_CASE))
     lengths = [r[0] for r in items.select(count.alias("m")).where(f"m between 1 and {n - 1}").distinct().collect()]  # below n values
     left = docs.select("rid", "text").mapInArrow(_fingerprints(n, "rid", lengths or [n]), "key bigint, rid bigint")
     right = items.select("iid", "text").mapInArrow(_fingerprints(n, "iid", []), "key bigint, iid bigint")
