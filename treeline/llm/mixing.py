@@ -57,18 +57,18 @@ def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
     no rows; other columns play no part.
     """
     base = docs.select(*carry, "doc_id", "source", words_in(F.col("text")).alias("size"))
-    base = stored(base.withColumn("key", F.xxhash64("doc_id", "source")), "sizes")
+    base = stored(base.withColumn("key", F.md5(F.concat_ws("|", F.col("doc_id").cast("string"), "source").cast("binary"))), "sizes")
     sizes = base.groupBy("source").agg(F.sum("size").alias("source_size"), F.count("*").alias("rows"))
     goal = targets(sizes, weights, most, share).withColumn("ranges", F.ceil(F.col("rows") / RANGE_ROWS)).withColumn("s", F.coalesce(F.concat(F.lit("="), "source"), F.lit("")))
     goal = stored(goal.drop("source", "rows"), "goals")
-    # keys are even over 64 bits, so the upper 32 bits times the number of ranges is a range in key order
-    upper = F.shiftrightunsigned("key", 32).cast("bigint")
+    # keys are even, so their first 32 bits times the number of ranges is a range in key order
+    upper = F.conv(F.substring("key", 1, 8), 16, 10).cast("bigint")
     placed = base.withColumn("s", F.coalesce(F.concat(F.lit("="), "source"), F.lit(""))).join(goal, "s")
     placed = placed.withColumn("range", F.floor(upper * F.col("ranges") / F.lit(2.0**32)).cast("bigint"))
     part = placed.groupBy("s", "range").agg(F.sum("size").alias("held"))
     before = F.sum("held").over(Window.partitionBy("s").orderBy("range").rowsBetween(Window.unboundedPreceding, -1))
     part = part.select("s", "range", F.coalesce(before, F.lit(0)).alias("before"))
-    own = Window.partitionBy("s", "range").orderBy(upper, "key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, -1)
+    own = Window.partitionBy("s", "range").orderBy("key", F.col("doc_id").asc_nulls_last(), "size").rowsBetween(Window.unboundedPreceding, -1)
     out = placed.withColumn("within", F.coalesce(F.sum("size").over(own), F.lit(0))).join(part, ["s", "range"])
     epochs = F.when(F.col("source_size") > 0, F.floor(F.col("target") / F.col("source_size"))).otherwise(0).cast("bigint")
     left = F.floor(F.col("target") - F.col("epochs") * F.col("source_size")).cast("bigint")
@@ -81,3 +81,26 @@ def mixed(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, most: int = MOST,
 def op1_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = mixed(table(spark, sf_dir, "documents").select("doc_id", "text", "source"))
     return out.select("doc_id", "size", "source_size", "target", "taken")
+
+
+OP1_SQL = """
+WITH d AS (
+  SELECT doc_id, source, len(regexp_extract_all(coalesce(text, ''), '[^\\x20\\x09-\\x0D]+'))::BIGINT AS size FROM documents
+), s AS (
+  SELECT source, sum(size)::BIGINT AS source_size, [5, 2, 1][(row_number() OVER (ORDER BY source ASC NULLS LAST) - 1) % 3 + 1] AS w FROM d GROUP BY source
+), f AS (
+  SELECT *, 3 * source_size AS most, 3 * source_size / w AS full_at, row_number() OVER o AS place,
+    coalesce(sum(3 * source_size) OVER (o ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS ahead,
+    sum(w) OVER (o ROWS BETWEEN CURRENT ROW AND UNBOUNDED FOLLOWING) AS rest, sum(source_size) OVER () AS total
+  FROM s WINDOW o AS (ORDER BY 3 * source_size / w, source ASC NULLS LAST)
+), l AS (
+  SELECT arg_min((total - ahead) / rest, place) AS level FROM f WHERE (total - ahead) / rest < full_at
+), t AS (
+  SELECT source, source_size, coalesce(least(most, level * w), most)::DOUBLE AS target FROM f CROSS JOIN l
+), p AS (
+  SELECT d.doc_id, d.size, t.source_size, t.target, CASE WHEN t.source_size > 0 THEN floor(t.target / t.source_size) ELSE 0 END AS epochs,
+    coalesce(sum(d.size) OVER (PARTITION BY d.source ORDER BY md5(concat_ws('|', d.doc_id::VARCHAR, d.source)), d.doc_id, d.size ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS before
+  FROM d JOIN t ON d.source IS NOT DISTINCT FROM t.source
+)
+SELECT doc_id, size, source_size, target, (epochs * size + greatest(0, least(size, floor(target - epochs * source_size) - before)))::BIGINT AS taken FROM p
+"""

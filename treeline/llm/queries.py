@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from .decontaminate import op6_decontaminate
+from .decontaminate import OP6_SQL, op6_decontaminate
 from .knn import OP10_SQL, op10_top_products
 from .licenses import op7_licenses
-from .mixing import op1_mix
+from .mixing import OP1_SQL, op1_mix
 from .near_dedup import op4_near_dedup
 from .passages import op9_passages
 from .pii import op5_surrogates
@@ -22,4 +22,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_warc": OP3_SQL, "op10_top_products": OP10_SQL}
+    return {"op1_mix": OP1_SQL, "op6_decontaminate": OP6_SQL, "op3_warc": OP3_SQL, "op10_top_products": OP10_SQL}
