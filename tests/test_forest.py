@@ -28,7 +28,7 @@ def shape(f):
     return sorted((x.tree, x.node, x.depth, x.is_leaf, -1 if x.is_leaf else x.feature_id, tuple(x.stats)) for x in f.node_list)
 
 
-@pytest.mark.parametrize("change", [{"layout": "vertical"}, {"state": "disk"}, {"parallel": "trees"}, {"parallel": "none"}, {"tree_group": 2}])
+@pytest.mark.parametrize("change", [{"layout": "vertical"}, {"layout": "blocks"}, {"state": "disk"}, {"parallel": "trees"}, {"parallel": "none"}, {"tree_group": 2}])
 def test_ways_to_grow_agree(data, forest, change):
     assert shape(fit_binned(data[0], data[1], [0, 1], SPEC.but(**change))) == shape(forest)
 

@@ -108,6 +108,31 @@ def bins_matrix(batch) -> np.ndarray:
     return flat.reshape(len(col), -1) if len(col) else np.zeros((0, 0), np.int32)
 
 
+def pack_rows(rows: DataFrame, block_rows: int = 65536) -> DataFrame:
+    """Binned rows as blocks: ids, targets and one byte per cell, feature after feature (bins from -1 to 254)."""
+
+    def pack(t: pa.Table) -> pa.Table:
+        n = len(t)
+        bins = np.asarray(t["bins"].combine_chunks().flatten()).reshape(n, -1)
+        cells = np.ascontiguousarray((bins + 1).astype(np.uint8).T).tobytes()
+        ids, y = t["row_id"].to_numpy().astype("<i8").tobytes(), t["target"].to_numpy().astype("<f8").tobytes()
+        return pa.table({"n": pa.array([n], pa.int32()), "ids": pa.array([ids], pa.binary()), "targets": pa.array([y], pa.binary()), "cells": pa.array([cells], pa.binary())})
+
+    block = F.floor(F.col("row_id") / block_rows)
+    return rows.withColumn("row_block", block).groupBy("row_block").applyInArrow(pack, "n int, ids binary, targets binary, cells binary")
+
+
+def decoded(batch):
+    """row ids, targets, bins and stored weights by tree, of a batch of rows or of each packed block in it."""
+    if "cells" in batch.schema.names:
+        for n, ids, y, cells in zip(*(batch.column(c).to_pylist() for c in ("n", "ids", "targets", "cells")), strict=True):
+            bins = np.frombuffer(cells, np.uint8).reshape(-1, n).T.astype(np.int32) - 1
+            yield np.frombuffer(ids, "<i8"), np.frombuffer(y, "<f8"), bins, {}
+    elif batch.num_rows:
+        own = {int(c[1:]): np.asarray(batch.column(c)) for c in batch.schema.names if c[0] == "w" and c[1:].isdigit()}
+        yield np.asarray(batch.column("row_id")), np.asarray(batch.column("target")), bins_matrix(batch), own
+
+
 def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int):
     """Partial histograms of a task's rows, summed before they leave it."""
     k = I.n_stats(task, n_classes)
@@ -116,14 +141,10 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int):
         walk, live, candidates = sent.value  # live: (tree, slot) -> number; candidates: tree -> features
         width = n_bins + 1
         sums: dict = {}
-        for batch in batches:
-            bins = bins_matrix(batch)
-            if not len(bins):
-                continue
-            row = np.asarray(batch.column("row_id"))
-            y = np.asarray(batch.column("target"))
+        for row, y, bins, stored_weights in (part for batch in batches for part in decoded(batch)):
             for t, features in candidates.items():
-                w = np.asarray(batch.column(f"w{t}")) if f"w{t}" in batch.schema.names else poisson_numpy(row, t, seed)
+                w = stored_weights.get(t)
+                w = poisson_numpy(row, t, seed) if w is None else w
                 number = live[t]
                 node = number[walk.slots(t, bins)] if t in walk.trees else np.zeros(len(row), np.int64)
                 ok = (w > 0) & (node >= 0)
@@ -159,7 +180,8 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int):
 
 
 class Horizontal:
-    """Histograms from binned rows in place; rows find their nodes by walking the trees so far."""
+    """Histograms from binned rows in place, or from packed blocks of them; rows find their nodes by walking the trees
+    so far."""
 
     def __init__(self, rows: DataFrame, spec: ForestSpec, n_classes: int):
         self.rows, self.spec, self.n_classes = rows, spec, n_classes

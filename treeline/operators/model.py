@@ -138,18 +138,20 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
     given = weights is not None
     nodes: list[G.Node] = []
     selected: list[tuple] = []
+    blocks = stored(G.pack_rows(rows), "blocks") if spec.layout == "blocks" else None
     for lo in range(first_tree, first_tree + spec.n_trees, spec.tree_group):
         trees = list(range(lo, min(lo + spec.tree_group, first_tree + spec.n_trees)))
         own = weights if given else sample_weights(rows, trees, spec)
         if own is not None:
             own = stored(own.where(F.col("tree").isin(trees)), "weights")
-        if spec.layout in ("vertical", "blocks"):
+        if spec.layout == "vertical":
             w = own if own is not None else G.functional_weights(rows, trees, spec.seed)
             if spec.sampling == "copied":
                 w = w.withColumn("w", F.explode(F.sequence(F.lit(1), F.col("w").cast("int")))).withColumn("w", F.lit(1))
             source = G.Vertical(stored(to_slices(rows), "slices"), w, spec, n_classes)
         else:
-            source = G.Horizontal(G.weighted_rows(rows, trees, spec, own), spec, n_classes)
+            packed = spec.layout == "blocks" and own is None  # stored weights stay beside their rows
+            source = G.Horizontal(blocks if packed else G.weighted_rows(rows, trees, spec, own), spec, n_classes)
         roots, candidates, chosen = G.reduced_roots(source, trees, n_features, spec, n_classes)
         selected += chosen
         nodes += G.grow(source, roots, candidates, spec, n_classes)

@@ -403,6 +403,13 @@ def q_tree_vertical(spark, sf_dir):
     return f.nodes.select(*_NODE_COLS)
 
 
+@query(_two.text(_NODES))
+def q_tree_blocks(spark, sf_dir):
+    """The same trees from packed blocks."""
+    f, _ = forest_of(spark, sf_dir, QUALITY, SPEC.but(layout="blocks"))
+    return f.nodes.select(*_NODE_COLS)
+
+
 @query(_flag_two.text(_NODES))
 def q_tree_lines(spark, sf_dir):
     f, _ = forest_of(spark, sf_dir, FLAG, SPEC.but(n_principal=2, n_selected=4))

@@ -67,6 +67,10 @@ def q_w8(spark, sf_dir):
     return W.communication(spark, sf_dir, FLAG, ["horizontal", "vertical", "library"], [4, 8], 3)
 
 
+def q_comm_cost(spark, sf_dir):
+    return W.communication(spark, sf_dir, QUALITY, ["horizontal", "vertical", "blocks"], [8], 2)
+
+
 def q_w9(spark, sf_dir):
     return W.ablation(spark, sf_dir, TOXIC, [42], 5)
 
@@ -75,7 +79,7 @@ def q_w10(spark, sf_dir):
     return C.operations(P._catalog(spark, sf_dir), 500, 16).withColumn("ops", rounded(F.col("ops"), 1))
 
 
-QUERIES = {f.__name__: f for f in (q_w1, q_w1_gap, q_w2, q_w3, q_w4, q_w5, q_w6, q_w7, q_w8, q_w9, q_w10)}
+QUERIES = {f.__name__: f for f in (q_w1, q_w1_gap, q_w2, q_w3, q_w4, q_w5, q_w6, q_w7, q_w8, q_comm_cost, q_w9, q_w10)}
 SQL = {
     "q_w7": P._VOLUME + "SELECT *, cells * 8 AS bytes FROM v",
     "q_w10": f"WITH c AS ({P._CAT_SQL}) " + " UNION ALL ".join(f"SELECT name, '{k}' AS method, round({v.replace('4.0 / m', '16.0 / m').replace('4 * n', '16 * n')}, 1) + 0.0 AS ops FROM c" for k, v in P._OPS.items()),
