@@ -11,7 +11,7 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from treeline.llm.common import shared_dir, stored, table
+from treeline.llm.common import drop_stored, noting, rows_in, shared_dir, table
 from treeline.llm.decontaminate import decontaminated
 from treeline.llm.mixing import mixed
 from treeline.llm.near_dedup import near_duplicates
@@ -23,10 +23,29 @@ SHINGLE, SIMILAR = 5, 80
 _ROW = "__pipeline_row"
 
 
-def _numbered(docs: DataFrame, name: str) -> DataFrame:
-    return stored(docs.withColumn(_ROW, F.monotonically_increasing_id()), name)
+#: What the stage before has stored and nothing reads once its output is written.
+_left: dict[str, list[str]] = {}
 
 
+def _stage(f):
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        app = spark.sparkContext.applicationId
+        drop_stored(spark, _left.pop(app, []))
+        with noting([]) as paths:
+            out = f(spark, docs, sf_dir)
+        _left[app] = paths
+        return out
+
+    run_stage.__doc__ = f.__doc__
+    return run_stage
+
+
+def _numbered(docs: DataFrame) -> DataFrame:
+    """Rows numbered by their place in the Parquet files that docs reads, alike in each scan of them."""
+    return docs.withColumn(_ROW, F.monotonically_increasing_id())
+
+
+@_stage
 def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents scored TOXIC_FROM or more by models learnt from the labelled documents; null texts stay."""
     names = [f"__{i}" if c != "text" else c for i, c in enumerate(docs.columns)]
@@ -35,16 +54,18 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return scored.where(F.col("score") < TOXIC_FROM).select(*names).toDF(*docs.columns)
 
 
+@_stage
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps of each component the row with the least doc_id (null last); texts without words all stay."""
-    rows = _numbered(docs, "rows")
+    rows = _numbered(docs)
     found = near_duplicates(rows.select(F.col(_ROW).alias("doc_id"), "text"), SHINGLE, SIMILAR)
     ids = rows.select(_ROW, F.col("doc_id").alias("id"))
     own = found.select(F.col("doc_id").alias(_ROW), "component_id").join(ids, _ROW)
     first = own.groupBy("component_id").agg(F.min(F.struct(F.col("id").isNull(), "id", _ROW)).alias("first")).select(f"first.{_ROW}")
-    return rows.join(first, _ROW).select(*docs.columns)
+    return rows_in(rows, first, _ROW).select(*docs.columns)
 
 
+@_stage
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents in which a window of a benchmark item occurs."""
     names = [f"__{i}" if c != "text" else c for i, c in enumerate(docs.columns)]
@@ -52,15 +73,17 @@ def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFram
     return judged.where(~F.col("contaminated")).select(*names).toDF(*docs.columns)
 
 
+@_stage
 def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Puts surrogates in place of personal data in all texts."""
     names = [f"__{i}" if c != "text" else c for i, c in enumerate(docs.columns)]
     return with_surrogates(docs.toDF(*names)).select(*names).toDF(*docs.columns)
 
 
+@_stage
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The rows that the mix takes: all columns, and size, source_size, target, epochs (whole passes), taken (words)."""
-    rows = _numbered(docs, "rows")
+    rows = _numbered(docs)
     taken = mixed(rows.select("doc_id", "text", "source", _ROW), carry=[_ROW]).where("taken > 0")
     new = ["size", "source_size", "target", "epochs", "taken"]
     return rows.select(*[c for c in rows.columns if c not in new]).join(taken.select(_ROW, *new), _ROW).drop(_ROW)

@@ -122,19 +122,32 @@ def _name(v: Column, h: Column, attempt: Column) -> Column:
     return F.concat(title, F.when(script == "cyrillic", of("cyrillic")).when(script == "greek", of("greek")).otherwise(of("latin")))
 
 
+def _let(x: Column, f) -> Column:
+    """f of x, where x is worked out once however often f names it."""
+    return F.transform(F.array(x), f)[0]
+
+
 def surrogate(v: Column, kind: Column, attempt: Column, key: str) -> Column:
     seed = F.concat_ws("|", F.lit(key), canonical(v, kind), attempt.cast("string"))
-    h = F.concat(F.sha2(seed.cast("binary"), 512), F.sha2(F.concat(seed, F.lit("|more")).cast("binary"), 512))
+    both = _let(seed, lambda s: F.concat(F.sha2(s.cast("binary"), 512), F.sha2(F.concat(s, F.lit("|more")).cast("binary"), 512)))
+    return _let(both, lambda h: _surrogate(v, kind, attempt, h))
+
+
+def _surrogate(v: Column, kind: Column, attempt: Column, h: Column) -> Column:
+    """All kinds but IP numbers and names keep a start and have the rest scrambled, so the scrambling stands once."""
     octet = lambda i: (_number(h, F.lit(i)) % 254 + 1).cast("string")
-    no = F.lit(False)
+    start = (
+        F.when(kind == "ssn", F.lit("9"))
+        .when(kind == "iban", F.substring(v, 1, 2))
+        .when(kind == "phone", F.regexp_extract(v, r"^(\+\d{1,3}(?=[ .\-(])|)", 1))
+        .otherwise(F.lit(""))
+    )
+    rest = F.when(kind == "email", F.concat(F.regexp_extract(v, r"^([^@]*)@", 1), F.lit("@abcdef"))).otherwise(F.substring(v, F.length(start) + 1, F.length(v)))
+    mixed = _scrambled(rest, h, (kind == "secret") & v.rlike("^[0-9a-f]{16,}$"))
     return (
-        F.when(kind == "email", F.concat(_scrambled(F.regexp_extract(v, r"^([^@]*)@", 1), h, no), F.lit("@"), F.lower(_scrambled(F.lit("abcdef"), F.sha2(F.concat(h, F.lit("d")).cast("binary"), 512), no)), F.lit(".example.org")))
-        .when(kind == "ip", F.concat_ws(".", F.lit("10"), octet(1), octet(2), octet(3)))
-        .when(kind == "ssn", F.concat(F.lit("9"), F.substring(_scrambled(v, h, no), F.lit(2), F.lit(10))))
-        .when(kind == "iban", F.concat(F.substring(v, 1, 2), _scrambled(F.substring(v, F.lit(3), F.length(v)), h, no)))
-        .when(kind == "phone", F.concat(F.regexp_extract(v, r"^(\+\d{1,3}(?=[ .\-(])|)", 1), _scrambled(F.regexp_replace(v, r"^\+\d{1,3}(?=[ .\-(])", ""), h, no)))
+        F.when(kind == "ip", F.concat_ws(".", F.lit("10"), octet(1), octet(2), octet(3)))
         .when(kind == "name", _name(v, h, attempt))
-        .otherwise(_scrambled(v, h, (kind == "secret") & v.rlike("^[0-9a-f]{16,}$")))
+        .otherwise(F.concat(start, mixed, F.when(kind == "email", F.lit(".example.org")).otherwise(F.lit(""))))
     )
 
 
@@ -186,8 +199,7 @@ def with_surrogates(docs: DataFrame, key: str = "treeline") -> DataFrame:
         attempt = lambda e: F.lit(0)
 
     def one(v: Column) -> Column:
-        kind = kind_of(v)
-        return surrogate(v, kind, attempt(canonical(v, kind)), key)
+        return _let(kind_of(v), lambda kind: surrogate(v, kind, attempt(canonical(v, kind)), key))
 
     between = F.split(F.col("text"), PATTERN, -1)
     new = F.array_join(F.zip_with(between, F.transform("__found", one), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")

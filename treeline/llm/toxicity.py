@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import stored, table
+from .common import small_batches, stored, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -29,6 +29,8 @@ DEPTH = 10
 STRONG = 2.0
 #: Most labelled rows that the final probability is fitted on; the counts take all the others.
 CALIBRATION_ROWS = 20_000
+#: Most words a task holds before it puts out their counts.
+HELD_WORDS = 150_000
 #: Most tree nodes sent to every task at once (16 bytes each); a larger tree is sent and applied in slices.
 NODES_SENT = 4_000_000
 TOXIC_FROM = 0.7
@@ -72,7 +74,7 @@ def _count_words(batches):
                 key = row[:m].tobytes()
                 old = held.get(key)
                 held[key] = (t, n - t) if old is None else (old[0] + t, old[1] + n - t)
-            if len(held) > 1_000_000:
+            if len(held) > HELD_WORDS:
                 yield rows()
                 held.clear()
     yield rows()
@@ -138,7 +140,7 @@ def _features(sent, keep_text: bool):
                 cols["n"].append(np.diff(b))
                 cols["s"].append(total[b[1:]] - total[b[:-1]])
                 cols["strong"].append(strong[b[1:]] - strong[b[:-1]])
-                cols["top"].append(np.array([ratio[x:y].max() if y > x else 0.0 for x, y in zip(b[:-1], b[1:], strict=True)]))
+                cols["top"].append(np.array([max(0.0, ratio[x:y].max()) if y > x else 0.0 for x, y in zip(b[:-1], b[1:], strict=True)]))
             out = {n: batch.column(n) for n in batch.schema.names if keep_text or n != "text"}
             for name, kind in (("n", pa.int64()), ("s", pa.float64()), ("strong", pa.int64()), ("top", pa.float64())):
                 out[f"__{name}"] = pa.array(np.concatenate(cols[name]) if cols[name] else [], kind)
@@ -194,11 +196,12 @@ def _trees(model: DataFrame) -> list:
             part = part.where(own | (F.length("node") == 1))
         rows = part.toArrow()
         keys = np.zeros(len(rows), np.uint64)
-        names = rows["node"].to_pylist()
-        lengths = np.array([len(x) for x in names], np.int64)
-        flat = np.zeros((len(names), DEPTH), np.uint8)
-        if names:
-            flat[np.arange(DEPTH) < lengths[:, None]] = np.frombuffer(b"".join(names), np.uint8)
+        names = rows["node"].combine_chunks().cast(pa.large_binary())
+        ends = np.frombuffer(names.buffers()[1], np.int64)[names.offset : names.offset + len(names) + 1] if len(names) else np.zeros(1, np.int64)
+        lengths = np.diff(ends)
+        flat = np.zeros((len(lengths), DEPTH), np.uint8)
+        if len(lengths):
+            flat[np.arange(DEPTH) < lengths[:, None]] = np.frombuffer(names.buffers()[2], np.uint8)[ends[0] : ends[-1]]
         for j in range(DEPTH):
             at = lengths > j
             keys[at] = _node_hash(keys[at], flat[at, j])
@@ -290,6 +293,7 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, calibration_rows: int = CAL
     Null labels and ids are left out; a doc_id labelled both ways is toxic. Without labelled rows, or with one class
     only, every score is the share of toxic rows (0.0 without any).
     """
+    small_batches(docs.sparkSession)
     train = stored(_labelled(docs, labels), "labelled")
     fifth = F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0
     counted = train.where(~fifth).select("text", "toxic").mapInArrow(_count_words, "word binary, toxic bigint, ordinary bigint")
