@@ -9,16 +9,16 @@ stretches of text are then aligned word by word, from seed to seed and outwards.
 from __future__ import annotations
 
 import sys
-from difflib import SequenceMatcher
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import cloudpickle
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import n_parts, stored, table
+from .common import n_parts, small_batches, stored, table
 from .decontaminate import winnow
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -28,15 +28,19 @@ WORDS, WINDOW, LEAST, IDENTITY = 8, 10, 50, 0.8
 #: Cost of a byte of gap against a byte of matched seed, of a byte of shift between the two texts, and bytes of context
 #: around a chain.
 GAP, SHIFT, PAD = 0.25, 0.25, 240
+#: Words of a passage of LEAST words that the seeds in it span at least.
+SPANNED = LEAST - 2 * (WINDOW - 1)
+#: Bytes of text that are cut into words at once for alignment.
+ALIGN_BYTES = 500_000
 #: Gaps longer than so many words are not aligned: their words count as different.
 GAP_WORDS = 400
 
 
 def _seeds(batches):
-    """h, rid, off, size: kept seeds with the byte place and length of each."""
+    """h, rid, off, size, word: kept seeds with the byte place and length and the word place of each."""
     for batch in batches:
         ids = batch.column("rid").to_pylist()
-        out: list = [[], [], [], []]
+        out: list = [[], [], [], [], []]
         for lo, data, offsets in K.chunks(batch.column("text")):
             words = K.Words(data, offsets, K.PLAIN)
             if len(words.hash) < WORDS:
@@ -49,8 +53,9 @@ def _seeds(batches):
             start = words.start[keep]
             out[2].append((start - offsets[doc[keep]]).astype(np.int32))
             out[3].append((words.end[keep + WORDS - 1] - start).astype(np.int32))
-        cols = [np.concatenate(c) if c else np.zeros(0, t) for c, t in zip(out, (np.int64, np.int64, np.int32, np.int32), strict=True)]
-        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["h", "rid", "off", "size"])
+            out[4].append((keep - words.bounds[doc[keep]]).astype(np.int32))
+        cols = [np.concatenate(c) if c else np.zeros(0, t) for c, t in zip(out, (np.int64, np.int64, np.int32, np.int32, np.int32), strict=True)]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["h", "rid", "off", "size", "word"])
 
 
 class Fenwick:
@@ -75,20 +80,20 @@ class Fenwick:
         return out
 
 
-def segments(p: np.ndarray, q: np.ndarray, size: np.ndarray) -> np.ndarray:
-    """Runs of seeds on one diagonal that touch or nearly so, as rows (p, q, length); input in order of p."""
+def segments(p: np.ndarray, q: np.ndarray, size: np.ndarray, word: np.ndarray) -> np.ndarray:
+    """Runs of seeds on one diagonal that touch or nearly so, as rows (p, q, length, first word, word after the last)."""
     order = np.lexsort((p, p - q))
-    p, q, size = p[order], q[order], size[order]
+    p, q, size, word = p[order], q[order], size[order], word[order]
     new = np.ones(len(p), bool)
     new[1:] = ((p - q)[1:] != (p - q)[:-1]) | (p[1:] > p[:-1] + size[:-1] + 64)
     first = np.flatnonzero(new)
     stop = np.maximum.reduceat(p + size, first)
-    out = np.stack([p[first], q[first], stop - p[first]], axis=1)
+    out = np.stack([p[first], q[first], stop - p[first], word[first], np.maximum.reduceat(word, first) + WORDS], axis=1)
     return out[np.lexsort((out[:, 1], out[:, 0]))]
 
 
 def chains(seg: np.ndarray) -> list[list[int]]:
-    """Best collinear chains of segments (p, q, length) in order of p, each segment in one chain at most.
+    """Best collinear chains of segments (p, q, length, ...) in order of p, each segment in one chain at most.
 
     A chain's score is its matched bytes less GAP for each byte it skips in either text and SHIFT for each byte that
     the diagonal moves; a segment follows one that ends before it in both texts.
@@ -132,23 +137,38 @@ def chains(seg: np.ndarray) -> list[list[int]]:
     return out
 
 
+def in_long_runs(rid: np.ndarray, word: np.ndarray) -> np.ndarray:
+    """Which seeds lie in a stretch of their document that shared seeds, of whatever lead, cover without a gap for as
+    long as in a passage: seeds of one shared span are WINDOW words apart at most."""
+    order = np.lexsort((word, rid))
+    r, w = rid[order], word[order]
+    new = np.ones(len(r), bool)
+    new[1:] = (r[1:] != r[:-1]) | (w[1:] > w[:-1] + WINDOW)
+    first = np.flatnonzero(new)
+    last = np.append(first[1:], len(r)) - 1
+    long = (w[last] + WORDS - w[first] >= SPANNED) if len(r) else np.zeros(0, bool)
+    out = np.zeros(len(r), bool)
+    out[order] = np.repeat(long, last - first + 1) if len(r) else out
+    return out
+
+
 def _chain_rows(batches):
-    """Streams pairs in order of (rid, lead); one row per chain that may reach a passage's length."""
+    """Streams pairs in order of (rid, lead); one row per chain of each document's long runs of shared seeds."""
     held: list = []
 
     def flush():
         whole = pa.Table.from_batches(held).combine_chunks()
+        whole = whole.filter(pa.array(in_long_runs(whole["rid"].to_numpy(), whole["word"].to_numpy())))
         key = np.stack([whole["rid"].to_numpy(), whole["lead"].to_numpy()], axis=1)
         cut = np.flatnonzero((np.diff(key, axis=0) != 0).any(axis=1)) + 1
-        p, q, size = (whole[c].to_numpy().astype(np.int64) for c in ("off", "lead_off", "size"))
+        p, q, size, word = (whole[c].to_numpy().astype(np.int64) for c in ("off", "lead_off", "size", "word"))
         out: list = [[] for _ in range(7)]
-        for a, b in zip(np.append(0, cut), np.append(cut, len(whole)), strict=True):
-            seg = segments(p[a:b], q[a:b], size[a:b])
+        for a, b in zip(np.append(0, cut), np.append(cut, len(whole)), strict=True) if len(whole) else ():
+            seg = segments(p[a:b], q[a:b], size[a:b], word[a:b])
             for chain in chains(seg):
                 own = seg[chain]
+                own = own[:, :3]
                 lo, hi = own[0, :2], own[-1, :2] + own[-1, 2]
-                if hi[0] - lo[0] + 2 * PAD < 2 * LEAST:  # a word and its space have two bytes at least
-                    continue
                 for c, v in zip(out, (key[a, 0], key[a, 1], lo[0], hi[0], lo[1], hi[1], own.astype("<i4").tobytes()), strict=True):
                     c.append(v)
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
@@ -157,10 +177,10 @@ def _chain_rows(batches):
     for batch in batches:
         if not batch.num_rows:
             continue
-        # all rows of the last pair of documents wait for the next batch
-        rid, lead = batch.column("rid").to_numpy(), batch.column("lead").to_numpy()
-        change = np.flatnonzero((rid[1:] != rid[:-1]) | (lead[1:] != lead[:-1]))
-        if held and (held[-1].column("rid")[-1].as_py(), held[-1].column("lead")[-1].as_py()) != (rid[0], lead[0]):
+        # all rows of the last document wait for the next batch
+        rid = batch.column("rid").to_numpy()
+        change = np.flatnonzero(rid[1:] != rid[:-1])
+        if held and held[-1].column("rid")[-1].as_py() != rid[0]:
             yield flush()
             held.clear()
         if len(change):
@@ -175,13 +195,25 @@ def _chain_rows(batches):
         yield flush()
 
 
-def _words(raw: bytes, first: bool, last: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Hashes, starts and ends of the whole words of a stretch; words that its ends may have cut are left out."""
-    data = np.frombuffer(raw, np.uint8)
-    w = K.Words(data, np.array([0, len(data)]), K.PLAIN)
-    lo = 0 if first or not len(w.start) or w.start[0] > 0 else 1
-    hi = len(w.start) if last or not len(w.end) or w.end[-1] < len(data) else len(w.start) - 1
-    return w.hash[lo:hi], w.start[lo:hi], w.end[lo:hi]
+class Stretches:
+    """Words of many short stretches of text at once; words that a stretch's ends may have cut are left out."""
+
+    def __init__(self, column: pa.Array):
+        ((_, data, self.offsets),) = K.chunks(column, 1 << 40)
+        self.words = K.Words(data, self.offsets, K.PLAIN)
+
+    def of(self, i: int, first: bool, last: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        """Hashes, starts and ends; first and last tell whether the stretch begins and ends with its text."""
+        w, at, size = self.words, self.words.of(i), int(self.offsets[i + 1] - self.offsets[i])
+        lo, hi = at.start, at.stop
+        if lo < hi and not first and w.start[lo] == self.offsets[i]:
+            lo += 1
+        if lo < hi and not last and w.end[hi - 1] - self.offsets[i] == size:
+            hi -= 1
+        return w.hash[lo:hi], w.start[lo:hi] - self.offsets[i], w.end[lo:hi] - self.offsets[i]
+
+    def size(self, i: int) -> int:
+        return int(self.offsets[i + 1] - self.offsets[i])
 
 
 def _equal(x: np.ndarray, y: np.ndarray) -> int:
@@ -190,6 +222,19 @@ def _equal(x: np.ndarray, y: np.ndarray) -> int:
     return int(differ[0]) if len(differ) else m
 
 
+def common_in_order(x: list, y: list) -> int:
+    """Length of the longest common subsequence, one bit for each item of x."""
+    places: dict = {}
+    for i, v in enumerate(x):
+        places[v] = places.get(v, 0) | 1 << i
+    every = (1 << len(x)) - 1
+    row = every
+    for v in y:
+        m = row & places.get(v, 0)
+        row = ((row + m) | (row - m)) & every
+    return len(x) - row.bit_count()
+
+
 def align(a: np.ndarray, b: np.ndarray, anchors: list[tuple[int, int, int]]) -> tuple[int, int, int, int, int]:
     """a0, a1, b0, b1, matched: the stretch that anchors (place in a, place in b, words) span, grown outwards over
     equal words, and how many of its words match in order."""
@@ -206,7 +251,7 @@ def align(a: np.ndarray, b: np.ndarray, anchors: list[tuple[int, int, int]]) ->
             i, j, n = i + cut, j + cut, n - cut
             x, y = a[at_a:i], b[at_b:j]
             if len(x) and len(y) and max(len(x), len(y)) <= GAP_WORDS:
-                matched += sum(m.size for m in SequenceMatcher(None, x.tolist(), y.tolist(), autojunk=False).get_matching_blocks())
+                matched += common_in_order(x.tolist(), y.tolist())
         matched += int((a[i : i + n] == b[j : j + n]).sum())
         at_a, at_b = i + n, j + n
     on = _equal(a[at_a:], b[at_b:])
@@ -214,29 +259,37 @@ def align(a: np.ndarray, b: np.ndarray, anchors: list[tuple[int, int, int]]) ->
 
 
 def _aligned(batches):
-    names = ["rid", "lead", "p0", "p1", "q0", "q1"]
     for batch in batches:
-        cols = {n: batch.column(n).to_pylist() for n in names}
-        out: list = [[] for _ in range(6)]
-        for i in range(batch.num_rows):
-            a_from, b_from = max(0, cols["p0"][i] - PAD), max(0, cols["q0"][i] - PAD)
-            a_raw, b_raw = batch.column("a")[i].as_py(), batch.column("b")[i].as_py()
-            a, a_start, a_end = _words(a_raw, a_from == 0, len(a_raw) < cols["p1"][i] + PAD - a_from)
-            b, b_start, _ = _words(b_raw, b_from == 0, len(b_raw) < cols["q1"][i] + PAD - b_from)
-            anchors = []
-            for p, q, size in np.frombuffer(batch.column("own")[i].as_py(), "<i4").reshape(-1, 3):
-                x0, y0 = np.searchsorted(a_start, p - a_from), np.searchsorted(b_start, q - b_from)
-                n = min(int(np.searchsorted(a_start, p + size - a_from)) - x0, int(np.searchsorted(b_start, q + size - b_from)) - y0)
-                if n > 0:
-                    anchors.append((int(x0), int(y0), int(n)))
-            if not anchors:
-                continue
-            x0, x1, y0, y1, matched = align(a, b, anchors)
-            if x1 - x0 >= LEAST and matched >= IDENTITY * max(x1 - x0, y1 - y0):
-                row = (cols["rid"][i], cols["lead"][i], a_from + int(a_start[x0]), a_from + int(a_end[x1 - 1]), b_from + int(b_start[y0]), x1 - x0)
-                for c, v in zip(out, row, strict=True):
-                    c.append(v)
-        yield pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], ["rid", "lead", "start", "stop", "lead_start", "words"])
+        size = np.cumsum(np.asarray(pc.binary_length(batch.column("a"))).astype(np.int64) + np.asarray(pc.binary_length(batch.column("b"))))
+        cuts = np.flatnonzero(np.diff(size // ALIGN_BYTES)) + 1 if len(size) else []
+        for lo, hi in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
+            if hi > lo:
+                yield _align_rows(batch.slice(lo, hi - lo))
+
+
+def _align_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
+    cols = {n: batch.column(n).to_pylist() for n in ("rid", "lead", "p0", "p1", "q0", "q1", "own")}
+    a_all, b_all = Stretches(batch.column("a")), Stretches(batch.column("b"))
+    out: list = [[] for _ in range(6)]
+    for i in range(batch.num_rows):
+        a_from, b_from = max(0, cols["p0"][i] - PAD), max(0, cols["q0"][i] - PAD)
+        a, a_start, a_end = a_all.of(i, a_from == 0, a_all.size(i) < cols["p1"][i] + PAD - a_from)
+        if len(a) < LEAST:
+            continue
+        b, b_start, _ = b_all.of(i, b_from == 0, b_all.size(i) < cols["q1"][i] + PAD - b_from)
+        own = np.frombuffer(cols["own"][i], "<i4").reshape(-1, 3)
+        x = np.searchsorted(a_start, np.stack([own[:, 0], own[:, 0] + own[:, 2]]) - a_from)
+        y = np.searchsorted(b_start, np.stack([own[:, 1], own[:, 1] + own[:, 2]]) - b_from)
+        n = np.minimum(x[1] - x[0], y[1] - y[0])
+        anchors = [(u, v, w) for u, v, w in zip(x[0].tolist(), y[0].tolist(), n.tolist(), strict=True) if w > 0]
+        if not anchors:
+            continue
+        x0, x1, y0, y1, matched = align(a, b, anchors)
+        if x1 - x0 >= LEAST and matched >= IDENTITY * max(x1 - x0, y1 - y0):
+            row = (cols["rid"][i], cols["lead"][i], a_from + int(a_start[x0]), a_from + int(a_end[x1 - 1]), b_from + int(b_start[y0]), x1 - x0)
+            for c, v in zip(out, row, strict=True):
+                c.append(v)
+    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], ["rid", "lead", "start", "stop", "lead_start", "words"])
 
 
 def numbered(docs: DataFrame) -> DataFrame:
@@ -260,10 +313,11 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     document lead from lead_start on, with IDENTITY of the words equal in order. lead is the least rid that shares a
     seed, so of all copies of a passage one stays unmarked.
     """
-    seeds = docs.select("rid", "text").mapInArrow(_seeds, "h bigint, rid bigint, off int, size int")
+    small_batches(docs.sparkSession)
+    seeds = docs.select("rid", "text").mapInArrow(_seeds, "h bigint, rid bigint, off int, size int, word int")
     first = seeds.groupBy("h").agg(F.min(F.struct("rid", "off")).alias("l"), F.count("*").alias("c")).where("c > 1")
     first = first.select("h", F.col("l.rid").alias("lead"), F.col("l.off").alias("lead_off"))
-    pairs = seeds.join(first, "h").where("rid <> lead or off <> lead_off").select("rid", "lead", "off", "lead_off", "size")
+    pairs = seeds.join(first, "h").where("rid <> lead or off <> lead_off").select("rid", "lead", "off", "lead_off", "size", "word")
     pairs = pairs.repartition(n_parts(docs.sparkSession), "rid").sortWithinPartitions("rid", "lead", "off")
     found = stored(pairs.mapInArrow(_chain_rows, "rid bigint, lead bigint, p0 int, p1 int, q0 int, q1 int, own binary"), "chains")
     texts = docs.select("rid", F.col("text").cast("binary").alias("raw"))
