@@ -25,9 +25,9 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 #: Words of a seed and seeds of a winnowing window; words a passage has at least; share of its words that must match.
 WORDS, WINDOW, LEAST, IDENTITY = 8, 10, 50, 0.8
-#: Cost of a byte of gap against a byte of matched seed, of a byte of shift between the two texts, and bytes of context
-#: around a chain.
-GAP, SHIFT, PAD = 0.25, 0.25, 240
+#: Cost of a word of gap against a matched word, of a word of shift between the two texts; bytes of context around a
+#: chain, and bytes that its last seed may take.
+GAP, SHIFT, PAD, TAIL = 0.25, 0.25, 240, 160
 #: Words of a passage of LEAST words that the seeds in it span at least.
 SPANNED = LEAST - 2 * (WINDOW - 1)
 #: Bytes of text that are cut into words at once for alignment.
@@ -37,10 +37,10 @@ GAP_WORDS = 400
 
 
 def _seeds(batches):
-    """h, rid, off, size, word: kept seeds with the byte place and length and the word place of each."""
+    """h, rid, at: kept seeds and their places, the byte in the upper 32 bits and the word in the lower."""
     for batch in batches:
         ids = batch.column("rid").to_pylist()
-        out: list = [[], [], [], [], []]
+        out: list = [[], [], []]
         for lo, data, offsets in K.chunks(batch.column("text")):
             words = K.Words(data, offsets, K.PLAIN)
             if len(words.hash) < WORDS:
@@ -50,12 +50,9 @@ def _seeds(batches):
             keep = np.flatnonzero(winnow(grams, WINDOW) & (np.arange(len(grams)) + WORDS <= words.bounds[doc + 1]))
             out[0].append(grams[keep].view(np.int64))
             out[1].append(np.array(ids[lo : lo + len(offsets) - 1], np.int64)[doc[keep]])
-            start = words.start[keep]
-            out[2].append((start - offsets[doc[keep]]).astype(np.int32))
-            out[3].append((words.end[keep + WORDS - 1] - start).astype(np.int32))
-            out[4].append((keep - words.bounds[doc[keep]]).astype(np.int32))
-        cols = [np.concatenate(c) if c else np.zeros(0, t) for c, t in zip(out, (np.int64, np.int64, np.int32, np.int32, np.int32), strict=True)]
-        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["h", "rid", "off", "size", "word"])
+            out[2].append((words.start[keep] - offsets[doc[keep]] << 32) + keep - words.bounds[doc[keep]])
+        cols = [np.concatenate(c).astype(np.int64) if c else np.zeros(0, np.int64) for c in out]
+        yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["h", "rid", "at"])
 
 
 class Fenwick:
@@ -80,22 +77,23 @@ class Fenwick:
         return out
 
 
-def segments(p: np.ndarray, q: np.ndarray, size: np.ndarray, word: np.ndarray) -> np.ndarray:
-    """Runs of seeds on one diagonal that touch or nearly so, as rows (p, q, length, first word, word after the last)."""
+def segments(p: np.ndarray, q: np.ndarray, p_byte: np.ndarray, q_byte: np.ndarray) -> np.ndarray:
+    """Runs of seeds on one diagonal that touch or nearly so, as rows (p, q, length in words, bytes of the first seed in
+    both texts, bytes of the last)."""
     order = np.lexsort((p, p - q))
-    p, q, size, word = p[order], q[order], size[order], word[order]
+    p, q, p_byte, q_byte = p[order], q[order], p_byte[order], q_byte[order]
     new = np.ones(len(p), bool)
-    new[1:] = ((p - q)[1:] != (p - q)[:-1]) | (p[1:] > p[:-1] + size[:-1] + 64)
+    new[1:] = ((p - q)[1:] != (p - q)[:-1]) | (p[1:] > p[:-1] + 2 * WORDS)
     first = np.flatnonzero(new)
-    stop = np.maximum.reduceat(p + size, first)
-    out = np.stack([p[first], q[first], stop - p[first], word[first], np.maximum.reduceat(word, first) + WORDS], axis=1)
+    last = np.append(first[1:], len(p)) - 1
+    out = np.stack([p[first], q[first], p[last] + WORDS - p[first], p_byte[first], q_byte[first], p_byte[last], q_byte[last]], axis=1)
     return out[np.lexsort((out[:, 1], out[:, 0]))]
 
 
 def chains(seg: np.ndarray) -> list[list[int]]:
     """Best collinear chains of segments (p, q, length, ...) in order of p, each segment in one chain at most.
 
-    A chain's score is its matched bytes less GAP for each byte it skips in either text and SHIFT for each byte that
+    A chain's score is its matched words less GAP for each word it skips in either text and SHIFT for each word that
     the diagonal moves; a segment follows one that ends before it in both texts.
     """
     n = len(seg)
@@ -158,18 +156,18 @@ def _chain_rows(batches):
 
     def flush():
         whole = pa.Table.from_batches(held).combine_chunks()
-        whole = whole.filter(pa.array(in_long_runs(whole["rid"].to_numpy(), whole["word"].to_numpy())))
+        whole = whole.filter(pa.array(in_long_runs(whole["rid"].to_numpy(), whole["at"].to_numpy() & 0xFFFFFFFF)))
         key = np.stack([whole["rid"].to_numpy(), whole["lead"].to_numpy()], axis=1)
         cut = np.flatnonzero((np.diff(key, axis=0) != 0).any(axis=1)) + 1
-        p, q, size, word = (whole[c].to_numpy().astype(np.int64) for c in ("off", "lead_off", "size", "word"))
+        at, lead_at = whole["at"].to_numpy(), whole["lead_at"].to_numpy()
+        p, q, p_byte, q_byte = at & 0xFFFFFFFF, lead_at & 0xFFFFFFFF, at >> 32, lead_at >> 32
         out: list = [[] for _ in range(7)]
         for a, b in zip(np.append(0, cut), np.append(cut, len(whole)), strict=True) if len(whole) else ():
-            seg = segments(p[a:b], q[a:b], size[a:b], word[a:b])
+            seg = segments(p[a:b], q[a:b], p_byte[a:b], q_byte[a:b])
             for chain in chains(seg):
                 own = seg[chain]
-                own = own[:, :3]
-                lo, hi = own[0, :2], own[-1, :2] + own[-1, 2]
-                for c, v in zip(out, (key[a, 0], key[a, 1], lo[0], hi[0], lo[1], hi[1], own.astype("<i4").tobytes()), strict=True):
+                places = (own[:, :3] - [own[0, 0], own[0, 1], 0]).astype("<i4").tobytes()
+                for c, v in zip(out, (key[a, 0], key[a, 1], own[0, 3], own[-1, 5], own[0, 4], own[-1, 6], places), strict=True):
                     c.append(v)
         kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
         return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["rid", "lead", "p0", "p1", "q0", "q1", "own"])
@@ -273,15 +271,16 @@ def _align_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
     out: list = [[] for _ in range(6)]
     for i in range(batch.num_rows):
         a_from, b_from = max(0, cols["p0"][i] - PAD), max(0, cols["q0"][i] - PAD)
-        a, a_start, a_end = a_all.of(i, a_from == 0, a_all.size(i) < cols["p1"][i] + PAD - a_from)
+        a, a_start, a_end = a_all.of(i, a_from == 0, a_all.size(i) < cols["p1"][i] + TAIL + PAD - a_from)
         if len(a) < LEAST:
             continue
-        b, b_start, _ = b_all.of(i, b_from == 0, b_all.size(i) < cols["q1"][i] + PAD - b_from)
-        own = np.frombuffer(cols["own"][i], "<i4").reshape(-1, 3)
-        x = np.searchsorted(a_start, np.stack([own[:, 0], own[:, 0] + own[:, 2]]) - a_from)
-        y = np.searchsorted(b_start, np.stack([own[:, 1], own[:, 1] + own[:, 2]]) - b_from)
-        n = np.minimum(x[1] - x[0], y[1] - y[0])
-        anchors = [(u, v, w) for u, v, w in zip(x[0].tolist(), y[0].tolist(), n.tolist(), strict=True) if w > 0]
+        b, b_start, _ = b_all.of(i, b_from == 0, b_all.size(i) < cols["q1"][i] + TAIL + PAD - b_from)
+        u0, v0 = int(np.searchsorted(a_start, cols["p0"][i] - a_from)), int(np.searchsorted(b_start, cols["q0"][i] - b_from))
+        anchors = []
+        for u, v, n in np.frombuffer(cols["own"][i], "<i4").reshape(-1, 3).tolist():
+            n = min(n, len(a) - u0 - u, len(b) - v0 - v)
+            if n > 0:
+                anchors.append((u0 + u, v0 + v, n))
         if not anchors:
             continue
         x0, x1, y0, y1, matched = align(a, b, anchors)
@@ -314,11 +313,11 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     seed, so of all copies of a passage one stays unmarked.
     """
     small_batches(docs.sparkSession)
-    seeds = docs.select("rid", "text").mapInArrow(_seeds, "h bigint, rid bigint, off int, size int, word int")
-    first = seeds.groupBy("h").agg(F.min(F.struct("rid", "off")).alias("l"), F.count("*").alias("c")).where("c > 1")
-    first = first.select("h", F.col("l.rid").alias("lead"), F.col("l.off").alias("lead_off"))
-    pairs = seeds.join(first, "h").where("rid <> lead or off <> lead_off").select("rid", "lead", "off", "lead_off", "size", "word")
-    pairs = pairs.repartition(n_parts(docs.sparkSession), "rid").sortWithinPartitions("rid", "lead", "off")
+    seeds = docs.select("rid", "text").mapInArrow(_seeds, "h bigint, rid bigint, at bigint")
+    first = seeds.groupBy("h").agg(F.min(F.struct("rid", "at")).alias("l"), F.count("*").alias("c")).where("c > 1")
+    first = first.select("h", F.col("l.rid").alias("lead"), F.col("l.at").alias("lead_at"))
+    pairs = seeds.join(first, "h").where("rid <> lead or at <> lead_at").select("rid", "lead", "at", "lead_at")
+    pairs = pairs.repartition(n_parts(docs.sparkSession), "rid").sortWithinPartitions("rid", "lead", "at")
     found = stored(pairs.mapInArrow(_chain_rows, "rid bigint, lead bigint, p0 int, p1 int, q0 int, q1 int, own binary"), "chains")
     texts = docs.select("rid", F.col("text").cast("binary").alias("raw"))
     return _align_chains(found, texts)
@@ -327,7 +326,7 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
 def _align_chains(found: DataFrame, texts: DataFrame) -> DataFrame:
     def stretch(lo: str, hi: str):
         at = F.greatest(F.col(lo) - PAD, F.lit(0))
-        return F.substring(F.col("raw"), at + 1, F.col(hi) + PAD - at)
+        return F.substring(F.col("raw"), at + 1, F.col(hi) + TAIL + PAD - at)
 
     own = found.join(texts, "rid").withColumn("a", stretch("p0", "p1")).drop("raw")
     both = own.join(texts.withColumnRenamed("rid", "lead"), "lead").withColumn("b", stretch("q0", "q1")).drop("raw")
