@@ -231,6 +231,45 @@ def test_passages(spark, docs):
     assert passages.marked(docs.limit(0)).count() == 0
 
 
+@pytest.mark.parametrize("every", [10, 15, 20])
+def test_passages_with_changed_words(spark, every):
+    rows, kept = [], {}
+    for k in range(12):
+        base = long_text(1000 + 17 * k, 300)
+        base = [f"{w}k{k}" if i % 3 else f"{w}i{i}" for i, w in enumerate(base)]
+        copy = [f"new{k}x{i}" if i % every == every // 2 else w for i, w in enumerate(base)]
+        rows += [(k, " ".join(base)), (100 + k, " ".join(copy))]
+        kept[100 + k] = len(" ".join(copy))
+    got = {r.doc_id: r for r in passages.marked(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    share = {i: got[i].repeated_bytes / n for i, n in kept.items()}
+    assert min(share.values()) >= 0.9
+    assert all(len(got[i].spans) == 1 and got[i].spans[0].lead_id == i - 100 for i in kept)
+    assert all(got[k].n_spans == 0 for k in range(12))
+
+
+def test_parts_of_a_failing_chain_are_judged_alone(spark):
+    rows, expect = [], {}
+    for k, gap in enumerate((60, 100, 150)):
+        one, two = [f"a{k}x{i}" for i in range(100)], [f"b{k}x{i}" for i in range(100)]
+        rows += [(k, " ".join(one + two)), (100 + k, " ".join(one + [f"g{k}x{i}" for i in range(gap)] + two))]
+        expect[100 + k] = len(" ".join(one)) + len(" ".join(two))
+    got = {r.doc_id: r for r in passages.marked(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {i: got[i].repeated_bytes for i in expect} == expect and all(got[i].n_spans == 2 for i in expect)
+
+
+@pytest.mark.parametrize("size", [30, 90, 400])
+def test_passages_of_long_words_are_whole(spark, size):
+    rows, expect = [], {}
+    for k in range(8):
+        word = lambda name: hashlib.sha512(name.encode()).hexdigest() * 4
+        shared = " ".join(word(f"{k} {i}")[:size] for i in range(50 + k))
+        around = [" ".join(word(f"{side} {k} {i}")[:size] for i in range(30)) for side in "abcd"]
+        rows += [(k, f"{around[0]} {shared} {around[1]}"), (100 + k, f"{around[2]} {shared} {around[3]}")]
+        expect[100 + k] = (len(around[2]) + 1, len(around[2]) + 1 + len(shared))
+    got = {r.doc_id: r for r in passages.marked(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert {i: [(s.start, s.stop) for s in got[i].spans] for i in expect} == {i: [v] for i, v in expect.items()}
+
+
 def test_chains_and_common_subsequence():
     import numpy as np
 

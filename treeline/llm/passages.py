@@ -3,7 +3,7 @@
 Seeds are the k-mers that winnowing keeps, so every shared span of W + K - 1 words has one. Each occurrence of a seed
 is paired with the first occurrence (least document, least place) only, never with all others. The pairs of two
 documents are chained in order with a cost for gaps, by a Fenwick tree over the second document's places; the chains'
-stretches of text are then aligned word by word, from seed to seed and outwards.
+stretches of text are then aligned word by word, from seed to seed and outwards, over differing words too.
 """
 
 from __future__ import annotations
@@ -14,7 +14,7 @@ import numpy as np
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark import cloudpickle
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -28,8 +28,9 @@ WORDS, WINDOW, LEAST, IDENTITY = 8, 10, 50, 0.8
 #: Cost of a word of gap against a matched word, of a word of shift between the two texts; bytes of context around a
 #: chain, and bytes that its last seed may take.
 GAP, SHIFT, PAD, TAIL = 0.25, 0.25, 240, 160
-#: Words of a passage of LEAST words that the seeds in it span at least.
-SPANNED = LEAST - 2 * (WINDOW - 1)
+#: Score of a differing word against 1 for an equal one: a stretch of IDENTITY has 0. How far a growing end may fall
+#: below its best score.
+DIFFER, DROP = -IDENTITY / (1 - IDENTITY), 30.0
 #: Bytes of text that are cut into words at once for alignment.
 ALIGN_BYTES = 500_000
 #: Gaps longer than so many words are not aligned: their words count as different.
@@ -135,28 +136,12 @@ def chains(seg: np.ndarray) -> list[list[int]]:
     return out
 
 
-def in_long_runs(rid: np.ndarray, word: np.ndarray) -> np.ndarray:
-    """Which seeds lie in a stretch of their document that shared seeds, of whatever lead, cover without a gap for as
-    long as in a passage: seeds of one shared span are WINDOW words apart at most."""
-    order = np.lexsort((word, rid))
-    r, w = rid[order], word[order]
-    new = np.ones(len(r), bool)
-    new[1:] = (r[1:] != r[:-1]) | (w[1:] > w[:-1] + WINDOW)
-    first = np.flatnonzero(new)
-    last = np.append(first[1:], len(r)) - 1
-    long = (w[last] + WORDS - w[first] >= SPANNED) if len(r) else np.zeros(0, bool)
-    out = np.zeros(len(r), bool)
-    out[order] = np.repeat(long, last - first + 1) if len(r) else out
-    return out
-
-
 def _chain_rows(batches):
-    """Streams pairs in order of (rid, lead); one row per chain of each document's long runs of shared seeds."""
+    """Streams pairs in order of (rid, lead); one row per chain."""
     held: list = []
 
     def flush():
         whole = pa.Table.from_batches(held).combine_chunks()
-        whole = whole.filter(pa.array(in_long_runs(whole["rid"].to_numpy(), whole["at"].to_numpy() & 0xFFFFFFFF)))
         key = np.stack([whole["rid"].to_numpy(), whole["lead"].to_numpy()], axis=1)
         cut = np.flatnonzero((np.diff(key, axis=0) != 0).any(axis=1)) + 1
         at, lead_at = whole["at"].to_numpy(), whole["lead_at"].to_numpy()
@@ -196,28 +181,61 @@ def _chain_rows(batches):
 class Stretches:
     """Words of many short stretches of text at once; words that a stretch's ends may have cut are left out."""
 
-    def __init__(self, column: pa.Array):
-        ((_, data, self.offsets),) = K.chunks(column, 1 << 40)
-        self.words = K.Words(data, self.offsets, K.PLAIN)
-
-    def of(self, i: int, first: bool, last: bool) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Hashes, starts and ends; first and last tell whether the stretch begins and ends with its text."""
-        w, at, size = self.words, self.words.of(i), int(self.offsets[i + 1] - self.offsets[i])
-        lo, hi = at.start, at.stop
-        if lo < hi and not first and w.start[lo] == self.offsets[i]:
-            lo += 1
-        if lo < hi and not last and w.end[hi - 1] - self.offsets[i] == size:
-            hi -= 1
-        return w.hash[lo:hi], w.start[lo:hi] - self.offsets[i], w.end[lo:hi] - self.offsets[i]
-
-    def size(self, i: int) -> int:
-        return int(self.offsets[i + 1] - self.offsets[i])
-
-
-def _equal(x: np.ndarray, y: np.ndarray) -> int:
-    m = min(len(x), len(y))
-    differ = np.flatnonzero(x[:m] != y[:m])
-    return int(differ[0]) if len(differ) else m
+    def __init__(self, column: pa.Array, begins: np.ndarray, least_size: np.ndarray):
+        """begins tells which stretches begin with their text; those shorter than least_size end with it."""
+        ((_, data, offsets),) = K.chunks(column, 1 << 40)
+        words = K.Words(data, offsets, K.PLAIN)
+        self.hash, self.start, self.end, self.offsets = words.hash, words.start, words.end, offsets
+        self.ends = np.diff(offsets) < least_size
+        self.begins = begins
+        lo, hi = words.bounds[:-1].copy(), words.bounds[1:].copy()
+        some = lo < hi
+        lo[some] += ~begins[some] & (self.start[lo[some]] == offsets[:-1][some])
+        some = lo < hi
+        hi[some] -= ~self.ends[some] & (self.end[hi[some] - 1] == offsets[1:][some])
+        self.lo, self.hi = lo, hi
+
+    def place(self, byte: np.ndarray) -> np.ndarray:
+        """The word that starts at a byte of each stretch."""
+        return np.maximum(np.searchsorted(self.start, self.offsets[:-1] + byte), self.lo)
+
+
+def grown(a: np.ndarray, b: np.ndarray, i: np.ndarray, j: np.ndarray, i_room: np.ndarray, j_room: np.ndarray, step: int):
+    """Words of a and of b, and equal ones among them, by which many stretches grow in one direction at once.
+
+    i, j: the first words outside; i_room, j_room: how many there are. Equal words count 1 and differing ones DIFFER;
+    each end stops at its best score, and is given up DROP below it. A differing word is taken as put in, left out or
+    changed, by the two words that follow. Also tells how far was looked in both.
+    """
+    n = len(i)
+    now = np.zeros((4, n))  # words of a, of b, equal words, score
+    best = np.zeros((4, n))
+    act = np.flatnonzero((i_room > 0) & (j_room > 0))
+    while len(act):
+        u, v = now[0, act].astype(np.int64), now[1, act].astype(np.int64)
+
+        def same(of: np.ndarray, du: int, dv: int) -> np.ndarray:
+            x, y, at = u[of] + du, v[of] + dv, act[of]  # noqa: B023
+            ok = np.flatnonzero((x < i_room[at]) & (y < j_room[at]))
+            out = np.zeros(len(of), bool)
+            out[ok] = a[i[at[ok]] + step * x[ok]] == b[j[at[ok]] + step * y[ok]]
+            return out
+
+        move = np.ones((4, len(act)))
+        off = np.flatnonzero(~same(np.arange(len(act)), 0, 0))
+        if len(off):
+            move[2:, off] = [[0], [DIFFER]]
+            other = off[~same(off, 1, 1)]
+            if len(other):
+                more = same(other, 1, 0) & same(other, 2, 1)
+                less = ~more & same(other, 0, 1) & same(other, 1, 2)
+                move[1, other[more]] = 0
+                move[0, other[less]] = 0
+        now[:, act] += move
+        up = act[now[3, act] > best[3, act]]
+        best[:, up] = now[:, up]
+        act = act[(now[3, act] >= best[3, act] - DROP) & (now[0, act] < i_room[act]) & (now[1, act] < j_room[act])]
+    return best[:3].astype(np.int64), now[:2].astype(np.int64)
 
 
 def common_in_order(x: list, y: list) -> int:
@@ -233,62 +251,112 @@ def common_in_order(x: list, y: list) -> int:
     return len(x) - row.bit_count()
 
 
-def align(a: np.ndarray, b: np.ndarray, anchors: list[tuple[int, int, int]]) -> tuple[int, int, int, int, int]:
-    """a0, a1, b0, b1, matched: the stretch that anchors (place in a, place in b, words) span, grown outwards over
-    equal words, and how many of its words match in order."""
-    matched, at_a, at_b = 0, None, None
-    for i, j, n in anchors:
-        if at_a is None:
-            back = _equal(a[:i][::-1], b[:j][::-1])
-            a0, b0, matched = i - back, j - back, back
-        else:
-            i2, j2 = max(i, at_a), max(j, at_b)
-            cut = max(i2 - i, j2 - j)
+def columns(a: np.ndarray, b: np.ndarray, anchors: np.ndarray) -> np.ndarray:
+    """Rows (words of a, words of b, equal ones) of the stretch that anchors (place in a, place in b, words) span: one
+    for each word of an anchor and one for each gap."""
+    out, at_a, at_b = [], None, None
+    for i, j, n in anchors.tolist():
+        if at_a is not None:
+            cut = max(max(i, at_a) - i, max(j, at_b) - j)
             if cut >= n:
                 continue
             i, j, n = i + cut, j + cut, n - cut
             x, y = a[at_a:i], b[at_b:j]
-            if len(x) and len(y) and max(len(x), len(y)) <= GAP_WORDS:
-                matched += common_in_order(x.tolist(), y.tolist())
-        matched += int((a[i : i + n] == b[j : j + n]).sum())
+            if len(x) or len(y):
+                near = len(x) and len(y) and max(len(x), len(y)) <= GAP_WORDS
+                out.append(np.array([[len(x), len(y), common_in_order(x.tolist(), y.tolist()) if near else 0]]))
+        out.append(np.ones((n, 3), np.int64))
+        out[-1][:, 2] = a[i : i + n] == b[j : j + n]
         at_a, at_b = i + n, j + n
-    on = _equal(a[at_a:], b[at_b:])
-    return a0, at_a + on, b0, at_b + on, matched + on
+    return np.concatenate(out)
 
 
-def _aligned(batches):
-    for batch in batches:
-        size = np.cumsum(np.asarray(pc.binary_length(batch.column("a"))).astype(np.int64) + np.asarray(pc.binary_length(batch.column("b"))))
-        cuts = np.flatnonzero(np.diff(size // ALIGN_BYTES)) + 1 if len(size) else []
-        for lo, hi in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
-            if hi > lo:
-                yield _align_rows(batch.slice(lo, hi - lo))
-
-
-def _align_rows(batch: pa.RecordBatch) -> pa.RecordBatch:
-    cols = {n: batch.column(n).to_pylist() for n in ("rid", "lead", "p0", "p1", "q0", "q1", "own")}
-    a_all, b_all = Stretches(batch.column("a")), Stretches(batch.column("b"))
-    out: list = [[] for _ in range(6)]
-    for i in range(batch.num_rows):
-        a_from, b_from = max(0, cols["p0"][i] - PAD), max(0, cols["q0"][i] - PAD)
-        a, a_start, a_end = a_all.of(i, a_from == 0, a_all.size(i) < cols["p1"][i] + TAIL + PAD - a_from)
-        if len(a) < LEAST:
+def stretches_above(score: np.ndarray) -> list[tuple[int, int]]:
+    """Where the maximal stretches of positive score begin and end, found in one pass."""
+    kept: list = []
+    total = 0.0
+    for k, s in enumerate(score.tolist()):
+        total += s
+        if s <= 0:
             continue
-        b, b_start, _ = b_all.of(i, b_from == 0, b_all.size(i) < cols["q1"][i] + TAIL + PAD - b_from)
-        u0, v0 = int(np.searchsorted(a_start, cols["p0"][i] - a_from)), int(np.searchsorted(b_start, cols["q0"][i] - b_from))
-        anchors = []
-        for u, v, n in np.frombuffer(cols["own"][i], "<i4").reshape(-1, 3).tolist():
-            n = min(n, len(a) - u0 - u, len(b) - v0 - v)
-            if n > 0:
-                anchors.append((u0 + u, v0 + v, n))
-        if not anchors:
-            continue
-        x0, x1, y0, y1, matched = align(a, b, anchors)
-        if x1 - x0 >= LEAST and matched >= IDENTITY * max(x1 - x0, y1 - y0):
-            row = (cols["rid"][i], cols["lead"][i], a_from + int(a_start[x0]), a_from + int(a_end[x1 - 1]), b_from + int(b_start[y0]), x1 - x0)
-            for c, v in zip(out, row, strict=True):
-                c.append(v)
-    return pa.RecordBatch.from_arrays([pa.array(c, pa.int64()) for c in out], ["rid", "lead", "start", "stop", "lead_start", "words"])
+        own = (k, k + 1, total - s, total)
+        while True:
+            at = len(kept) - 1
+            while at >= 0 and kept[at][2] >= own[2]:
+                at -= 1
+            if at < 0 or kept[at][3] >= own[3]:
+                break
+            own = (kept[at][0], k + 1, kept[at][2], total)
+            del kept[at:]
+        kept.append(own)
+    return [(lo, hi) for lo, hi, _, _ in kept]
+
+
+def _aligned(pad: int):
+    def run(batches):
+        for batch in batches:
+            size = np.cumsum(np.asarray(pc.binary_length(batch.column("a"))).astype(np.int64) + np.asarray(pc.binary_length(batch.column("b"))))
+            cuts = np.flatnonzero(np.diff(size // ALIGN_BYTES)) + 1 if len(size) else []
+            for lo, hi in zip([0, *cuts], [*cuts, batch.num_rows], strict=True):
+                if hi > lo:
+                    yield _align_rows(batch.slice(lo, hi - lo), pad)
+
+    return run
+
+
+def _align_rows(batch: pa.RecordBatch, pad: int) -> pa.RecordBatch:
+    """Spans found, without own, and with own the chains that equal words still follow where their text is cut."""
+    rid, lead, p0, p1, q0, q1 = (batch.column(c).to_numpy().astype(np.int64) for c in ("rid", "lead", "p0", "p1", "q0", "q1"))
+    a_from, b_from = np.maximum(0, p0 - pad), np.maximum(0, q0 - pad)
+    a = Stretches(batch.column("a"), a_from == 0, p1 + TAIL + pad - a_from)
+    b = Stretches(batch.column("b"), b_from == 0, q1 + TAIL + pad - b_from)
+    packed = batch.column("own").cast(pa.large_binary())
+    cut = np.frombuffer(packed.buffers()[1], np.int64)[packed.offset : packed.offset + len(packed) + 1] // 12
+    own = np.frombuffer(packed.buffers()[2], "<i4", int(cut[-1]) * 3).reshape(-1, 3).astype(np.int64)
+    x0, y0 = a.place(p0 - a_from), b.place(q0 - b_from)
+    last = own[cut[1:] - 1]
+    x1, y1 = x0 + last[:, 0] + last[:, 2], y0 + last[:, 1] + last[:, 2]
+    is_open = (x1 > a.hi) | (y1 > b.hi)
+    row = np.flatnonzero(~is_open)
+    x0, x1, y0, y1 = x0[row], x1[row], y0[row], y1[row]
+
+    def grow(row, x0, x1, y0, y1):
+        """The stretches grown both ways, and the equal words added."""
+        rooms = [(x0 - a.lo[row], y0 - b.lo[row]), (a.hi[row] - x1, b.hi[row] - y1)]
+        back, seen = grown(a.hash, b.hash, x0 - 1, y0 - 1, *rooms[0], -1)
+        is_open[row[((seen[0] + 2 >= rooms[0][0]) & ~a.begins[row]) | ((seen[1] + 2 >= rooms[0][1]) & ~b.begins[row])]] = True
+        on, seen = grown(a.hash, b.hash, x1, y1, *rooms[1], 1)
+        is_open[row[((seen[0] + 2 >= rooms[1][0]) & ~a.ends[row]) | ((seen[1] + 2 >= rooms[1][1]) & ~b.ends[row])]] = True
+        return np.stack([x0 - back[0], x1 + on[0], y0 - back[1], y1 + on[1], back[2] + on[2]], axis=1)
+
+    out: list = []
+
+    def judge(i: int, w: np.ndarray, equal: int) -> bool:
+        passed = w[1] - w[0] >= LEAST and equal + w[4] >= IDENTITY * max(w[1] - w[0], w[3] - w[2])
+        if passed:
+            out.append((i, *w[:4]))
+        return bool(passed)
+
+    g = grow(row, x0, x1, y0, y1)
+    parts: list = []
+    for k in np.flatnonzero(~is_open[row] & (g[:, 1] - g[:, 0] >= LEAST)).tolist():
+        i = int(row[k])
+        col = columns(a.hash, b.hash, own[cut[i] : cut[i + 1]] + [x0[k], y0[k], 0])
+        if not judge(i, g[k], int(col[:, 2].sum())):
+            at = np.concatenate([[[0, 0, 0]], np.cumsum(col, axis=0)])
+            for lo, hi in stretches_above(col[:, 2] + DIFFER * (col[:, :2].max(axis=1) - col[:, 2])):
+                parts.append((i, x0[k] + at[lo, 0], x0[k] + at[hi, 0], y0[k] + at[lo, 1], y0[k] + at[hi, 1], at[hi, 2] - at[lo, 2]))
+    if parts:
+        own_parts = np.array(parts, np.int64)
+        for part, w in zip(own_parts.tolist(), grow(*own_parts[:, :5].T), strict=True):
+            judge(part[0], w, part[5])
+    done = np.array(out, np.int64).reshape(-1, 5)
+    i, u0, u1, v0, _ = done[~is_open[done[:, 0]]].T
+    spans = (rid[i], lead[i], a_from[i] + a.start[u0] - a.offsets[i], a_from[i] + a.end[u1 - 1] - a.offsets[i], b_from[i] + b.start[v0] - b.offsets[i], u1 - u0, 0 * i)
+    o = np.flatnonzero(is_open)
+    cols = [pa.array(np.concatenate(c), pa.int64()) for c in zip(spans, (rid[o], lead[o], p0[o], p1[o], q0[o], 0 * o, q1[o]), strict=True)]
+    cols.append(pa.concat_arrays([pa.nulls(len(i), pa.binary()), batch.column("own").take(pa.array(o))]))
+    return pa.RecordBatch.from_arrays(cols, ["rid", "lead", "start", "stop", "lead_start", "words", "q1", "own"])
 
 
 def numbered(docs: DataFrame) -> DataFrame:
@@ -324,14 +392,33 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
 
 
 def _align_chains(found: DataFrame, texts: DataFrame) -> DataFrame:
+    """Chains aligned in PAD bytes of context; those that go on past it in more, up to whole texts."""
+    pad, spans = PAD, None
+    while True:
+        out = stored(_align_within(found, texts, pad), "aligned")
+        own = out.where("own is null").select("rid", "lead", "start", "stop", "lead_start", "words")
+        spans = own if spans is None else spans.union(own)
+        found = out.where("own is not null").selectExpr("rid", "lead", "start p0", "stop p1", "lead_start q0", "q1", "own")
+        if found.isEmpty():
+            return _widest(spans)
+        pad = min(16 * pad, 1 << 30)
+
+
+def _align_within(found: DataFrame, texts: DataFrame, pad: int) -> DataFrame:
     def stretch(lo: str, hi: str):
-        at = F.greatest(F.col(lo) - PAD, F.lit(0))
-        return F.substring(F.col("raw"), at + 1, F.col(hi) + TAIL + PAD - at)
+        at = F.greatest(F.col(lo) - pad, F.lit(0))
+        return F.substring(F.col("raw"), (at + 1).cast("int"), (F.col(hi) + TAIL + pad - at).cast("int"))
 
     own = found.join(texts, "rid").withColumn("a", stretch("p0", "p1")).drop("raw")
     both = own.join(texts.withColumnRenamed("rid", "lead"), "lead").withColumn("b", stretch("q0", "q1")).drop("raw")
     cols = ["rid", "lead", "p0", "p1", "q0", "q1", "own", "a", "b"]
-    return both.select(*cols).mapInArrow(_aligned, "rid bigint, lead bigint, start bigint, stop bigint, lead_start bigint, words bigint")
+    return both.select(*cols).mapInArrow(_aligned(pad), "rid bigint, lead bigint, start bigint, stop bigint, lead_start bigint, words bigint, q1 bigint, own binary")
+
+
+def _widest(spans: DataFrame) -> DataFrame:
+    """Spans that no other span of the same two documents holds: several chains may grow into one passage."""
+    before = Window.partitionBy("rid", "lead").orderBy("start", F.desc("stop"), "lead_start").rowsBetween(Window.unboundedPreceding, -1)
+    return spans.withColumn("held", F.coalesce(F.max("stop").over(before) >= F.col("stop"), F.lit(False))).where("not held").drop("held")
 
 
 def marked(docs: DataFrame) -> DataFrame:
