@@ -195,9 +195,9 @@ class Stretches:
         hi[some] -= ~self.ends[some] & (self.end[hi[some] - 1] == offsets[1:][some])
         self.lo, self.hi = lo, hi
 
-    def place(self, byte: np.ndarray) -> np.ndarray:
-        """The word that starts at a byte of each stretch."""
-        return np.maximum(np.searchsorted(self.start, self.offsets[:-1] + byte), self.lo)
+    def place(self, t: np.ndarray, byte: np.ndarray) -> np.ndarray:
+        """The words that start at a byte of the stretches t."""
+        return np.maximum(np.searchsorted(self.start, self.offsets[t] + byte), self.lo[t])
 
 
 def grown(a: np.ndarray, b: np.ndarray, i: np.ndarray, j: np.ndarray, i_room: np.ndarray, j_room: np.ndarray, step: int):
@@ -292,7 +292,7 @@ def stretches_above(score: np.ndarray) -> list[tuple[int, int]]:
     return [(lo, hi) for lo, hi, _, _ in kept]
 
 
-def _aligned(pad: int):
+def _aligned(pad: int | None):
     def run(batches):
         for batch in batches:
             size = np.cumsum(np.asarray(pc.binary_length(batch.column("a"))).astype(np.int64) + np.asarray(pc.binary_length(batch.column("b"))))
@@ -304,29 +304,39 @@ def _aligned(pad: int):
     return run
 
 
-def _align_rows(batch: pa.RecordBatch, pad: int) -> pa.RecordBatch:
-    """Spans found, without own, and with own the chains that equal words still follow where their text is cut."""
-    rid, lead, p0, p1, q0, q1 = (batch.column(c).to_numpy().astype(np.int64) for c in ("rid", "lead", "p0", "p1", "q0", "q1"))
-    a_from, b_from = np.maximum(0, p0 - pad), np.maximum(0, q0 - pad)
-    a = Stretches(batch.column("a"), a_from == 0, p1 + TAIL + pad - a_from)
-    b = Stretches(batch.column("b"), b_from == 0, q1 + TAIL + pad - b_from)
-    packed = batch.column("own").cast(pa.large_binary())
+def _align_rows(batch: pa.RecordBatch, pad: int | None) -> pa.RecordBatch:
+    """Spans found, without own, and with own the chains that equal words still follow where their text is cut.
+
+    With pad, each row is a chain in its stretches; without, all chains (items) of two documents in their whole texts.
+    """
+    if pad is None:
+        items = batch.column("items")
+        t = np.repeat(np.arange(len(batch)), np.diff(np.asarray(items.offsets)))
+        flat = pa.RecordBatch.from_struct_array(items.flatten())
+    else:
+        t, flat = np.arange(len(batch)), batch
+    rid, lead = (batch.column(c).to_numpy()[t] for c in ("rid", "lead"))
+    p0, p1, q0, q1 = (flat.column(c).to_numpy().astype(np.int64) for c in ("p0", "p1", "q0", "q1"))
+    a_from, b_from = (np.maximum(0, v - pad) if pad else 0 * v for v in (p0, q0))
+    whole = np.ones(len(batch), bool)
+    a = Stretches(batch.column("a"), a_from == 0 if pad else whole, p1 + TAIL + pad - a_from if pad else np.inf)
+    b = Stretches(batch.column("b"), b_from == 0 if pad else whole, q1 + TAIL + pad - b_from if pad else np.inf)
+    packed = flat.column("own").cast(pa.large_binary())
     cut = np.frombuffer(packed.buffers()[1], np.int64)[packed.offset : packed.offset + len(packed) + 1] // 12
     own = np.frombuffer(packed.buffers()[2], "<i4", int(cut[-1]) * 3).reshape(-1, 3).astype(np.int64)
-    x0, y0 = a.place(p0 - a_from), b.place(q0 - b_from)
+    x0, y0 = a.place(t, p0 - a_from), b.place(t, q0 - b_from)
     last = own[cut[1:] - 1]
     x1, y1 = x0 + last[:, 0] + last[:, 2], y0 + last[:, 1] + last[:, 2]
-    is_open = (x1 > a.hi) | (y1 > b.hi)
-    row = np.flatnonzero(~is_open)
-    x0, x1, y0, y1 = x0[row], x1[row], y0[row], y1[row]
+    is_open = (x1 > a.hi[t]) | (y1 > b.hi[t])
 
     def grow(row, x0, x1, y0, y1):
         """The stretches grown both ways, and the equal words added."""
-        rooms = [(x0 - a.lo[row], y0 - b.lo[row]), (a.hi[row] - x1, b.hi[row] - y1)]
+        at = t[row]
+        rooms = [(x0 - a.lo[at], y0 - b.lo[at]), (a.hi[at] - x1, b.hi[at] - y1)]
         back, seen = grown(a.hash, b.hash, x0 - 1, y0 - 1, *rooms[0], -1)
-        is_open[row[((seen[0] + 2 >= rooms[0][0]) & ~a.begins[row]) | ((seen[1] + 2 >= rooms[0][1]) & ~b.begins[row])]] = True
+        is_open[row[((seen[0] + 2 >= rooms[0][0]) & ~a.begins[at]) | ((seen[1] + 2 >= rooms[0][1]) & ~b.begins[at])]] = True
         on, seen = grown(a.hash, b.hash, x1, y1, *rooms[1], 1)
-        is_open[row[((seen[0] + 2 >= rooms[1][0]) & ~a.ends[row]) | ((seen[1] + 2 >= rooms[1][1]) & ~b.ends[row])]] = True
+        is_open[row[((seen[0] + 2 >= rooms[1][0]) & ~a.ends[at]) | ((seen[1] + 2 >= rooms[1][1]) & ~b.ends[at])]] = True
         return np.stack([x0 - back[0], x1 + on[0], y0 - back[1], y1 + on[1], back[2] + on[2]], axis=1)
 
     out: list = []
@@ -337,25 +347,46 @@ def _align_rows(batch: pa.RecordBatch, pad: int) -> pa.RecordBatch:
             out.append((i, *w[:4]))
         return bool(passed)
 
-    g = grow(row, x0, x1, y0, y1)
-    parts: list = []
-    for k in np.flatnonzero(~is_open[row] & (g[:, 1] - g[:, 0] >= LEAST)).tolist():
-        i = int(row[k])
-        col = columns(a.hash, b.hash, own[cut[i] : cut[i + 1]] + [x0[k], y0[k], 0])
-        if not judge(i, g[k], int(col[:, 2].sum())):
-            at = np.concatenate([[[0, 0, 0]], np.cumsum(col, axis=0)])
-            for lo, hi in stretches_above(col[:, 2] + DIFFER * (col[:, :2].max(axis=1) - col[:, 2])):
-                parts.append((i, x0[k] + at[lo, 0], x0[k] + at[hi, 0], y0[k] + at[lo, 1], y0[k] + at[hi, 1], at[hi, 2] - at[lo, 2]))
-    if parts:
-        own_parts = np.array(parts, np.int64)
-        for part, w in zip(own_parts.tolist(), grow(*own_parts[:, :5].T), strict=True):
-            judge(part[0], w, part[5])
+    def align(row: np.ndarray) -> None:
+        g = grow(row, x0[row], x1[row], y0[row], y1[row])
+        parts: list = []
+        for k in np.flatnonzero(~is_open[row] & (g[:, 1] - g[:, 0] >= LEAST)).tolist():
+            i = int(row[k])
+            col = columns(a.hash, b.hash, own[cut[i] : cut[i + 1]] + [x0[i], y0[i], 0])
+            if not judge(i, g[k], int(col[:, 2].sum())):
+                at = np.concatenate([[[0, 0, 0]], np.cumsum(col, axis=0)])
+                for lo, hi in stretches_above(col[:, 2] + DIFFER * (col[:, :2].max(axis=1) - col[:, 2])):
+                    parts.append((i, x0[i] + at[lo, 0], x0[i] + at[hi, 0], y0[i] + at[lo, 1], y0[i] + at[hi, 1], at[hi, 2] - at[lo, 2]))
+        if parts:
+            own_parts = np.array(parts, np.int64)
+            for part, w in zip(own_parts.tolist(), grow(*own_parts[:, :5].T), strict=True):
+                judge(part[0], w, part[5])
+
+    left = np.flatnonzero(~is_open)
+    if pad:
+        align(left)
+    left = left[np.lexsort((x0[left], t[left]))] if not pad else left[:0]
+    while len(left):
+        # the first chain left of each two documents; what its spans hold, with all equal words around, is done too
+        first = np.ones(len(left), bool)
+        first[1:] = t[left][1:] != t[left][:-1]
+        had = len(out)
+        align(left[first])
+        left = left[~first]
+        lo, hi = np.full(len(batch), np.iinfo(np.int64).max), np.zeros(len(batch), np.int64)
+        for i, u0, u1, _, _ in out[had:]:
+            if u1 - u0 > hi[t[i]] - lo[t[i]]:
+                lo[t[i]], hi[t[i]] = u0, u1
+        at = t[left]
+        held = ((lo[at] <= x0[left] - WINDOW) | (lo[at] == a.lo[at])) & ((x1[left] + WINDOW <= hi[at]) | (hi[at] == a.hi[at]))
+        left = left[~(held & (lo[at] <= x0[left]) & (x1[left] <= hi[at]))]
     done = np.array(out, np.int64).reshape(-1, 5)
     i, u0, u1, v0, _ = done[~is_open[done[:, 0]]].T
-    spans = (rid[i], lead[i], a_from[i] + a.start[u0] - a.offsets[i], a_from[i] + a.end[u1 - 1] - a.offsets[i], b_from[i] + b.start[v0] - b.offsets[i], u1 - u0, 0 * i)
+    begin, stop, lead_begin = a.start[u0] - a.offsets[t[i]], a.end[u1 - 1] - a.offsets[t[i]], b.start[v0] - b.offsets[t[i]]
+    spans = (rid[i], lead[i], a_from[i] + begin, a_from[i] + stop, b_from[i] + lead_begin, u1 - u0, 0 * i)
     o = np.flatnonzero(is_open)
     cols = [pa.array(np.concatenate(c), pa.int64()) for c in zip(spans, (rid[o], lead[o], p0[o], p1[o], q0[o], 0 * o, q1[o]), strict=True)]
-    cols.append(pa.concat_arrays([pa.nulls(len(i), pa.binary()), batch.column("own").take(pa.array(o))]))
+    cols.append(pa.concat_arrays([pa.nulls(len(i), pa.binary()), flat.column("own").take(pa.array(o, pa.int64()))]))
     return pa.RecordBatch.from_arrays(cols, ["rid", "lead", "start", "stop", "lead_start", "words", "q1", "own"])
 
 
@@ -391,28 +422,26 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     return _align_chains(found, texts)
 
 
+_SPANS = "rid bigint, lead bigint, start bigint, stop bigint, lead_start bigint, words bigint, q1 bigint, own binary"
+
+
 def _align_chains(found: DataFrame, texts: DataFrame) -> DataFrame:
-    """Chains aligned in PAD bytes of context; those that go on past it in more, up to whole texts."""
-    pad, spans = PAD, None
-    while True:
-        out = stored(_align_within(found, texts, pad), "aligned")
-        own = out.where("own is null").select("rid", "lead", "start", "stop", "lead_start", "words")
-        spans = own if spans is None else spans.union(own)
-        found = out.where("own is not null").selectExpr("rid", "lead", "start p0", "stop p1", "lead_start q0", "q1", "own")
-        if found.isEmpty():
-            return _widest(spans)
-        pad = min(16 * pad, 1 << 30)
-
-
-def _align_within(found: DataFrame, texts: DataFrame, pad: int) -> DataFrame:
+    """Chains aligned in PAD bytes of context; those that go on past it, all of two documents together, in whole texts."""
+
     def stretch(lo: str, hi: str):
-        at = F.greatest(F.col(lo) - pad, F.lit(0))
-        return F.substring(F.col("raw"), (at + 1).cast("int"), (F.col(hi) + TAIL + pad - at).cast("int"))
+        at = F.greatest(F.col(lo) - PAD, F.lit(0))
+        return F.substring(F.col("raw"), at + 1, F.col(hi) + TAIL + PAD - at)
+
+    def beside(chains: DataFrame, a, b) -> DataFrame:
+        own = chains.join(texts, "rid").withColumn("a", a).drop("raw")
+        return own.join(texts.withColumnRenamed("rid", "lead"), "lead").withColumn("b", b).drop("raw")
 
-    own = found.join(texts, "rid").withColumn("a", stretch("p0", "p1")).drop("raw")
-    both = own.join(texts.withColumnRenamed("rid", "lead"), "lead").withColumn("b", stretch("q0", "q1")).drop("raw")
     cols = ["rid", "lead", "p0", "p1", "q0", "q1", "own", "a", "b"]
-    return both.select(*cols).mapInArrow(_aligned(pad), "rid bigint, lead bigint, start bigint, stop bigint, lead_start bigint, words bigint, q1 bigint, own binary")
+    near = stored(beside(found, stretch("p0", "p1"), stretch("q0", "q1")).select(*cols).mapInArrow(_aligned(PAD), _SPANS), "aligned")
+    item = F.struct(F.col("start").alias("p0"), F.col("stop").alias("p1"), F.col("lead_start").alias("q0"), "q1", "own")
+    going = near.where("own is not null").groupBy("rid", "lead").agg(F.collect_list(item).alias("items"))
+    far = beside(going, F.col("raw"), F.col("raw")).select("rid", "lead", "items", "a", "b").mapInArrow(_aligned(None), _SPANS)
+    return _widest(near.where("own is null").union(far).select("rid", "lead", "start", "stop", "lead_start", "words"))
 
 
 def _widest(spans: DataFrame) -> DataFrame:
