@@ -194,6 +194,14 @@ def test_surrogates(spark):
     assert pii.with_surrogates(docs, "other").where("doc_id = 0").first().text != got[0].text
 
 
+def test_secrets_of_any_length_and_keys_of_letters(spark):
+    token, key = "aB3x" * 100, "AKIA" + "QWERTYUIOPASDFGH"
+    docs = spark.createDataFrame([(0, f'token = "{token}"'), (1, f"the key {key} is here"), (2, f"password: '{token[:200]}c'")], "doc_id long, text string")
+    got = {r.doc_id: r for r in pii.with_surrogates(docs, "k").collect()}
+    assert token[:20] not in got[0].text and key not in got[1].text and token[:20] not in got[2].text
+    assert [got[i].n_entities for i in range(3)] == [1, 1, 1] and len(got[0].text) == len(docs.first().text)
+
+
 def test_colliding_surrogates_are_keyed_anew(spark):
     texts = [f"Mr. Person{chr(97 + i % 26)}{chr(97 + i // 26)}" for i in range(120)] + ["Mr. Personaa and Mr. Personba"]
     docs = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")

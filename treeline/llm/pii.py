@@ -26,12 +26,13 @@ PATTERNS = {
     "ip": r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)\.){3}(?:25[0-5]|2[0-4]\d|1\d\d|[1-9]?\d)(?!\.?\d)",
     "phone": r"(?<![\d+(])(?:\+\d{1,3}[ .\-]?)?(?:\(\d{2,4}\)[ .\-]?|\d{3}[.\-])\d{3,4}[ .\-]\d{4}(?!\d)|(?<![\d+])\+\d{1,3}(?:[ .\-]?\d{2,4}){2,4}(?!\d)",
     "card": r"(?<!\d)(?:\d{13,19}|\d{4}[ \-]\d{4}[ \-]\d{4}[ \-]\d{4}|\d{4}[ \-]\d{6}[ \-]\d{5})(?!\d)",
-    "secret": r"(?<=(?i:token|secret|password|passwd|api_key|apikey|key)[ ]{0,2}[:=][ ]{0,2}[\"'])[^\"'\s]{8,200}+(?=[\"'])|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])",
+    "secret": r"(?<=(?i:token|secret|password|passwd|api_key|apikey|key)[ ]{0,2}[:=][ ]{0,2}[\"'])[^\"'\s]{8,}+(?=[\"'])|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])",
     "name": rf"(?<![\p{{L}}\p{{N}}]){_TITLE}\.? \p{{Lu}}[\p{{L}}'\-]{{1,40}}+(?: \p{{Lu}}[\p{{L}}'\-]{{1,40}}+)?",
 }
 PATTERN = "|".join(PATTERNS.values())
-#: A text without any of these holds no entity: all kinds but names have a digit or an @ or a quote in or before them.
-CUE = rf"[0-9@]|[\"']|{_TITLE}\.? \p{{Lu}}"
+#: A text without any of these holds no entity: all kinds but names and access keys have a digit or an @ or a quote in or
+#: before them.
+CUE = rf"[0-9@]|[\"']|AKIA|{_TITLE}\.? \p{{Lu}}"
 #: Up to so many entities with a surrogate keyed anew are held in expressions; more are joined to the texts.
 RENAMED_INLINE = 2_000
 ROUNDS = 12
@@ -143,7 +144,9 @@ def _surrogate(v: Column, kind: Column, attempt: Column, h: Column) -> Column:
         .otherwise(F.lit(""))
     )
     rest = F.when(kind == "email", F.concat(F.regexp_extract(v, r"^([^@]*)@", 1), F.lit("@abcdef"))).otherwise(F.substring(v, F.length(start) + 1, F.length(v)))
-    mixed = _scrambled(rest, h, (kind == "secret") & v.rlike("^[0-9a-f]{16,}$"))
+    # in pieces, since the work on one grows with the square of its length
+    pieces = F.regexp_extract_all(rest, F.lit("(?s).{1,200}"), F.lit(0))
+    mixed = F.array_join(F.transform(pieces, lambda x: _scrambled(x, h, (kind == "secret") & v.rlike("^[0-9a-f]{16,}$"))), "")
     return (
         F.when(kind == "ip", F.concat_ws(".", F.lit("10"), octet(1), octet(2), octet(3)))
         .when(kind == "name", _name(v, h, attempt))
