@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import contextlib
+import gc
 import tempfile
 import uuid
 
@@ -40,25 +41,41 @@ def stored(df: DataFrame, name: str, partition_by: list[str] | None = None) -> D
     return spark.read.schema(df.schema).parquet(path)
 
 
-_noted: list[str] | None = None
+_noted: list | None = None
+
+
+def send(spark: SparkSession, value):
+    """A broadcast of plain arrays (executors need no copy of the package to read it)."""
+    out = spark.sparkContext.broadcast(value)
+    if _noted is not None:
+        _noted.append(out)
+    return out
 
 
 @contextlib.contextmanager
-def noting(paths: list[str]):
-    """Notes in paths what stored() writes meanwhile, for drop_stored() once it is no longer read."""
+def noting(kept: list):
+    """Notes in kept what stored() writes and send() sends meanwhile, for drop_stored() once nothing reads it."""
     global _noted
-    before, _noted = _noted, paths
+    before, _noted = _noted, kept
     try:
-        yield paths
+        yield kept
     finally:
         _noted = before
 
 
-def drop_stored(spark: SparkSession, paths: list[str]) -> None:
+def drop_stored(spark: SparkSession, kept: list) -> None:
+    """Deletes stored tables and broadcasts, and has the driver collect what hung on them: Spark's cleaner frees the
+    shuffles and broadcasts of executors only once the driver's own garbage goes."""
     jvm, conf = spark._jvm, spark._jsc.hadoopConfiguration()
-    for path in paths:
-        at = jvm.org.apache.hadoop.fs.Path(path)
-        at.getFileSystem(conf).delete(at, True)
+    for x in kept:
+        if isinstance(x, str):
+            at = jvm.org.apache.hadoop.fs.Path(x)
+            at.getFileSystem(conf).delete(at, True)
+        else:
+            x.destroy()
+    if kept:
+        gc.collect()
+        jvm.System.gc()
 
 
 #: Bitmaps of row numbers are sent to every task up to so many bytes (8 for each 16 rows or so at least).

@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import small_batches, stored, table
+from .common import send, small_batches, stored, table
 from .components import components
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -309,7 +309,7 @@ def _sets(docs: DataFrame, classes: DataFrame, pairs: DataFrame, k: int) -> Data
     """cls, shingles of the classes in pairs, made from the texts of their representatives."""
     asked = pairs.select(F.col("a").alias("cls")).union(pairs.select(F.col("b").alias("cls"))).distinct()
     asked = stored(asked.join(classes.select("cls", "rep"), "cls"), "asked")
-    sent = docs.sparkSession.sparkContext.broadcast(bitmap(asked))
+    sent = send(docs.sparkSession, bitmap(asked))
     sets = docs.mapInArrow(_set_rows(k, sent), "cls binary, shingles binary").join(asked.select("cls"), "cls", "left_semi")
     return stored(sets.groupBy("cls").agg(F.any_value("shingles").alias("shingles")), "sets")
 

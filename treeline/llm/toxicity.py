@@ -1,17 +1,17 @@
 """Toxicity by two class-conditional Kneser-Ney models of how words are spelt.
 
-A word is the path of its first DEPTH bytes (and an end mark) through a tree. Each class has its own counts of every
-step; both discount them by D and hand the freed mass to one shared backoff, which counts in how many word types of
-either class a step occurs. A word's log-likelihood ratio is the sum over its steps; steps that neither class has
-seen cost only the classes' backoff weights, so rare words are judged by what is known of their beginnings. A text is
-judged by the mean ratio over its words (length-normalised), the share of strongly marked words and the largest
-ratio, turned into a probability on labelled rows that the counts have not seen.
+A word is a path of bytes and an end mark, each step conditioned on the bytes of the word before it, REACH - 1 at most
+(of a longer word the last ones, so every byte counts). Each class has its own counts of every step; both discount
+them by D and hand the freed mass to one shared backoff, which counts in how many word types of either class a step
+occurs. A word's log-likelihood ratio is the sum over its steps; steps that neither class has seen cost only the
+classes' backoff weights, so rare words are judged by what is known of their parts. A text is judged by the mean ratio
+over its words (length-normalised), the share of words that lean to toxic, how many different ones are marked as such
+and the largest ratio, turned into a probability on labelled rows that the counts have not seen.
 """
 
 from __future__ import annotations
 
 import sys
-from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
@@ -20,38 +20,85 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import small_batches, stored, table
+from .common import send, small_batches, stored, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
-DEPTH = 10
-#: A word is strongly marked from this log-likelihood ratio on.
-STRONG = 2.0
-#: Most labelled rows that the final probability is fitted on; the counts take all the others.
+#: Bytes of a word that a step sees, itself included.
+REACH = 10
+#: From which log-likelihood ratios on a word leans to toxic, and is marked.
+STRONG, MARKED = 2.0, 6.0
+#: Labelled rows that the final probability is fitted on, at most; the counts take all the others.
 CALIBRATION_ROWS = 20_000
-#: Most words a task holds before it puts out their counts.
-HELD_WORDS = 150_000
-#: Most tree nodes sent to every task at once (16 bytes each); a larger tree is sent and applied in slices.
-NODES_SENT = 4_000_000
+#: Most words, and bytes of words, a task holds before it puts out their counts.
+HELD_WORDS, HELD_BYTES = 150_000, 8_000_000
+#: Most steps of the model sent to every task (16 bytes each, 64 MB); a larger model is joined to the words instead.
+STEPS_SENT = 4_000_000
 TOXIC_FROM = 0.7
 _ID_BITS = 1 << 26
+_TURN, _SLID = np.uint64(0x9E3779B97F4A7C15), np.uint64(0x2545F4914F6CDD1D)
+#: The context of a word's first byte.
+ROOT = 0
 
 
 def held_out(doc_id):
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
-def _paths(words: K.Words, at: np.ndarray) -> np.ndarray:
-    """Rows of DEPTH bytes for words: the first bytes, then the end mark 0; what follows the end mark is 0 too."""
+def _spelt(words: K.Words, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The words at, one after the other, each closed by a byte 0 (no word has one), and where each begins."""
     lengths = words.end[at] - words.start[at]
-    place = np.arange(DEPTH)
-    idx = np.minimum(words.start[at][:, None] + place, max(len(words.bytes) - 1, 0))
-    return np.where(place < lengths[:, None], words.bytes[idx], 0).astype(np.uint8)
+    first = np.cumsum(lengths + 1) - lengths - 1
+    out = np.zeros(int(lengths.sum()) + len(at), np.uint8)
+    place = np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+    out[np.repeat(first, lengths) + place] = words.bytes[np.repeat(words.start[at], lengths) + place]
+    return out, first
+
+
+def _step(context: np.ndarray, byte: np.ndarray) -> np.ndarray:
+    return K.mix(context * _TURN + byte.astype(np.uint64) + np.uint64(1))
+
+
+def _steps(spelt: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The context of every byte of the words and the step from it, as hashes.
+
+    The first REACH bytes of a word have all bytes before them as context, so a step is the next one's context; later
+    ones have the REACH - 1 bytes before them, wherever they stand.
+    """
+    n = len(spelt)
+    lengths = np.diff(np.append(first, n))
+    context, step = np.zeros(n, np.uint64), np.zeros(n, np.uint64)
+    at, h = first, np.full(len(first), ROOT, np.uint64)
+    for j in range(REACH):
+        left = lengths > j
+        at, h, lengths = at[left], h[left], lengths[left]
+        context[at + j] = h
+        h = _step(h, spelt[at + j])
+        step[at + j] = h
+    rest = lengths > REACH
+    if rest.any():
+        at, lengths = at[rest] + REACH, lengths[rest] - REACH
+        late = np.repeat(at, lengths) + np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+        h = np.full(len(late), _SLID, np.uint64)
+        for d in range(REACH - 1, 0, -1):
+            h = h * _TURN + spelt[late - d].astype(np.uint64) + np.uint64(1)
+        context[late] = K.mix(h)
+        step[late] = _step(context[late], spelt[late])
+    return context, step
+
+
+def _plain_words(batch: pa.RecordBatch):
+    """Row range, words, the distinct ones and which of these each word is, for chunks of the batch."""
+    for lo, data, offsets in K.chunks(batch.column("text")):
+        words = K.Words(data, offsets, K.PLAIN)
+        _, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
+        yield slice(lo, lo + len(offsets) - 1), words, first, inverse
 
 
 def _count_words(batches):
-    """word (path with its end mark), toxic, ordinary: counts, summed over what a task can hold."""
+    """word, toxic, ordinary: texts of each class with the word, summed over what a task can hold."""
     held: dict = {}
+    size = 0
 
     def rows():
         keys = list(held)
@@ -60,113 +107,132 @@ def _count_words(batches):
 
     for batch in batches:
         label = np.asarray(batch.column("toxic"))
-        for lo, data, offsets in K.chunks(batch.column("text")):
-            words = K.Words(data, offsets, K.PLAIN)
-            if not len(words.hash):
-                continue
-            _, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
-            own = np.repeat(label[lo : lo + len(offsets) - 1], np.diff(words.bounds))
-            toxic = np.bincount(inverse, weights=own, minlength=len(first)).astype(np.int64)
-            total = np.bincount(inverse, minlength=len(first))
-            paths = _paths(words, first)
-            lengths = np.minimum(words.end[first] - words.start[first] + 1, DEPTH)
-            for row, m, t, n in zip(paths, lengths.tolist(), toxic.tolist(), total.tolist(), strict=True):
-                key = row[:m].tobytes()
+        for own, words, first, inverse in _plain_words(batch):
+            doc = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
+            doc, which = np.divmod(np.unique(doc * max(1, len(first)) + inverse), max(1, len(first)))
+            toxic = np.bincount(which, weights=label[own][doc], minlength=len(first)).astype(np.int64)
+            total = np.bincount(which, minlength=len(first))
+            for j, t, n in zip(first.tolist(), toxic.tolist(), total.tolist(), strict=True):
+                key = words.text(j)
                 old = held.get(key)
                 held[key] = (t, n - t) if old is None else (old[0] + t, old[1] + n - t)
-            if len(held) > HELD_WORDS:
+                size += len(key) if old is None else 0
+            if len(held) > HELD_WORDS or size > HELD_BYTES:
                 yield rows()
                 held.clear()
+                size = 0
     yield rows()
 
 
-def _node_hash(parent: np.ndarray, byte: np.ndarray) -> np.ndarray:
-    return K.mix(parent * np.uint64(0x9E3779B97F4A7C15) + byte.astype(np.uint64) + np.uint64(1))
-
-
-@dataclass
-class Tree:
-    """One slice of the model: node hashes in order, the ratio of the step to a node, and of an unseen step from it."""
-
-    keys: np.ndarray
-    step: np.ndarray
-    unseen: np.ndarray
-    root_unseen: float
-    slice_no: int
-    slices: int
-
-    def ratios(self, paths: np.ndarray) -> np.ndarray:
-        """Log-likelihood ratio of each word; 0 for words of other slices."""
-        n = len(paths)
-        out, h = np.zeros(n), np.zeros(n, np.uint64)
-        unseen, going = np.full(n, self.root_unseen), np.ones(n, bool)
-        if self.slices > 1:
-            going &= word_slice(paths[:, 0], paths[:, 1], self.slices) == self.slice_no
-        for j in range(DEPTH):
-            at = np.flatnonzero(going)
-            if not len(at):
-                break
-            h[at] = _node_hash(h[at], paths[at, j])
-            found = np.searchsorted(self.keys, h[at])
-            found[found == len(self.keys)] = 0
-            known = self.keys[found] == h[at] if len(self.keys) else np.zeros(len(at), bool)
-            out[at] += np.where(known, self.step[found] if len(self.keys) else 0, unseen[at])
-            unseen[at] = self.unseen[found] if len(self.keys) else 0
-            going[at] = known & (paths[at, j] != 0)
+def _count_steps(batches):
+    """step, context, toxic, ordinary, types of distinct words (word, toxic, ordinary), summed by batch."""
+    for batch in batches:
+        counts = [np.asarray(batch.column(c)) for c in ("toxic", "ordinary")]
+        for lo, data, offsets in K.chunks(batch.column("word")):
+            n = np.diff(offsets)
+            spelt = np.zeros(len(data) + len(n), np.uint8)
+            first = offsets[:-1] + np.arange(len(n))
+            spelt[np.arange(len(data)) + np.repeat(np.arange(len(n)), n)] = data
+            context, step = _steps(spelt, first)
+            step, at, inverse = np.unique(step, return_index=True, return_inverse=True)
+            own = [np.repeat(c[lo : lo + len(n)], n + 1) for c in counts]
+            own.append((own[0] > 0).astype(np.int64) + (own[1] > 0))
+            sums = [np.bincount(inverse, weights=c, minlength=len(step)).astype(np.int64) for c in own]
+            cols = [step.view(np.int64), context[at].view(np.int64), *sums]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["step", "context", "toxic", "ordinary", "types"])
+
+
+class _Model:
+    """Keys in order with the ratio of each as a step, and of steps unseen in it as a context; read by upper bits."""
+
+    def __init__(self, keys: np.ndarray, step: np.ndarray, unseen: np.ndarray):
+        self.keys, self.step, self.unseen = keys, step, unseen
+        bits = max(1, len(keys).bit_length() - 1)
+        self.shift = np.uint64(64 - bits)
+        self.index = np.zeros((1 << bits) + 1, np.int64)
+        np.cumsum(np.bincount((keys >> self.shift).astype(np.int64), minlength=1 << bits), out=self.index[1:])
+
+    def find(self, h: np.ndarray) -> np.ndarray:
+        """The place of each hash among the keys, or -1."""
+        if not len(self.keys):
+            return np.full(len(h), -1)
+        top = (h >> self.shift).astype(np.int64)
+        at, end = self.index[top], self.index[top + 1]
+        out, left = np.full(len(h), -1), np.flatnonzero(at < end)
+        at = at.copy()
+        while len(left):
+            key = self.keys[at[left]]
+            hit = left[key == h[left]]
+            out[hit] = at[hit]
+            left = left[key < h[left]]
+            at[left] += 1
+            left = left[at[left] < end[left]]
         return out
 
+    def ratios(self, spelt: np.ndarray, first: np.ndarray) -> np.ndarray:
+        """Log-likelihood ratio of each word: its known steps, and the unseen ones from known contexts."""
+        if not len(first):
+            return np.zeros(0)
+        context, step = _steps(spelt, first)
+        at = self.find(step)
+        out = np.where(at >= 0, self.step[at] if len(self.step) else 0.0, 0.0)
+        new = np.flatnonzero(at < 0)
+        at = self.find(context[new])
+        out[new] = np.where(at >= 0, self.unseen[at] if len(self.unseen) else 0.0, 0.0)
+        return np.add.reduceat(out, first)
+
 
-def word_slice(first, second, slices: int):
-    return (first.astype(np.int64) * 257 + second) % slices
+def _per_text(words: K.Words, ratio: np.ndarray, inverse: np.ndarray) -> list[np.ndarray]:
+    """Words, sum of their ratios, strong words, the largest ratio above 0 and different marked words, for each text.
+    inverse tells equal words apart from others."""
+    b = words.bounds
+    total, strong = np.append(0, np.cumsum(ratio)), np.append(0, np.cumsum(ratio >= STRONG))
+    top = np.zeros(len(b) - 1)
+    some = np.flatnonzero(b[1:] > b[:-1])
+    if len(some):
+        top[some] = np.maximum(np.maximum.reduceat(ratio, b[some]), 0)
+    marked = np.flatnonzero(ratio >= MARKED)
+    own = np.unique(np.stack([np.searchsorted(b, marked, side="right") - 1, inverse[marked]]), axis=1)[0]
+    return [np.diff(b), total[b[1:]] - total[b[:-1]], strong[b[1:]] - strong[b[:-1]], top, np.bincount(own, minlength=len(b) - 1)]
+
+
+_ADDED = (("__n", pa.int64()), ("__s", pa.float64()), ("__strong", pa.int64()), ("__top", pa.float64()), ("__marks", pa.int64()))
 
 
 def _features(sent, keep_text: bool):
-    """__n, __s, __strong, __top of each text for one slice of the tree, in place of text or beside it."""
+    """The columns _ADDED of each text, in place of text or beside it."""
 
     def run(batches):
-        tree = sent.value
+        model = _Model(*sent.value)
         for batch in batches:
-            cols = {n: [] for n in ("n", "s", "strong", "top")}
-            for _, data, offsets in K.chunks(batch.column("text")):
-                words = K.Words(data, offsets, K.PLAIN)
-                if len(words.hash):
-                    _, first, inverse = np.unique(words.hash, return_index=True, return_inverse=True)
-                    ratio = tree.ratios(_paths(words, first))[inverse]
-                else:
-                    ratio = np.zeros(0)
-                b = words.bounds
-                total = np.concatenate([[0], np.cumsum(ratio)])
-                strong = np.concatenate([[0], np.cumsum(ratio >= STRONG)])
-                cols["n"].append(np.diff(b))
-                cols["s"].append(total[b[1:]] - total[b[:-1]])
-                cols["strong"].append(strong[b[1:]] - strong[b[:-1]])
-                cols["top"].append(np.array([max(0.0, ratio[x:y].max()) if y > x else 0.0 for x, y in zip(b[:-1], b[1:], strict=True)]))
+            cols: list = [[] for _ in _ADDED]
+            for _, words, first, inverse in _plain_words(batch):
+                ratio = model.ratios(*_spelt(words, first))[inverse]
+                for c, v in zip(cols, _per_text(words, ratio, inverse), strict=True):
+                    c.append(v)
             out = {n: batch.column(n) for n in batch.schema.names if keep_text or n != "text"}
-            for name, kind in (("n", pa.int64()), ("s", pa.float64()), ("strong", pa.int64()), ("top", pa.float64())):
-                out[f"__{name}"] = pa.array(np.concatenate(cols[name]) if cols[name] else [], kind)
+            out |= {name: pa.array(np.concatenate(c) if c else [], kind) for (name, kind), c in zip(_ADDED, cols, strict=True)}
             yield pa.RecordBatch.from_pydict(out)
 
     return run
 
 
-def _tree_table(words: DataFrame) -> DataFrame:
-    """node, step, unseen from word, toxic, ordinary: the smoothed log-likelihood ratios of every step."""
-    kinds = words.select("word", "toxic", "ordinary", ((F.col("toxic") > 0).cast("int") + (F.col("ordinary") > 0).cast("int")).alias("types"))
-    prefixes = F.transform(F.sequence(F.lit(1), F.length("word")), lambda j: F.substring(F.col("word"), F.lit(1), j))
-    steps = kinds.select(F.explode(prefixes).alias("node"), "toxic", "ordinary", "types")
-    nodes = stored(steps.groupBy("node").agg(*[F.sum(c).alias(c) for c in ("toxic", "ordinary", "types")]), "nodes")
-    nodes = nodes.withColumn("parent", F.substring(F.col("node"), F.lit(1), F.length("node") - 1))
-    few = nodes.agg(*[F.sum((F.col(c) == i).cast("long")).alias(f"{c}{i}") for c in ("toxic", "ordinary", "types") for i in (1, 2)]).first()
+def _model_table(words: DataFrame) -> DataFrame:
+    """key, step, unseen from word, toxic, ordinary: the smoothed log-likelihood ratios of every step."""
+    counts = ("toxic", "ordinary", "types")
+    steps = words.mapInArrow(_count_steps, "step bigint, context bigint, toxic bigint, ordinary bigint, types bigint")
+    steps = stored(steps.groupBy("step").agg(F.min("context").alias("context"), *[F.sum(c).alias(c) for c in counts]), "steps")
+    few = steps.agg(*[F.sum((F.col(c) == i).cast("long")).alias(f"{c}{i}") for c in counts for i in (1, 2)]).first()
 
     def discount(c: str) -> float:
         one, two = few[f"{c}1"] or 0, few[f"{c}2"] or 0
         return min(0.9, max(0.1, one / (one + 2 * two) if one else 0.5))
 
-    d = {c: F.lit(discount(c)) for c in ("toxic", "ordinary", "types")}
-    total = nodes.groupBy("parent").agg(
+    d = {c: F.lit(discount(c)) for c in counts}
+    total = steps.groupBy("context").agg(
         *[F.sum(c).alias(f"{c}_all") for c in d], *[F.sum((F.col(c) > 0).cast("long")).alias(f"{c}_kinds") for c in d]
     )
-    x = nodes.join(total, "parent")
+    x = steps.join(total, "context")
     shared = (F.greatest(F.col("types") - d["types"], F.lit(0.0)) + d["types"] * F.col("types_kinds") / 256) / F.col("types_all")
 
     def backoff(c: str):
@@ -176,60 +242,84 @@ def _tree_table(words: DataFrame) -> DataFrame:
         own = F.when(F.col(f"{c}_all") > 0, F.greatest(F.col(c) - d[c], F.lit(0.0)) / F.col(f"{c}_all")).otherwise(0.0)
         return own + backoff(c) * shared
 
-    step = x.select("node", F.log(chance("toxic") / chance("ordinary")).alias("step"))
-    unseen = total.select(F.col("parent").alias("node"), F.log(backoff("toxic") / backoff("ordinary")).alias("unseen"))
-    return step.join(unseen, "node", "full").select("node", F.coalesce("step", F.lit(0.0)).alias("step"), F.coalesce("unseen", F.lit(0.0)).alias("unseen"))
-
-
-def _trees(model: DataFrame) -> list:
-    """The model as slices of at most NODES_SENT nodes, on average, each a broadcast."""
-    spark = model.sparkSession
-    model = stored(model, "tree")
-    slices = max(1, -(-model.count() // NODES_SENT))
-    top = model.where(F.length("node") == 0).first()
-    out = []
-    for i in range(slices):
-        part = model.where(F.length("node") > 0)
-        if slices > 1:
-            byte = [F.conv(F.hex(F.substring(F.col("node"), F.lit(j), F.lit(1))), 16, 10).cast("int") for j in (1, 2)]
-            own = (byte[0] * 257 + F.coalesce(byte[1], F.lit(0))) % slices == i
-            part = part.where(own | (F.length("node") == 1))
-        rows = part.toArrow()
-        keys = np.zeros(len(rows), np.uint64)
-        names = rows["node"].combine_chunks().cast(pa.large_binary())
-        ends = np.frombuffer(names.buffers()[1], np.int64)[names.offset : names.offset + len(names) + 1] if len(names) else np.zeros(1, np.int64)
-        lengths = np.diff(ends)
-        flat = np.zeros((len(lengths), DEPTH), np.uint8)
-        if len(lengths):
-            flat[np.arange(DEPTH) < lengths[:, None]] = np.frombuffer(names.buffers()[2], np.uint8)[ends[0] : ends[-1]]
-        for j in range(DEPTH):
-            at = lengths > j
-            keys[at] = _node_hash(keys[at], flat[at, j])
-        order = np.argsort(keys)
-        out.append(spark.sparkContext.broadcast(Tree(keys[order], rows["step"].to_numpy()[order], rows["unseen"].to_numpy()[order], top["unseen"] if top else 0.0, i, slices)))
-    return out
-
-
-def _text_features(docs: DataFrame, trees: list, keep_text: bool = False) -> DataFrame:
-    """docs with __n, __s, __strong, __top, and without text unless it is kept. A tree of several slices takes one
-    pass over the texts for each slice, whose parts are added up by row."""
-    added = "__n bigint, __s double, __strong bigint, __top double"
-    if len(trees) == 1:
-        own = docs if keep_text else docs.drop("text")
-        schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in own.schema.fields), added])
-        return docs.mapInArrow(_features(trees[0], keep_text), schema)
+    step = x.select(F.col("step").alias("key"), F.log(chance("toxic") / chance("ordinary")).cast("float").alias("step"))
+    unseen = total.select(F.col("context").alias("key"), F.log(backoff("toxic") / backoff("ordinary")).cast("float").alias("unseen"))
+    none = F.lit(0.0).cast("float")
+    return step.join(unseen, "key", "full").select("key", F.coalesce("step", none).alias("step"), F.coalesce("unseen", none).alias("unseen"))
+
+
+def _sent(model: DataFrame):
+    """The model, of STEPS_SENT rows at most, as a broadcast of three arrays in order of the keys."""
+    rows = model.toArrow()
+    keys, step, unseen = (rows[c].to_numpy() for c in ("key", "step", "unseen"))
+    del rows
+    order = np.argsort(keys.view(np.uint64))
+    return send(model.sparkSession, (keys.view(np.uint64)[order], step[order], unseen[order]))
+
+
+def _distinct_words(batches):
+    """__row, hash, n, word: the words of each text with their counts; the spelling only with a word's first text."""
+    for batch in batches:
+        row = np.asarray(batch.column("__row"))
+        for own, words, first, inverse in _plain_words(batch):
+            doc = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
+            pair, n = np.unique(doc * max(1, len(first)) + inverse, return_counts=True)
+            which = pair % max(1, len(first))
+            _, at = np.unique(which, return_index=True)
+            spelt: list = [None] * len(pair)
+            for i in at.tolist():
+                spelt[i] = words.text(int(first[which[i]]))
+            cols = [pa.array(row[own][pair // max(1, len(first))]), pa.array(words.hash[first][which].view(np.int64)), pa.array(n), pa.array(spelt, pa.binary())]
+            yield pa.RecordBatch.from_arrays(cols, ["__row", "hash", "n", "word"])
+
+
+def _word_steps(batches):
+    """hash, step, context of every step of distinct words."""
+    for batch in batches:
+        h = np.asarray(batch.column("hash"))
+        for lo, data, offsets in K.chunks(batch.column("word")):
+            n = np.diff(offsets)
+            spelt = np.zeros(len(data) + len(n), np.uint8)
+            spelt[np.arange(len(data)) + np.repeat(np.arange(len(n)), n)] = data
+            context, step = _steps(spelt, offsets[:-1] + np.arange(len(n)))
+            cols = [np.repeat(h[lo : lo + len(n)], n + 1), step.view(np.int64), context.view(np.int64)]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["hash", "at", "context"])
+
+
+def _joined_features(docs: DataFrame, model: DataFrame, keep_text: bool) -> DataFrame:
+    """As _features, for a model of any size: the steps of the distinct words are joined to it, the words to the texts."""
     rows = stored(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
-    parts = [rows.select("__row", "text").mapInArrow(_features(t, False), f"__row bigint, {added}") for t in trees]
-    out = parts[0]
-    for p in parts[1:]:
-        out = out.union(p)
-    out = out.groupBy("__row").agg(F.max("__n").alias("__n"), F.sum("__s").alias("__s"), F.sum("__strong").alias("__strong"), F.max("__top").alias("__top"))
-    return (rows if keep_text else rows.drop("text")).join(out, "__row").drop("__row")
+    kinds = "__row bigint, hash bigint, n bigint, word binary"
+    own = stored(rows.select("__row", "text").mapInArrow(_distinct_words, kinds), "words")
+    words = own.where("word is not null").groupBy("hash").agg(F.min("word").alias("word"))
+    steps = words.mapInArrow(_word_steps, "hash bigint, at bigint, context bigint")
+    steps = steps.join(model.select(F.col("key").alias("at"), "step", F.lit(True).alias("known")), "at", "left")
+    steps = steps.join(model.select(F.col("key").alias("context"), "unseen"), "context", "left")
+    part = F.when(F.col("known"), F.col("step")).otherwise(F.coalesce("unseen", F.lit(0.0))).cast("double")
+    ratio = stored(steps.groupBy("hash").agg(F.sum(part).alias("ratio")), "ratios")
+    found = own.select("__row", "hash", "n").join(ratio, "hash").groupBy("__row").agg(
+        F.sum("n").alias("__n"), F.sum(F.col("n") * F.col("ratio")).alias("__s"),
+        F.sum(F.when(F.col("ratio") >= STRONG, F.col("n")).otherwise(0)).alias("__strong"), F.max(F.greatest("ratio", F.lit(0.0))).alias("__top"),
+        F.sum((F.col("ratio") >= MARKED).cast("long")).alias("__marks"),
+    )
+    zero = [F.coalesce(name, F.lit(0)).cast("bigint" if kind == pa.int64() else "double").alias(name) for name, kind in _ADDED]
+    out = rows.join(found, "__row", "left")
+    return out.select(*[c for c in docs.columns if keep_text or c != "text"], *zero)
+
+
+def _text_features(docs: DataFrame, model, keep_text: bool = False) -> DataFrame:
+    """docs with the columns _ADDED, and without text unless it is kept. model: a broadcast or a table."""
+    if isinstance(model, DataFrame):
+        return _joined_features(docs, model, keep_text)
+    own = docs if keep_text else docs.drop("text")
+    added = [f"{name} {'bigint' if kind == pa.int64() else 'double'}" for name, kind in _ADDED]
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in own.schema.fields), *added])
+    return docs.mapInArrow(_features(model, keep_text), schema)
 
 
 def _inputs():
     n = F.greatest(F.col("__n"), F.lit(1))
-    return [F.lit(1.0), F.col("__s") / n, F.sqrt(F.col("__strong") / n), F.least(F.col("__top"), F.lit(12.0)), F.log1p(F.col("__n"))]
+    return [F.lit(1.0), F.col("__s") / n, F.sqrt(F.col("__strong") / n), F.least(F.col("__top"), F.lit(12.0)), F.log1p(F.col("__marks")), F.log1p(F.col("__n"))]
 
 
 def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, turns: int = 30) -> np.ndarray:
@@ -249,20 +339,20 @@ def fit_logistic(x: np.ndarray, y: np.ndarray, ridge: float = 1.0, turns: int =
 
 
 class ToxicityModel:
-    """Class-conditional models and the final probability; score() applies them."""
+    """Class-conditional models (a broadcast, or a table where they are large) and the final probability."""
 
-    def __init__(self, trees: list, weights: list[float]):
-        self.trees, self.weights = trees, weights
+    def __init__(self, steps, weights: list[float]):
+        self.steps, self.weights = steps, weights
 
     def score(self, docs: DataFrame, keep_text: bool = False) -> DataFrame:
         """All columns of docs (text only if kept), with score (double, 0 to 1). Null and empty texts have no words:
         they get the score of such texts among the labelled rows (near the share of toxic rows). A column named score
         is replaced. Repeated rows get the same score each."""
-        out = _text_features(docs.drop("score"), self.trees, keep_text)
+        out = _text_features(docs.drop("score"), self.steps, keep_text)
         z = F.lit(0.0)
         for w, x in zip(self.weights, _inputs(), strict=True):
             z = z + F.lit(float(w)) * x
-        return out.withColumn("score", 1 / (1 + F.exp(-z))).drop("__n", "__s", "__strong", "__top")
+        return out.withColumn("score", 1 / (1 + F.exp(-z))).drop(*[name for name, _ in _ADDED])
 
 
 def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
@@ -275,7 +365,7 @@ def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     bits = np.zeros(_ID_BITS // 8, np.uint8)
     for bucket, part in rows.collect():
         bits[(bucket - 1) * 4096 : bucket * 4096] |= np.frombuffer(bytes(part), np.uint8)
-    sent = docs.sparkSession.sparkContext.broadcast(bits)
+    sent = send(docs.sparkSession, bits)
 
     def known(batches):
         for batch in batches:
@@ -286,10 +376,11 @@ def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     return docs.mapInArrow(known, "doc_id bigint, text string").join(labels, "doc_id")
 
 
-def fit_toxicity(docs: DataFrame, labels: DataFrame, calibration_rows: int = CALIBRATION_ROWS) -> ToxicityModel:
+def fit_toxicity(docs: DataFrame, labels: DataFrame, calibration_rows: int = CALIBRATION_ROWS, steps_sent: int = STEPS_SENT) -> ToxicityModel:
     """Learns from docs (doc_id, text) and labels (doc_id, toxic 0/1), never from rows of the held-out third.
 
-    Every fifth labelled row by hash, calibration_rows at most, fits the probability; all others fill the counts.
+    Every fifth labelled row by hash, calibration_rows at most (more only where rows share an id), fits the
+    probability; all others fill the counts. A model of more than steps_sent steps is joined, not sent.
     Null labels and ids are left out; a doc_id labelled both ways is toxic. Without labelled rows, or with one class
     only, every score is the share of toxic rows (0.0 without any).
     """
@@ -298,14 +389,17 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, calibration_rows: int = CAL
     fifth = F.pmod(F.xxhash64("doc_id"), F.lit(5)) == 0
     counted = train.where(~fifth).select("text", "toxic").mapInArrow(_count_words, "word binary, toxic bigint, ordinary bigint")
     words = stored(counted.groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")), "words")
-    trees = _trees(_tree_table(words))
-    sample = train.where(fifth).orderBy(F.xxhash64(F.lit(1), "doc_id"), "doc_id").limit(calibration_rows)
-    rows = _text_features(sample.select("doc_id", "toxic", "text"), trees).select("toxic", F.array(*_inputs()).alias("x")).toArrow()
+    table_ = stored(_model_table(words), "model")
+    steps = table_ if table_.count() > steps_sent else _sent(table_)
+    rank = F.xxhash64(F.lit(1), "doc_id")
+    last = train.where(fifth).select(rank.alias("r")).orderBy("r").limit(calibration_rows).agg(F.max("r")).first()[0]
+    sample = train.where(fifth & (rank <= F.lit(last))) if last is not None else train.limit(0)
+    rows = _text_features(sample.select("doc_id", "toxic", "text"), steps).select("toxic", F.array(*_inputs()).alias("x")).toArrow()
     y = rows["toxic"].to_numpy().astype(float)
     if not len(y) or y.min() == y.max():
         share = np.clip(y.mean() if len(y) else 0.0, 1e-9, 1 - 1e-9)
-        return ToxicityModel(trees, [float(np.log(share / (1 - share))), 0, 0, 0, 0])
-    return ToxicityModel(trees, fit_logistic(np.array(rows["x"].to_pylist()), y).tolist())
+        return ToxicityModel(steps, [float(np.log(share / (1 - share))), *[0] * (len(_inputs()) - 1)])
+    return ToxicityModel(steps, fit_logistic(np.array(rows["x"].to_pylist()), y).tolist())
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
