@@ -23,17 +23,18 @@ SHINGLE, SIMILAR = 5, 80
 _ROW = "__pipeline_row"
 
 
-#: What the stage before has stored and nothing reads once its output is written.
-_left: dict[str, list[str]] = {}
+#: What the stage before has stored and sent, and nothing reads once its output is written.
+_left: dict[str, list] = {}
 
 
 def _stage(f):
     def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
         app = spark.sparkContext.applicationId
         drop_stored(spark, _left.pop(app, []))
-        with noting([]) as paths:
+        with noting([]) as kept:
             out = f(spark, docs, sf_dir)
-        _left[app] = paths
+        if f is not _last:
+            _left[app] = kept
         return out
 
     run_stage.__doc__ = f.__doc__
@@ -80,7 +81,6 @@ def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
     return with_surrogates(docs.toDF(*names)).select(*names).toDF(*docs.columns)
 
 
-@_stage
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The rows that the mix takes: all columns, and size, source_size, target, epochs (whole passes), taken (words)."""
     rows = _numbered(docs)
@@ -89,6 +89,10 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return rows.select(*[c for c in rows.columns if c not in new]).join(taken.select(_ROW, *new), _ROW).drop(_ROW)
 
 
+#: Its result is the caller's, who may read it at any time: what it needs stays.
+_last = mix
+mix = _stage(mix)
+
 STAGES = [
     ("toxicity", toxicity),
     ("near_dedup", near_dedup),
