@@ -1,7 +1,7 @@
 """Toxicity by two class-conditional Kneser-Ney models of how words are spelt.
 
-A word is a path of bytes and an end mark, each step conditioned on the bytes of the word before it, REACH - 1 at most
-(of a longer word the last ones, so every byte counts). Each class has its own counts of every step; both discount
+A word is a path of letters and an end mark, each step conditioned on the letters of the word before it, REACH - 1 at
+most (of a longer word the last ones, so every letter counts). Each class has its own counts of every step; both discount
 them by D and hand the freed mass to one shared backoff, which counts in how many word types of either class a step
 occurs. A word's log-likelihood ratio is the sum over its steps; steps that neither class has seen cost only the
 classes' backoff weights, so rare words are judged by what is known of their parts. A text is judged by the mean ratio
@@ -24,7 +24,7 @@ from .common import send, small_batches, stored, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
-#: Bytes of a word that a step sees, itself included.
+#: Letters of a word that a step sees, itself included.
 REACH = 10
 #: From which log-likelihood ratios on a word leans to toxic, and is marked.
 STRONG, MARKED = 2.0, 6.0
@@ -32,12 +32,15 @@ STRONG, MARKED = 2.0, 6.0
 CALIBRATION_ROWS = 20_000
 #: Most words, and bytes of words, a task holds before it puts out their counts.
 HELD_WORDS, HELD_BYTES = 150_000, 8_000_000
-#: Most steps of the model sent to every task (16 bytes each, 64 MB); a larger model is joined to the words instead.
-STEPS_SENT = 4_000_000
+#: Most steps of the model sent to every task (16 bytes each, 128 MB); a larger model is joined to the distinct words
+#: of the texts, of which only about so many, the most frequent ones, are then sent (12 bytes each).
+STEPS_SENT, WORDS_SENT = 8_000_000, 1_000_000
+#: Rows of a broadcast that come to the driver at once.
+FETCHED = 1_000_000
 TOXIC_FROM = 0.7
 _ID_BITS = 1 << 26
 _TURN, _SLID = np.uint64(0x9E3779B97F4A7C15), np.uint64(0x2545F4914F6CDD1D)
-#: The context of a word's first byte.
+#: The context of a word's first letter.
 ROOT = 0
 
 
@@ -45,45 +48,58 @@ def held_out(doc_id):
     return F.coalesce(F.crc32(doc_id.cast("string").cast("binary")) % 3 == 1, F.lit(False))
 
 
+def _letters(data: np.ndarray, lengths: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The characters of words that lie one after the other in data, as numbers, each word closed by a 0 (which no word
+    has), and where each begins."""
+    n = len(data) + len(lengths)
+    spelt = np.zeros(n + 3, np.uint32)
+    first = np.cumsum(lengths + 1) - lengths - 1
+    spelt[np.arange(len(data)) + np.repeat(np.arange(len(lengths)), lengths)] = data
+    more = (spelt & 0xC0) == 0x80  # bytes that go on with a character
+    more[first] = more[n:] = False
+    at = np.flatnonzero(~more[:n])
+    out = spelt[at].copy()
+    on = np.ones(len(at), bool)
+    for d in range(1, 4):
+        on &= more[at + d]
+        out |= np.where(on, spelt[at + d], 0) << np.uint32(8 * d)
+    return out.astype(np.uint64), np.searchsorted(at, first)
+
+
 def _spelt(words: K.Words, at: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The words at, one after the other, each closed by a byte 0 (no word has one), and where each begins."""
     lengths = words.end[at] - words.start[at]
-    first = np.cumsum(lengths + 1) - lengths - 1
-    out = np.zeros(int(lengths.sum()) + len(at), np.uint8)
     place = np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
-    out[np.repeat(first, lengths) + place] = words.bytes[np.repeat(words.start[at], lengths) + place]
-    return out, first
+    return _letters(words.bytes[np.repeat(words.start[at], lengths) + place], lengths)
 
 
-def _step(context: np.ndarray, byte: np.ndarray) -> np.ndarray:
-    return K.mix(context * _TURN + byte.astype(np.uint64) + np.uint64(1))
+def _step(context: np.ndarray, letter: np.ndarray) -> np.ndarray:
+    return K.mix(context * _TURN + letter + np.uint64(1))
 
 
-def _steps(spelt: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The context of every byte of the words and the step from it, as hashes.
+def _steps(letters: np.ndarray, first: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The context of every letter of the words and the step from it, as hashes.
 
-    The first REACH bytes of a word have all bytes before them as context, so a step is the next one's context; later
-    ones have the REACH - 1 bytes before them, wherever they stand.
+    The first REACH letters of a word have all letters before them as context, so a step is the next one's context;
+    later ones have the REACH - 1 letters before them, wherever they stand.
     """
-    n = len(spelt)
+    n = len(letters)
     lengths = np.diff(np.append(first, n))
     context, step = np.zeros(n, np.uint64), np.zeros(n, np.uint64)
-    at, h = first, np.full(len(first), ROOT, np.uint64)
+    at, h, left = first, np.full(len(first), ROOT, np.uint64), lengths
     for j in range(REACH):
-        left = lengths > j
-        at, h, lengths = at[left], h[left], lengths[left]
+        on = left > j
+        at, h, left = at[on], h[on], left[on]
         context[at + j] = h
-        h = _step(h, spelt[at + j])
+        h = _step(h, letters[at + j])
         step[at + j] = h
-    rest = lengths > REACH
-    if rest.any():
-        at, lengths = at[rest] + REACH, lengths[rest] - REACH
-        late = np.repeat(at, lengths) + np.arange(int(lengths.sum())) - np.repeat(np.cumsum(lengths) - lengths, lengths)
+    at, left = first[lengths > REACH] + REACH, lengths[lengths > REACH] - REACH
+    if len(at):
+        late = np.repeat(at, left) + np.arange(int(left.sum())) - np.repeat(np.cumsum(left) - left, left)
         h = np.full(len(late), _SLID, np.uint64)
         for d in range(REACH - 1, 0, -1):
-            h = h * _TURN + spelt[late - d].astype(np.uint64) + np.uint64(1)
+            h = h * _TURN + letters[late - d] + np.uint64(1)
         context[late] = K.mix(h)
-        step[late] = _step(context[late], spelt[late])
+        step[late] = _step(context[late], letters[late])
     return context, step
 
 
@@ -95,33 +111,48 @@ def _plain_words(batch: pa.RecordBatch):
         yield slice(lo, lo + len(offsets) - 1), words, first, inverse
 
 
-def _count_words(batches):
-    """word, toxic, ordinary: texts of each class with the word, summed over what a task can hold."""
-    held: dict = {}
-    size = 0
+class _Held:
+    """Counts by word that a task holds, put out when they are many."""
+
+    def __init__(self, names: list[str]):
+        self.names, self.counts, self.size = names, {}, 0
 
-    def rows():
-        keys = list(held)
-        n = np.array([held[k] for k in keys], np.int64).reshape(-1, 2)
-        return pa.RecordBatch.from_arrays([pa.array(keys, pa.binary()), pa.array(n[:, 0]), pa.array(n[:, 1])], ["word", "toxic", "ordinary"])
+    def add(self, key: bytes, n: list[int]) -> None:
+        old = self.counts.get(key)
+        self.counts[key] = n if old is None else [a + b for a, b in zip(old, n, strict=True)]
+        self.size += len(key) if old is None else 0
 
+    def full(self) -> bool:
+        return len(self.counts) > HELD_WORDS or self.size > HELD_BYTES
+
+    def rows(self) -> pa.RecordBatch:
+        n = np.array(list(self.counts.values()), np.int64).reshape(-1, len(self.names))
+        cols = [pa.array(list(self.counts), pa.binary()), *(pa.array(n[:, i]) for i in range(n.shape[1]))]
+        self.counts, self.size = {}, 0
+        return pa.RecordBatch.from_arrays(cols, ["word", *self.names])
+
+
+def _texts_with(words: K.Words, first: np.ndarray, inverse: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Each pair of a text and a distinct word in it once, and how often the word is there."""
+    doc = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
+    pair, n = np.unique(doc * max(1, len(first)) + inverse, return_counts=True)
+    return *np.divmod(pair, max(1, len(first))), n
+
+
+def _count_words(batches):
+    """word, toxic, ordinary: texts of each class with the word, summed over what a task can hold."""
+    held = _Held(["toxic", "ordinary"])
     for batch in batches:
         label = np.asarray(batch.column("toxic"))
         for own, words, first, inverse in _plain_words(batch):
-            doc = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
-            doc, which = np.divmod(np.unique(doc * max(1, len(first)) + inverse), max(1, len(first)))
+            doc, which, _ = _texts_with(words, first, inverse)
             toxic = np.bincount(which, weights=label[own][doc], minlength=len(first)).astype(np.int64)
-            total = np.bincount(which, minlength=len(first))
-            for j, t, n in zip(first.tolist(), toxic.tolist(), total.tolist(), strict=True):
-                key = words.text(j)
-                old = held.get(key)
-                held[key] = (t, n - t) if old is None else (old[0] + t, old[1] + n - t)
-                size += len(key) if old is None else 0
-            if len(held) > HELD_WORDS or size > HELD_BYTES:
-                yield rows()
-                held.clear()
-                size = 0
-    yield rows()
+            ordinary = np.bincount(which, minlength=len(first)) - toxic
+            for j, t, n in zip(first.tolist(), toxic.tolist(), ordinary.tolist(), strict=True):
+                held.add(words.text(j), [t, n])
+            if held.full():
+                yield held.rows()
+    yield held.rows()
 
 
 def _count_steps(batches):
@@ -129,13 +160,11 @@ def _count_steps(batches):
     for batch in batches:
         counts = [np.asarray(batch.column(c)) for c in ("toxic", "ordinary")]
         for lo, data, offsets in K.chunks(batch.column("word")):
-            n = np.diff(offsets)
-            spelt = np.zeros(len(data) + len(n), np.uint8)
-            first = offsets[:-1] + np.arange(len(n))
-            spelt[np.arange(len(data)) + np.repeat(np.arange(len(n)), n)] = data
-            context, step = _steps(spelt, first)
+            letters, first = _letters(data, np.diff(offsets))
+            n = np.diff(np.append(first, len(letters)))
+            context, step = _steps(letters, first)
             step, at, inverse = np.unique(step, return_index=True, return_inverse=True)
-            own = [np.repeat(c[lo : lo + len(n)], n + 1) for c in counts]
+            own = [np.repeat(c[lo : lo + len(n)], n) for c in counts]
             own.append((own[0] > 0).astype(np.int64) + (own[1] > 0))
             sums = [np.bincount(inverse, weights=c, minlength=len(step)).astype(np.int64) for c in own]
             cols = [step.view(np.int64), context[at].view(np.int64), *sums]
@@ -169,11 +198,11 @@ class _Model:
             left = left[at[left] < end[left]]
         return out
 
-    def ratios(self, spelt: np.ndarray, first: np.ndarray) -> np.ndarray:
+    def ratios(self, letters: np.ndarray, first: np.ndarray) -> np.ndarray:
         """Log-likelihood ratio of each word: its known steps, and the unseen ones from known contexts."""
         if not len(first):
             return np.zeros(0)
-        context, step = _steps(spelt, first)
+        context, step = _steps(letters, first)
         at = self.find(step)
         out = np.where(at >= 0, self.step[at] if len(self.step) else 0.0, 0.0)
         new = np.flatnonzero(at < 0)
@@ -248,63 +277,102 @@ def _model_table(words: DataFrame) -> DataFrame:
     return step.join(unseen, "key", "full").select("key", F.coalesce("step", none).alias("step"), F.coalesce("unseen", none).alias("unseen"))
 
 
-def _sent(model: DataFrame):
-    """The model, of STEPS_SENT rows at most, as a broadcast of three arrays in order of the keys."""
-    rows = model.toArrow()
-    keys, step, unseen = (rows[c].to_numpy() for c in ("key", "step", "unseen"))
-    del rows
-    order = np.argsort(keys.view(np.uint64))
-    return send(model.sparkSession, (keys.view(np.uint64)[order], step[order], unseen[order]))
-
-
-def _distinct_words(batches):
-    """__row, hash, n, word: the words of each text with their counts; the spelling only with a word's first text."""
+def _sent(table_: DataFrame, rows: int, values: list[str]):
+    """A stored table of key and values, of a bounded number of rows, as a broadcast of arrays in order of the keys."""
+    parts = max(1, -(-rows // FETCHED))
+    keys, out = np.zeros(rows, np.uint64), [np.zeros(rows, np.float32) for _ in values]
+    lo = 0
+    for i in range(parts):
+        got = table_.where(F.pmod(F.col("key"), F.lit(parts)) == i).toArrow()
+        keys[lo : lo + len(got)] = got["key"].to_numpy().view(np.uint64)
+        for column, name in zip(out, values, strict=True):
+            column[lo : lo + len(got)] = got[name].to_numpy()
+        lo += len(got)
+        del got
+    order = np.argsort(keys)
+    return send(table_.sparkSession, (keys[order], *[column[order] for column in out]))
+
+
+def _vocabulary(batches):
+    """word, n: the words of texts and in how many of them they are, summed over what a task can hold."""
+    held = _Held(["n"])
     for batch in batches:
-        row = np.asarray(batch.column("__row"))
-        for own, words, first, inverse in _plain_words(batch):
-            doc = np.repeat(np.arange(len(words.bounds) - 1), np.diff(words.bounds))
-            pair, n = np.unique(doc * max(1, len(first)) + inverse, return_counts=True)
-            which = pair % max(1, len(first))
-            _, at = np.unique(which, return_index=True)
-            spelt: list = [None] * len(pair)
-            for i in at.tolist():
-                spelt[i] = words.text(int(first[which[i]]))
-            cols = [pa.array(row[own][pair // max(1, len(first))]), pa.array(words.hash[first][which].view(np.int64)), pa.array(n), pa.array(spelt, pa.binary())]
-            yield pa.RecordBatch.from_arrays(cols, ["__row", "hash", "n", "word"])
+        for _, words, first, inverse in _plain_words(batch):
+            _, which, _ = _texts_with(words, first, inverse)
+            for j, n in zip(first.tolist(), np.bincount(which, minlength=len(first)).tolist(), strict=True):
+                held.add(words.text(j), [n])
+            if held.full():
+                yield held.rows()
+    yield held.rows()
 
 
 def _word_steps(batches):
-    """hash, step, context of every step of distinct words."""
+    """key (the word's hash), n, at, context of every step of distinct words."""
     for batch in batches:
-        h = np.asarray(batch.column("hash"))
+        n = np.asarray(batch.column("n"))
         for lo, data, offsets in K.chunks(batch.column("word")):
-            n = np.diff(offsets)
-            spelt = np.zeros(len(data) + len(n), np.uint8)
-            spelt[np.arange(len(data)) + np.repeat(np.arange(len(n)), n)] = data
-            context, step = _steps(spelt, offsets[:-1] + np.arange(len(n)))
-            cols = [np.repeat(h[lo : lo + len(n)], n + 1), step.view(np.int64), context.view(np.int64)]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["hash", "at", "context"])
+            lengths = np.diff(offsets)
+            letters, first = _letters(data, lengths)
+            steps = np.diff(np.append(first, len(letters)))
+            context, step = _steps(letters, first)
+            # as texts of their own, the words get the hashes that they have within texts
+            h = K.Words(data, offsets, K.PLAIN).hash
+            cols = [np.repeat(h.view(np.int64), steps), np.repeat(n[lo : lo + len(lengths)], steps), step.view(np.int64), context.view(np.int64)]
+            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], ["key", "n", "at", "context"])
+
+
+def _known_features(sent):
+    """For each text, a row of the columns _ADDED of its frequent words (__n of all), and a row for each other word."""
+
+    def run(batches):
+        keys, ratios = sent.value
+        model = _Model(keys, ratios, ratios)
+        for batch in batches:
+            row = np.asarray(batch.column("__row"))
+            for own, words, first, inverse in _plain_words(batch):
+                at = model.find(words.hash[first])
+                ratio = np.where(at >= 0, ratios[at] if len(ratios) else 0.0, 0.0)[inverse]
+                n, s, strong, top, marks = _per_text(words, ratio, inverse)
+                doc, which, times = _texts_with(words, first, inverse)
+                rare = at[which] < 0
+                doc, which, times = doc[rare], which[rare], times[rare]
+                none = np.zeros(len(doc), np.int64)
+                ids = np.concatenate([words.hash[first][which].view(np.int64), np.zeros(len(n), np.int64)])
+                cols = [pa.array(np.concatenate([row[own][doc], row[own]])), pa.array(ids, mask=np.arange(len(ids)) >= len(doc))]
+                for (_, kind), v, w in zip(_ADDED, (times, none, none, none, none), (n, s, strong, top, marks), strict=True):
+                    cols.append(pa.array(np.concatenate([v, w]), kind))
+                yield pa.RecordBatch.from_arrays(cols, ["__row", "key", *[name for name, _ in _ADDED]])
+
+    return run
 
 
 def _joined_features(docs: DataFrame, model: DataFrame, keep_text: bool) -> DataFrame:
-    """As _features, for a model of any size: the steps of the distinct words are joined to it, the words to the texts."""
+    """As _features, for a model of any size: the steps of the texts' distinct words are joined to it, the ratios of the
+    most frequent words are sent to the texts, and the other words of each text are joined to theirs."""
     rows = stored(docs.withColumn("__row", F.monotonically_increasing_id()), "rows")
-    kinds = "__row bigint, hash bigint, n bigint, word binary"
-    own = stored(rows.select("__row", "text").mapInArrow(_distinct_words, kinds), "words")
-    words = own.where("word is not null").groupBy("hash").agg(F.min("word").alias("word"))
-    steps = words.mapInArrow(_word_steps, "hash bigint, at bigint, context bigint")
+    words = rows.select("text").mapInArrow(_vocabulary, "word binary, n bigint").groupBy("word").agg(F.sum("n").alias("n"))
+    steps = words.mapInArrow(_word_steps, "key bigint, n bigint, at bigint, context bigint")
     steps = steps.join(model.select(F.col("key").alias("at"), "step", F.lit(True).alias("known")), "at", "left")
     steps = steps.join(model.select(F.col("key").alias("context"), "unseen"), "context", "left")
     part = F.when(F.col("known"), F.col("step")).otherwise(F.coalesce("unseen", F.lit(0.0))).cast("double")
-    ratio = stored(steps.groupBy("hash").agg(F.sum(part).alias("ratio")), "ratios")
-    found = own.select("__row", "hash", "n").join(ratio, "hash").groupBy("__row").agg(
-        F.sum("n").alias("__n"), F.sum(F.col("n") * F.col("ratio")).alias("__s"),
-        F.sum(F.when(F.col("ratio") >= STRONG, F.col("n")).otherwise(0)).alias("__strong"), F.max(F.greatest("ratio", F.lit(0.0))).alias("__top"),
-        F.sum((F.col("ratio") >= MARKED).cast("long")).alias("__marks"),
+    ratios = stored(steps.groupBy("key").agg(F.sum(part).cast("float").alias("ratio"), F.max("n").alias("n")), "ratios")
+    size = F.floor(F.log2("n")).cast("int")
+    least, frequent = 64, 0
+    for r in ratios.groupBy(size.alias("size")).count().orderBy(F.desc("size")).collect():  # 64 rows at most
+        if frequent + r["count"] > WORDS_SENT:
+            break
+        least, frequent = r["size"], frequent + r["count"]
+    sent = _sent(ratios.where(size >= least), frequent, ["ratio"])
+    kinds = ", ".join(f"{name} {'bigint' if kind == pa.int64() else 'double'}" for name, kind in _ADDED)
+    known = stored(rows.select("__row", "text").mapInArrow(_known_features(sent), f"__row bigint, key bigint, {kinds}"), "known")
+    ratio = F.col("ratio").cast("double")
+    rare = known.where("key is not null").select("__row", "key", F.col("__n").alias("times")).join(ratios.where(size < least).select("key", "ratio"), "key").select(
+        "__row", F.lit(0).cast("bigint").alias("__n"), (F.col("times") * ratio).alias("__s"), F.when(ratio >= STRONG, F.col("times")).otherwise(0).alias("__strong"),
+        F.greatest(ratio, F.lit(0.0)).alias("__top"), (ratio >= MARKED).cast("bigint").alias("__marks"),
     )
-    zero = [F.coalesce(name, F.lit(0)).cast("bigint" if kind == pa.int64() else "double").alias(name) for name, kind in _ADDED]
-    out = rows.join(found, "__row", "left")
-    return out.select(*[c for c in docs.columns if keep_text or c != "text"], *zero)
+    every = known.where("key is null").drop("key").union(rare).groupBy("__row")
+    out = every.agg(*[(F.max if name == "__top" else F.sum)(name).alias(name) for name, _ in _ADDED])
+    return rows.select(*[c for c in rows.columns if keep_text or c != "text"]).join(out, "__row").drop("__row")
 
 
 def _text_features(docs: DataFrame, model, keep_text: bool = False) -> DataFrame:
@@ -390,7 +458,8 @@ def fit_toxicity(docs: DataFrame, labels: DataFrame, calibration_rows: int = CAL
     counted = train.where(~fifth).select("text", "toxic").mapInArrow(_count_words, "word binary, toxic bigint, ordinary bigint")
     words = stored(counted.groupBy("word").agg(F.sum("toxic").alias("toxic"), F.sum("ordinary").alias("ordinary")), "words")
     table_ = stored(_model_table(words), "model")
-    steps = table_ if table_.count() > steps_sent else _sent(table_)
+    n = table_.count()
+    steps = table_ if n > steps_sent else _sent(table_, n, ["step", "unseen"])
     rank = F.xxhash64(F.lit(1), "doc_id")
     last = train.where(fifth).select(rank.alias("r")).orderBy("r").limit(calibration_rows).agg(F.max("r")).first()[0]
     sample = train.where(fifth & (rank <= F.lit(last))) if last is not None else train.limit(0)
