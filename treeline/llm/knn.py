@@ -1,10 +1,10 @@
-"""Exact top-k inner products by a Voronoi join: pivots, cell summaries, bounds, and local solution.
+"""Exact top-k inner products by a Voronoi join: pivots, cell summaries, group bounds, and local solution.
 
 Every vector goes to the cell of its nearest pivot. From each cell's size, radius, largest norm and least distances to
-the pivot, a query knows a score that its k-th best reaches at least, and for each cell one that nothing in it exceeds;
-it is copied to the cells that can still hold an answer and nowhere else. Of the two sides the queries are the smaller
-one, so they are what is replicated. Cells are cut into chunks and queries into blocks, each chunk meets each block
-in one bounded task, and the best of all chunks are ranked at the end.
+the pivot, a query knows a score that its k-th best reaches at least, and for each cell one that nothing in it exceeds.
+Queries of neighbouring cells form blocks; a cell's chunks are copied to the blocks in which some query's bounds admit
+the cell, and a query to the chunks that its own bounds admit, and nowhere else. Each chunk meets each block in one
+bounded task, and the best of all chunks are ranked at the end.
 """
 
 from __future__ import annotations
@@ -23,7 +23,10 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 #: Vectors of a cell's chunk and queries of a block that meet in one task.
 CHUNK, BLOCK = 4096, 4096
-MOST_PIVOTS = 256
+#: Pivots grow with the root of the rows, up to so many (they are sent to every task: 8 bytes a component).
+MOST_PIVOTS = 4096
+#: Up to so many pairs of a cell and a block, the visited ones are broadcast; more are joined.
+PAIRS_SENT = 200_000
 
 
 def _packed(x: np.ndarray) -> bytes:
@@ -42,6 +45,11 @@ def _scaled(batch) -> list[np.ndarray]:
     return np.split(x, ends[:-1]) if len(ends) else []
 
 
+def _by_dim(dims: list[int]) -> dict[int, np.ndarray]:
+    dims = np.array(dims, np.int64)
+    return {int(d): np.flatnonzero(dims == d) for d in np.unique(dims)}
+
+
 class Pivots:
     """Pivots by dimension; vectors of a dimension without pivots belong to the cell of the zero vector."""
 
@@ -54,52 +62,76 @@ class Pivots:
     def get(self, dim: int) -> np.ndarray:
         return self.of.get(dim, np.zeros((1, dim)))
 
+    def nearest(self, x: np.ndarray) -> np.ndarray:
+        """The cell of each row of x: any pivot will do for right results, the nearest for tight bounds."""
+        p = self.get(x.shape[1])
+        return ((p * p).sum(axis=1) - 2 * (x @ p.T)).argmin(axis=1)
+
 
 def _assign(pivots: Pivots):
     def run(batches):
         for batch in batches:
             xs = _scaled(batch)
-            cell, dist, norm = [], [], []
-            for x in xs:
-                d = np.sqrt(((pivots.get(len(x)) - x) ** 2).sum(axis=1))
-                cell.append(int(d.argmin()))
-                dist.append(float(d.min()))
-                norm.append(float(np.sqrt((x * x).sum())))
-            yield pa.RecordBatch.from_pydict(
-                {
-                    "vec_id": batch.column("vec_id"),
-                    "dim": pa.array([len(x) for x in xs], pa.int32()),
-                    "cell": pa.array(cell, pa.int32()),
-                    "dist": pa.array(dist, pa.float64()),
-                    "norm": pa.array(norm, pa.float64()),
-                    "x": pa.array([_packed(x) for x in xs], pa.binary()),
-                }
-            )
+            n = len(xs)
+            cell, dist, norm = np.zeros(n, np.int32), np.zeros(n), np.zeros(n)
+            for dim, at in _by_dim([len(x) for x in xs]).items():
+                x = np.array([xs[i] for i in at]).reshape(len(at), dim)
+                cell[at] = pivots.nearest(x)
+                dist[at] = np.sqrt(((pivots.get(dim)[cell[at]] - x) ** 2).sum(axis=1))
+                norm[at] = np.sqrt((x * x).sum(axis=1))
+            cols = {"vec_id": batch.column("vec_id"), "dim": pa.array([len(x) for x in xs], pa.int32()), "cell": pa.array(cell), "dist": pa.array(dist), "norm": pa.array(norm)}
+            yield pa.RecordBatch.from_pydict(cols | {"x": pa.array([_packed(x) for x in xs], pa.binary())})
 
     return run
 
 
-def _visits(pivots: Pivots, cells: dict, k: int, blocks: int):
+def _grouped(pivots: Pivots, asked: list) -> tuple[dict, int]:
+    """(dim, cell) -> (first block, blocks) for cells with queries (dim, cell, n), and the number of blocks: cells
+    that are neighbours on the pivots' longest axis share blocks of about BLOCK queries; a larger cell has its own."""
+    out, block, held = {}, 0, 0
+    for dim in sorted({d for d, *_ in asked}):
+        p = pivots.get(dim)
+        p = p - p.mean(axis=0)
+        axis = p @ np.linalg.svd(p, full_matrices=False)[2][0] if p.size else np.zeros(len(p))
+        own = sorted(((float(axis[c]), c, n) for d, c, n in asked if d == dim))
+        block, held = block + (held > 0), 0
+        for _, c, n in own:
+            if held and held + n > BLOCK:
+                block, held = block + 1, 0
+            parts = -(-n // BLOCK)
+            out[dim, c] = (block, parts)
+            block, held = (block + parts, 0) if parts > 1 else (block, held + n)
+    return out, block + (held > 0)
+
+
+def _visits(pivots: Pivots, cells: dict, k: int, blocks: dict):
     """Copies each query to the chunks of the cells that may hold one of its k best."""
 
     def run(batches):
         for batch in batches:
             out: list = []
-            dims, ids, raw = batch.column("dim").to_pylist(), batch.column("vec_id").to_pylist(), batch.column("x").to_pylist()
-            for q, dim, x in zip(ids, dims, raw, strict=True):
-                v, own = _unpacked(x, dim), cells[dim]
-                size = float(np.sqrt((v * v).sum()))
-                at = pivots.get(dim) @ v
-                slack = 1e-9 * (1 + size * own["norm"].max())
-                high = np.minimum(at[own["cell"]] + size * own["radius"], size * own["norm"]) + slack
-                # own copies may be among the nearest, so one more than k is asked to reach the bound
-                low = np.sort((at[own["near_cell"]] - size * own["near"]))[::-1]
-                least = low[k] - slack if len(low) > k else -np.inf
-                for c in np.flatnonzero(high >= least):
-                    out += [(dim, int(own["cell"][c]), j, q % blocks, q, x) for j in range(int(own["chunks"][c]))]
-                if len(out) > 5000:
-                    yield _visit_batch(out)
-                    out = []
+            dims, homes, ids, raw = (batch.column(c).to_pylist() for c in ("dim", "cell", "vec_id", "x"))
+            for dim, some in _by_dim(dims).items():
+                own = cells[dim]
+                for lo in range(0, len(some), 256):
+                    at = some[lo : lo + 256]
+                    v = np.array([_unpacked(raw[i], dim) for i in at]).reshape(len(at), dim)
+                    size = np.sqrt((v * v).sum(axis=1))[:, None]
+                    dot = v @ pivots.get(dim).T
+                    slack = 1e-9 * (1 + size * own["norm"].max())
+                    high = np.minimum(dot[:, own["cell"]] + size * own["radius"], size * own["norm"]) + slack
+                    # own copies may be among the nearest, so one more than k is asked to reach the bound
+                    low = dot[:, own["near_cell"]] - size * own["near"]
+                    n = low.shape[1]
+                    least = np.partition(low, n - k - 1, axis=1)[:, n - k - 1, None] - slack if n > k else np.full((len(at), 1), -np.inf)
+                    for i, q in enumerate(at.tolist()):
+                        first, parts = blocks[dim, homes[q]]
+                        block = first + ids[q] % parts
+                        for c in np.flatnonzero(high[i] >= least[i]).tolist():
+                            out += [(dim, int(own["cell"][c]), j, block, ids[q], raw[q]) for j in range(int(own["chunks"][c]))]
+                        if len(out) > 5000:
+                            yield _visit_batch(out)
+                            out = []
             yield _visit_batch(out)
 
     return run
@@ -121,6 +153,8 @@ def scores(q: np.ndarray, v: np.ndarray) -> np.ndarray:
 
 
 def _solve(k: int):
+    """The k best of a chunk's vectors for each query of a block."""
+
     empty = pa.table({n: pa.array([], pa.int64()) for n in ("query_id", "vec_id", "score")})
 
     def run(queries: pa.Table, data: pa.Table) -> pa.Table:
@@ -193,15 +227,21 @@ def top_products(vectors: DataFrame, query: str, k: int = 5) -> DataFrame:
             "near_cell": np.array([r.cell for r in close]),
             "near": np.array([r.dist for r in close]),
         }
-    asked = data.where(query).groupBy("vec_id", "dim").agg(F.max("x").alias("x"))
+    asked = data.where(query).groupBy("vec_id", "dim").agg(F.max(F.struct("x", "cell")).alias("m"))
     one = Window.partitionBy("vec_id").orderBy(F.col("dim").desc())
-    asked = stored(asked.withColumn("r", F.row_number().over(one)).where("r = 1").select("vec_id", "dim", "x"), "queries")
-    blocks = max(1, -(-asked.count() // BLOCK))
+    asked = asked.withColumn("r", F.row_number().over(one)).where("r = 1").select("vec_id", "dim", "m.cell", "m.x")
+    asked = stored(asked, "queries")
+    # a row per cell
+    blocks, n_blocks = _grouped(pivots, [tuple(r) for r in asked.groupBy("dim", "cell").count().collect()])
     visits = asked.mapInArrow(_visits(pivots, cells, k, blocks), "dim int, cell int, chunk bigint, block bigint, query_id bigint, x binary")
+    visits = stored(visits, "visits")
     chunks = data.sparkSession.createDataFrame([(d, int(c), int(n)) for d, o in cells.items() for c, n in zip(o["cell"], o["chunks"], strict=True)], "dim int, cell int, chunks int")
     spread = data.join(F.broadcast(chunks), ["dim", "cell"])  # MOST_PIVOTS rows for each dimension
     spread = spread.withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks").cast("bigint")))
-    spread = spread.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1)).cast("array<bigint>")))
+    if sum(len(o["cell"]) for o in cells.values()) * n_blocks <= PAIRS_SENT:
+        spread = spread.join(F.broadcast(visits.select("dim", "cell", "block").distinct()), ["dim", "cell"])
+    else:  # by chunk, so that no key has more than CHUNK vectors or so
+        spread = spread.join(visits.select("dim", "cell", "chunk", "block").distinct(), ["dim", "cell", "chunk"])
     key = ["dim", "cell", "chunk", "block"]
     local = visits.groupBy(*key).cogroup(spread.select(*key, "vec_id", "x").groupBy(*key)).applyInArrow(_solve(k), "query_id bigint, vec_id bigint, score bigint")
     best = local.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
