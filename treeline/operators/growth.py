@@ -65,41 +65,41 @@ def child_id(parent: int, in_bin: int, arity: int, depth: int) -> int:
     return -(((h ^ (h >> 29)) * 0xBF58476D1CE4E5B9 & (2**62 - 1)) + 1)
 
 
-class Walk:
-    """Trees as arrays: feature, cut and children by bin of every node; rows walk down in NumPy."""
-
-    def __init__(self, nodes: list[Node], n_bins: int):
-        self.trees: dict[int, dict] = {}
-        by: dict[int, list[Node]] = {}
-        for x in nodes:
-            by.setdefault(x.tree, []).append(x)
-        for t, own in by.items():
-            own.sort(key=lambda x: (x.depth, x.node))
-            at = {x.node: i for i, x in enumerate(own)}
-            feature = np.array([-1 if x.is_leaf else x.feature_id for x in own], np.int32)
-            child = np.full((len(own), n_bins + 1), -1, np.int32)
-            for i, x in enumerate(own):
-                if not x.is_leaf:
-                    for b in range(-1, n_bins):
-                        key = b if x.cut is None else (0 if b <= x.cut else 1)
-                        if key in x.children:
-                            child[i, b + 1] = at[x.children[key]]
-            self.trees[t] = {"feature": feature, "child": child, "depth": max(x.depth for x in own), "node": np.array([x.node for x in own], np.int64)}
-
-    def slots(self, tree: int, bins: np.ndarray) -> np.ndarray:
-        """The place in the tree's arrays where each row stops: a leaf, or a node that has no child for its bin."""
-        t = self.trees[tree]
-        at = np.zeros(len(bins), np.int32)
-        going = np.arange(len(bins))
-        for _ in range(t["depth"]):
-            f = t["feature"][at[going]]
-            going, f = going[f >= 0], f[f >= 0]
-            if not len(going):
-                break
-            nxt = t["child"][at[going], bins[going, f] + 1]
-            going, nxt = going[nxt >= 0], nxt[nxt >= 0]
-            at[going] = nxt
-        return at
+def walk_arrays(nodes: list[Node], n_bins: int) -> dict[int, dict]:
+    """Trees as arrays: feature and children by bin of every node, depth and node numbers. Plain data, so that tasks
+    read it without a copy of the package."""
+    trees: dict[int, dict] = {}
+    by: dict[int, list[Node]] = {}
+    for x in nodes:
+        by.setdefault(x.tree, []).append(x)
+    for t, own in by.items():
+        own.sort(key=lambda x: (x.depth, x.node))
+        at = {x.node: i for i, x in enumerate(own)}
+        feature = np.array([-1 if x.is_leaf else x.feature_id for x in own], np.int32)
+        child = np.full((len(own), n_bins + 1), -1, np.int32)
+        for i, x in enumerate(own):
+            if not x.is_leaf:
+                for b in range(-1, n_bins):
+                    key = b if x.cut is None else (0 if b <= x.cut else 1)
+                    if key in x.children:
+                        child[i, b + 1] = at[x.children[key]]
+        trees[t] = {"feature": feature, "child": child, "depth": max(x.depth for x in own), "node": np.array([x.node for x in own], np.int64)}
+    return trees
+
+
+def slots(tree: dict, bins: np.ndarray) -> np.ndarray:
+    """The place in the tree's arrays where each row stops: a leaf, or a node that has no child for its bin."""
+    at = np.zeros(len(bins), np.int32)
+    going = np.arange(len(bins))
+    for _ in range(tree["depth"]):
+        f = tree["feature"][at[going]]
+        going, f = going[f >= 0], f[f >= 0]
+        if not len(going):
+            break
+        nxt = tree["child"][at[going], bins[going, f] + 1]
+        going, nxt = going[nxt >= 0], nxt[nxt >= 0]
+        at[going] = nxt
+    return at
 
 
 def bins_matrix(batch) -> np.ndarray:
@@ -133,48 +133,77 @@ def decoded(batch):
         yield np.asarray(batch.column("row_id")), np.asarray(batch.column("target")), bins_matrix(batch), own
 
 
-def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int):
-    """Partial histograms of a task's rows, summed before they leave it."""
+#: Cells of dense counts a task holds (8 bytes each); what is more is put out and summed by the shuffle.
+HELD_CELLS = 4_000_000
+
+
+def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, held: int = HELD_CELLS):
+    """Partial histograms of a task's rows, summed before they leave it as far as memory allows.
+
+    Counts of a tree and feature are dense over its live nodes; where these are many more than the rows of a batch,
+    only the cells that occur are counted.
+    """
     k = I.n_stats(task, n_classes)
+    width = n_bins + 1
+    names = ["tree", "live", "feature_id", "bin", *I.stat_names(k)]
+
+    def rows(cells: list):
+        """One batch of cells (tree, feature, node and bin as one code, statistics)."""
+        n = [len(c) for *_, c, _ in cells]
+        code, s = np.concatenate([c for *_, c, _ in cells]), np.concatenate([x for *_, x in cells])
+        cols = [np.repeat(np.array([c[0] for c in cells], np.int32), n), code // width, np.repeat(np.array([c[1] for c in cells], np.int32), n), (code % width - 1).astype(np.int32)]
+        return pa.RecordBatch.from_arrays([pa.array(c) for c in [*cols, *(s[:, i] for i in range(k))]], names)
 
     def run(batches):
-        walk, live, candidates = sent.value  # live: (tree, slot) -> number; candidates: tree -> features
-        width = n_bins + 1
-        sums: dict = {}
+        trees, live, candidates = sent.value  # live: tree -> number of each slot; candidates: tree -> features
+        dense: dict = {}
+        loose: list = []
+        size = 0
+
+        def out():
+            cells = list(loose)
+            for (t, f), part in dense.items():
+                part = part.reshape(-1, k)
+                at = np.flatnonzero(part.any(axis=1))
+                cells.append((t, f, at, part[at]))
+            if cells:
+                yield rows(cells)
+
         for row, y, bins, stored_weights in (part for batch in batches for part in decoded(batch)):
             for t, features in candidates.items():
                 w = stored_weights.get(t)
                 w = poisson_numpy(row, t, seed) if w is None else w
                 number = live[t]
-                node = number[walk.slots(t, bins)] if t in walk.trees else np.zeros(len(row), np.int64)
+                node = number[slots(trees[t], bins)] if t in trees else np.zeros(len(row), np.int64)
                 ok = (w > 0) & (node >= 0)
                 if not ok.any():
                     continue
                 node, wt, own, yt = node[ok], w[ok].astype(float), bins[ok], y[ok]
-                n_live = int(number.max()) + 1
+                n_cells = (int(number.max()) + 1) * width
                 for f in features:
-                    base = (node * width + own[:, f] + 1) * k
+                    code = node * width + own[:, f] + 1
+                    sparse = n_cells > 8 * len(code)
+                    if sparse:
+                        seen, code = np.unique(code, return_inverse=True)
+                    m = (len(seen) if sparse else n_cells) * k
                     if task == "classification":
-                        part = np.bincount(base + yt.astype(np.int64), weights=wt, minlength=n_live * width * k)
+                        part = np.bincount(code * k + yt.astype(np.int64), weights=wt, minlength=m)
+                    else:
+                        part = sum(np.bincount(code * k + i, weights=wt * yt.astype(float) ** i, minlength=m) for i in range(3))
+                    if sparse:
+                        loose.append((t, f, seen, part.reshape(-1, k)))
+                        size += m
+                    elif (t, f) in dense:
+                        dense[t, f] += part
                     else:
-                        part = sum(np.bincount(base + i, weights=wt * yt.astype(float) ** i, minlength=n_live * width * k) for i in range(3))
-                    old = sums.get((t, f))
-                    sums[t, f] = part if old is None else old + part
-        out: list = [[], [], [], []]
-        stats: list = []
-        for (t, f), part in sums.items():
-            cells = part.reshape(-1, width, k)
-            i, b = np.nonzero(cells.any(axis=2))
-            out[0].append(np.full(len(i), t, np.int32))
-            out[1].append(i)
-            out[2].append(np.full(len(i), f, np.int32))
-            out[3].append((b - 1).astype(np.int32))
-            stats.append(cells[i, b])
-        if stats:
-            s = np.concatenate(stats)
-            cols = [np.concatenate(c) for c in out] + [s[:, i] for i in range(k)]
-            names = ["tree", "live", "feature_id", "bin", *I.stat_names(k)]
-            yield pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names)
+                        dense[t, f] = part
+                        size += m
+                    if size > held:
+                        yield from out()
+                        dense.clear()
+                        loose.clear()
+                        size = 0
+        yield from out()
 
     return run
 
@@ -188,17 +217,17 @@ class Horizontal:
 
     def histogram(self, nodes: list[Node], live: list[Node], candidates: dict[int, list[int]]) -> DataFrame:
         spec, spark = self.spec, self.rows.sparkSession
-        walk = Walk(nodes, spec.n_bins)
-        numbers = {t: np.full(len(a["node"]), -1, np.int64) for t, a in walk.trees.items()}
+        trees = walk_arrays(nodes, spec.n_bins)
+        numbers = {t: np.full(len(a["node"]), -1, np.int64) for t, a in trees.items()}
         order = []
-        places = {t: {int(n): i for i, n in enumerate(a["node"])} for t, a in walk.trees.items()}
+        places = {t: {int(n): i for i, n in enumerate(a["node"])} for t, a in trees.items()}
         count: dict[int, int] = {}
         for x in live:
             c = count.get(x.tree, 0)
             numbers[x.tree][places[x.tree][x.node]] = c
             count[x.tree] = c + 1
             order.append((x.tree, c, x.node))
-        sent = spark.sparkContext.broadcast((walk, {t: numbers[t] for t in count}, {t: candidates[t] for t in count}))
+        sent = spark.sparkContext.broadcast(({t: trees[t] for t in count}, {t: numbers[t] for t in count}, {t: candidates[t] for t in count}))
         k = I.n_stats(spec.task, self.n_classes)
         ddl = "tree int, live bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in I.stat_names(k))
         part = self.rows.mapInArrow(_block_histogram(sent, spec.task, self.n_classes, spec.n_bins, spec.seed), ddl)
@@ -218,9 +247,14 @@ class Vertical:
         self.assigned = weights.where("w > 0").select("tree", "row_id", "w", F.lit(0).cast("bigint").alias("node"))
 
     def histogram(self, nodes: list[Node], live: list[Node], candidates: dict[int, list[int]]) -> DataFrame:
+        """Only slices of wanted features are read, and only open nodes' rows meet them: what is sent are the features of
+        a tree group's trees and their open nodes, not each pair of these."""
         spark = self.slices.sparkSession
-        wanted = spark.createDataFrame([(x.tree, x.node, f) for x in live for f in candidates[x.tree] if f not in x.used or self.spec.tree == "cart"] or [(-1, -1, -1)], "tree int, node bigint, feature_id int")
-        cells = self.slices.join(self.assigned, "row_id").join(F.broadcast(wanted), ["tree", "node", "feature_id"])
+        wanted = spark.createDataFrame([(t, f) for t in sorted({x.tree for x in live}) for f in candidates[t]], "tree int, feature_id int")
+        nodes_open = spark.createDataFrame([(x.tree, x.node) for x in live], "tree int, node bigint")
+        slices = self.slices.where(F.col("feature_id").isin(sorted({f for x in live for f in candidates[x.tree]})))
+        rows = self.assigned.join(F.broadcast(nodes_open), ["tree", "node"], "left_semi")
+        cells = slices.join(rows, "row_id").join(F.broadcast(wanted), ["tree", "feature_id"])
         return I.histogram(cells, self.spec.task, self.n_classes)
 
     def advance(self, splits: list[Node]) -> None:

@@ -11,15 +11,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.hashing import poisson_numpy
-from .growth import Node, Walk, bins_matrix
+from .growth import Node, bins_matrix, slots, walk_arrays
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 
-def tree_tables(nodes: list[Node], n_bins: int, task: str) -> tuple[Walk, dict[int, np.ndarray]]:
-    walk = Walk(nodes, n_bins)
+def tree_tables(nodes: list[Node], n_bins: int, task: str) -> tuple[dict[int, dict], dict[int, np.ndarray]]:
+    trees = walk_arrays(nodes, n_bins)
     by = {(x.tree, x.node): x.prediction(task) for x in nodes}
-    return walk, {t: np.array([by[t, int(n)] for n in a["node"]]) for t, a in walk.trees.items()}
+    return trees, {t: np.array([by[t, int(n)] for n in a["node"]]) for t, a in trees.items()}
 
 
 def tree_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, oob_seed: int | None = None) -> DataFrame:
@@ -28,12 +28,12 @@ def tree_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, oob
     with_target = "target" in rows.columns
 
     def run(batches):
-        walk, values = sent.value
+        trees, values = sent.value
         for batch in batches:
             bins, row = bins_matrix(batch), np.asarray(batch.column("row_id"))
             y = np.asarray(batch.column("target"), dtype=float) if with_target else None
             for t in sorted(values) if len(row) else []:
-                p = values[t][walk.slots(t, bins)]
+                p = values[t][slots(trees[t], bins)]
                 ok = poisson_numpy(row, t, oob_seed) == 0 if oob_seed is not None else np.ones(len(row), bool)
                 out = {"row_id": pa.array(row[ok]), "tree": pa.array(np.full(ok.sum(), t, np.int32)), "prediction": pa.array(p[ok])}
                 if with_target:
@@ -93,11 +93,11 @@ def vote_regression(votes: DataFrame, normalise: bool = True) -> DataFrame:
 
 def forest_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, weights: dict[int, float], n_classes: int, normalise: bool = True) -> DataFrame:
     """row_id, prediction, score in one pass: votes are added up within the row, nothing is shuffled."""
-    walk, values = tree_tables(nodes, n_bins, task)
-    sent = rows.sparkSession.sparkContext.broadcast((walk, values, weights))
+    trees, values = tree_tables(nodes, n_bins, task)
+    sent = rows.sparkSession.sparkContext.broadcast((trees, values, weights))
 
     def run(batches):
-        walk, values, weights = sent.value
+        trees, values, weights = sent.value
         for batch in batches:
             bins, row = bins_matrix(batch), np.asarray(batch.column("row_id"))
             if not len(row):
@@ -105,13 +105,13 @@ def forest_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, w
             if task == "classification":
                 sums = np.zeros((len(row), n_classes))
                 for t, v in values.items():
-                    sums[np.arange(len(row)), v[walk.slots(t, bins)].astype(int)] += weights.get(t, 0.0)
+                    sums[np.arange(len(row)), v[slots(trees[t], bins)].astype(int)] += weights.get(t, 0.0)
                 sums = np.round(sums, 9)
                 p, score = sums.argmax(axis=1).astype(float), sums.max(axis=1)
             else:
                 total, top = sum(weights.get(t, 0.0) for t in values), np.zeros(len(row))
                 for t, v in values.items():
-                    top += weights.get(t, 0.0) * v[walk.slots(t, bins)]
+                    top += weights.get(t, 0.0) * v[slots(trees[t], bins)]
                 under = total if normalise else len(values)
                 p, score = top / under if under else top, np.full(len(row), total)
             yield pa.RecordBatch.from_pydict({"row_id": pa.array(row), "prediction": pa.array(p), "score": pa.array(score)})
