@@ -299,15 +299,6 @@ def test_toxicity_learns_only_from_its_rows(spark):
     assert toxicity.fit_toxicity(odd, lab.limit(0)).score(odd).where("score < 0.01").count() == 4
 
 
-def test_sliced_tree_scores_alike(spark, monkeypatch):
-    d, lab = (spark.read.parquet(f"/root/testdata/sf0.001/{t}.parquet") for t in ("documents", "labels"))
-    one = {r.doc_id: r.score for r in toxicity.fit_toxicity(d, lab).score(d.select("doc_id", "text")).collect()}
-    monkeypatch.setattr(toxicity, "NODES_SENT", 3000)
-    model = toxicity.fit_toxicity(d, lab)
-    assert len(model.trees) > 1
-    assert {r.doc_id: r.score for r in model.score(d.select("doc_id", "text")).collect()} == pytest.approx(one)
-
-
 def test_quality(spark):
     d, lab = (spark.read.parquet(f"/root/testdata/sf0.01/{t}.parquet") for t in ("documents", "labels"))
     train = lab.where(~toxicity.held_out(F.col("doc_id"))).select("doc_id", F.col("quality").alias("grade"))

@@ -239,11 +239,15 @@ def top_products(vectors: DataFrame, query: str, k: int = 5) -> DataFrame:
     spread = data.join(F.broadcast(chunks), ["dim", "cell"])  # MOST_PIVOTS rows for each dimension
     spread = spread.withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.col("chunks").cast("bigint")))
     if sum(len(o["cell"]) for o in cells.values()) * n_blocks <= PAIRS_SENT:
-        spread = spread.join(F.broadcast(visits.select("dim", "cell", "block").distinct()), ["dim", "cell"])
+        pairs = visits.groupBy("dim", "cell").agg(F.collect_set("block").alias("blocks"))
+        spread = spread.join(F.broadcast(pairs), ["dim", "cell"]).withColumn("block", F.explode("blocks"))
     else:  # by chunk, so that no key has more than CHUNK vectors or so
-        spread = spread.join(visits.select("dim", "cell", "chunk", "block").distinct(), ["dim", "cell", "chunk"])
+        pairs = visits.select("dim", "cell", "chunk", F.col("block").alias("visitor")).distinct()
+        spread = spread.join(pairs, ["dim", "cell", "chunk"]).withColumnRenamed("visitor", "block")
     key = ["dim", "cell", "chunk", "block"]
-    local = visits.groupBy(*key).cogroup(spread.select(*key, "vec_id", "x").groupBy(*key)).applyInArrow(_solve(k), "query_id bigint, vec_id bigint, score bigint")
+    spread = spread.select(*key, "vec_id", "x")
+    visits = visits.toDF(*visits.columns)
+    local = visits.groupBy(*key).cogroup(spread.groupBy(*key)).applyInArrow(_solve(k), "query_id bigint, vec_id bigint, score bigint")
     best = local.groupBy("query_id", "vec_id").agg(F.max("score").alias("score"))
     rank = F.row_number().over(Window.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))
     return best.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
