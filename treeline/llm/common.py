@@ -7,6 +7,7 @@ import gc
 import tempfile
 import uuid
 
+import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -78,6 +79,21 @@ def drop_stored(spark: SparkSession, kept: list) -> None:
         jvm.System.gc()
 
 
+#: Bits of a bitmap of fixed size (8 MB).
+BITMAP_BITS = 1 << 26
+
+
+def bitmap(places: DataFrame) -> np.ndarray:
+    """The bits at the places (column at, 0 to BITMAP_BITS - 1), packed: at most 2048 rows of 4 KB come to the driver."""
+    at = places.select((F.col("at") + 1).alias("at"))  # places from 1 on fall into buckets from 1 on
+    rows = at.groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
+    out = np.zeros(BITMAP_BITS // 8, np.uint8)
+    for bucket, part in rows.collect():
+        lo = (bucket - 1) * 4096
+        out[lo : lo + len(part)] |= np.frombuffer(bytes(part), np.uint8)
+    return out
+
+
 #: Bitmaps of row numbers are sent to every task up to so many bytes (8 for each 16 rows or so at least).
 BITMAPS_SENT = 64_000_000
 

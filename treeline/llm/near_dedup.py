@@ -18,7 +18,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import send, small_batches, stored, table
+from .common import BITMAP_BITS, bitmap, send, small_batches, stored, table
 from .components import components
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -29,8 +29,8 @@ N_HASHES, BANDS = 128, 32
 SLACK = 0.2
 #: Rounds of leaders before the rest is compared; buckets up to SMALL classes by pairs, others in blocks of BLOCK.
 ROUNDS, SMALL, BLOCK = 1, 24, 512
-#: Bits of the bitmap of ids; row numbers keep a partition in their upper bits, which SPREAD brings down.
-BITMAP_BITS, SPREAD = 1 << 26, 4294967
+#: Row numbers keep a partition in their upper bits, which SPREAD brings down into a bitmap of them.
+SPREAD = 4294967
 
 
 def _class_rows(k: int, sign: bool):
@@ -79,19 +79,6 @@ def _set_rows(k: int, sent):
     return run
 
 
-def bitmap(asked: DataFrame) -> np.ndarray:
-    """A bitmap of fixed size (8 MB) of the doc_ids in column rep. Misses none, may admit others."""
-    rep = F.coalesce("rep", F.lit(0))
-    at = asked.select((F.pmod(rep + F.shiftright(rep, 33) * SPREAD, F.lit(BITMAP_BITS)) + 1).alias("at"))  # positions from 1 fall into buckets from 1
-    # at most BITMAP_BITS / 32768 rows of 4 KB
-    rows = at.groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
-    out = np.zeros(BITMAP_BITS // 8, np.uint8)
-    for bucket, part in rows.collect():
-        lo = (bucket - 1) * 4096
-        out[lo : lo + len(part)] |= np.frombuffer(bytes(part), np.uint8)
-    return out
-
-
 def _agreeing(least: float):
     """Keeps pairs whose signatures agree in at least this share of places."""
 
@@ -309,7 +296,8 @@ def _sets(docs: DataFrame, classes: DataFrame, pairs: DataFrame, k: int) -> Data
     """cls, shingles of the classes in pairs, made from the texts of their representatives."""
     asked = pairs.select(F.col("a").alias("cls")).union(pairs.select(F.col("b").alias("cls"))).distinct()
     asked = stored(asked.join(classes.select("cls", "rep"), "cls"), "asked")
-    sent = send(docs.sparkSession, bitmap(asked))
+    rep = F.coalesce("rep", F.lit(0))
+    sent = send(docs.sparkSession, bitmap(asked.select(F.pmod(rep + F.shiftright(rep, 33) * SPREAD, F.lit(BITMAP_BITS)).alias("at"))))
     sets = docs.mapInArrow(_set_rows(k, sent), "cls binary, shingles binary").join(asked.select("cls"), "cls", "left_semi")
     return stored(sets.groupBy("cls").agg(F.any_value("shingles").alias("shingles")), "sets")
 

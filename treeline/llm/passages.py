@@ -18,7 +18,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import n_parts, small_batches, stored, table
+from .common import BITMAP_BITS, bitmap, n_parts, send, small_batches, stored, table
 from .decontaminate import winnow
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
@@ -33,8 +33,20 @@ GAP, SHIFT, PAD, TAIL = 0.25, 0.25, 240, 160
 DIFFER, DROP = -IDENTITY / (1 - IDENTITY), 30.0
 #: Bytes of text that are cut into words at once for alignment.
 ALIGN_BYTES = 500_000
-#: Gaps longer than so many words are not aligned: their words count as different.
-GAP_WORDS = 400
+#: Chains of two documents that are aligned in their own context first; where there are more, whole texts are cheaper.
+FEW = 2
+
+
+def _shared_seeds(sent):
+    """Seeds whose hash may be a shared one, by a bitmap of fixed size that misses none."""
+
+    def run(batches):
+        bits = sent.value
+        for batch in _seeds(batches):
+            at = np.asarray(batch.column("h")) % (8 * len(bits))
+            yield batch.filter(pa.array((bits[at >> 3] >> (at & 7).astype(np.uint8) & 1).astype(bool)))
+
+    return run
 
 
 def _seeds(batches):
@@ -136,8 +148,11 @@ def chains(seg: np.ndarray) -> list[list[int]]:
     return out
 
 
+_ITEM = pa.struct([("p0", pa.int32()), ("p1", pa.int32()), ("q0", pa.int32()), ("q1", pa.int32()), ("own", pa.binary())])
+
+
 def _chain_rows(batches):
-    """Streams pairs in order of (rid, lead); one row per chain."""
+    """Streams pairs in order of (rid, lead); one row for two documents, with their chains."""
     held: list = []
 
     def flush():
@@ -146,16 +161,21 @@ def _chain_rows(batches):
         cut = np.flatnonzero((np.diff(key, axis=0) != 0).any(axis=1)) + 1
         at, lead_at = whole["at"].to_numpy(), whole["lead_at"].to_numpy()
         p, q, p_byte, q_byte = at & 0xFFFFFFFF, lead_at & 0xFFFFFFFF, at >> 32, lead_at >> 32
-        out: list = [[] for _ in range(7)]
+        ids: list = [[], []]
+        n, out = [0], [[] for _ in range(5)]
         for a, b in zip(np.append(0, cut), np.append(cut, len(whole)), strict=True) if len(whole) else ():
             seg = segments(p[a:b], q[a:b], p_byte[a:b], q_byte[a:b])
             for chain in chains(seg):
                 own = seg[chain]
                 places = (own[:, :3] - [own[0, 0], own[0, 1], 0]).astype("<i4").tobytes()
-                for c, v in zip(out, (key[a, 0], key[a, 1], own[0, 3], own[-1, 5], own[0, 4], own[-1, 6], places), strict=True):
+                for c, v in zip(out, (own[0, 3], own[-1, 5], own[0, 4], own[-1, 6], places), strict=True):
                     c.append(v)
-        kinds = (pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.int32(), pa.int32(), pa.binary())
-        return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(out, kinds, strict=True)], ["rid", "lead", "p0", "p1", "q0", "q1", "own"])
+            ids[0].append(key[a, 0])
+            ids[1].append(key[a, 1])
+            n.append(len(out[0]))
+        items = pa.StructArray.from_arrays([pa.array(c, f.type) for c, f in zip(out, _ITEM, strict=True)], fields=list(_ITEM))
+        items = pa.ListArray.from_arrays(pa.array(n, pa.int32()), items)
+        return pa.RecordBatch.from_arrays([*(pa.array(c, pa.int64()) for c in ids), items], ["rid", "lead", "items"])
 
     for batch in batches:
         if not batch.num_rows:
@@ -212,28 +232,30 @@ def grown(a: np.ndarray, b: np.ndarray, i: np.ndarray, j: np.ndarray, i_room: np
     best = np.zeros((4, n))
     act = np.flatnonzero((i_room > 0) & (j_room > 0))
     while len(act):
-        u, v = now[0, act].astype(np.int64), now[1, act].astype(np.int64)
-
-        def same(of: np.ndarray, du: int, dv: int) -> np.ndarray:
-            x, y, at = u[of] + du, v[of] + dv, act[of]  # noqa: B023
-            ok = np.flatnonzero((x < i_room[at]) & (y < j_room[at]))
-            out = np.zeros(len(of), bool)
-            out[ok] = a[i[at[ok]] + step * x[ok]] == b[j[at[ok]] + step * y[ok]]
-            return out
-
-        move = np.ones((4, len(act)))
-        off = np.flatnonzero(~same(np.arange(len(act)), 0, 0))
-        if len(off):
-            move[2:, off] = [[0], [DIFFER]]
-            other = off[~same(off, 1, 1)]
-            if len(other):
-                more = same(other, 1, 0) & same(other, 2, 1)
-                less = ~more & same(other, 0, 1) & same(other, 1, 2)
-                move[1, other[more]] = 0
-                move[0, other[less]] = 0
-        now[:, act] += move
+        # equal words are passed many at a time, the more the fewer stretches still grow
+        width = min(512, max(4, 8192 // len(act)))
+        x, y = (now[c, act].astype(np.int64)[:, None] + np.arange(width) for c in (0, 1))
+        same = (x < i_room[act][:, None]) & (y < j_room[act][:, None])
+        same &= a[np.clip(i[act][:, None] + step * x, 0, len(a) - 1)] == b[np.clip(j[act][:, None] + step * y, 0, len(b) - 1)]
+        run = np.where(same.all(axis=1), width, same.argmin(axis=1))
+        now[:, act] += run
         up = act[now[3, act] > best[3, act]]
         best[:, up] = now[:, up]
+        off = act[(run < width) & (now[0, act] < i_room[act]) & (now[1, act] < j_room[act])]
+        if len(off):
+            u, v = now[0, off].astype(np.int64), now[1, off].astype(np.int64)
+
+            def equal(du: int, dv: int) -> np.ndarray:
+                x, y = u + du, v + dv  # noqa: B023
+                ok = (x < i_room[off]) & (y < j_room[off])  # noqa: B023
+                return ok & (a[np.clip(i[off] + step * x, 0, len(a) - 1)] == b[np.clip(j[off] + step * y, 0, len(b) - 1)])  # noqa: B023
+
+            changed = equal(1, 1)
+            more = ~changed & equal(1, 0) & equal(2, 1)
+            less = ~changed & ~more & equal(0, 1) & equal(1, 2)
+            now[0, off] += ~less
+            now[1, off] += ~more
+            now[3, off] += DIFFER
         act = act[(now[3, act] >= best[3, act] - DROP) & (now[0, act] < i_room[act]) & (now[1, act] < j_room[act])]
     return best[:3].astype(np.int64), now[:2].astype(np.int64)
 
@@ -263,8 +285,7 @@ def columns(a: np.ndarray, b: np.ndarray, anchors: np.ndarray) -> np.ndarray:
             i, j, n = i + cut, j + cut, n - cut
             x, y = a[at_a:i], b[at_b:j]
             if len(x) or len(y):
-                near = len(x) and len(y) and max(len(x), len(y)) <= GAP_WORDS
-                out.append(np.array([[len(x), len(y), common_in_order(x.tolist(), y.tolist()) if near else 0]]))
+                out.append(np.array([[len(x), len(y), common_in_order(x.tolist(), y.tolist()) if len(x) and len(y) else 0]]))
         out.append(np.ones((n, 3), np.int64))
         out[-1][:, 2] = a[i : i + n] == b[j : j + n]
         at_a, at_b = i + n, j + n
@@ -366,20 +387,17 @@ def _align_rows(batch: pa.RecordBatch, pad: int | None) -> pa.RecordBatch:
     if pad:
         align(left)
     left = left[np.lexsort((x0[left], t[left]))] if not pad else left[:0]
+    take = 1
     while len(left):
-        # the first chain left of each two documents; what its spans hold, with all equal words around, is done too
-        first = np.ones(len(left), bool)
-        first[1:] = t[left][1:] != t[left][:-1]
-        had = len(out)
+        # the first chains left of each two documents, twice as many each time; what their spans hold, with all equal
+        # words around, is done too
+        begins = np.flatnonzero(np.append(True, t[left][1:] != t[left][:-1]))
+        first = np.arange(len(left)) - np.repeat(begins, np.diff(np.append(begins, len(left)))) < take
+        take *= 2
         align(left[first])
         left = left[~first]
-        lo, hi = np.full(len(batch), np.iinfo(np.int64).max), np.zeros(len(batch), np.int64)
-        for i, u0, u1, _, _ in out[had:]:
-            if u1 - u0 > hi[t[i]] - lo[t[i]]:
-                lo[t[i]], hi[t[i]] = u0, u1
-        at = t[left]
-        held = ((lo[at] <= x0[left] - WINDOW) | (lo[at] == a.lo[at])) & ((x1[left] + WINDOW <= hi[at]) | (hi[at] == a.hi[at]))
-        left = left[~(held & (lo[at] <= x0[left]) & (x1[left] <= hi[at]))]
+        if len(out) and len(left):
+            left = left[~_held(np.array(out, np.int64), t, left, x0[left], x1[left], a)]
     done = np.array(out, np.int64).reshape(-1, 5)
     i, u0, u1, v0, _ = done[~is_open[done[:, 0]]].T
     begin, stop, lead_begin = a.start[u0] - a.offsets[t[i]], a.end[u1 - 1] - a.offsets[t[i]], b.start[v0] - b.offsets[t[i]]
@@ -390,6 +408,18 @@ def _align_rows(batch: pa.RecordBatch, pad: int | None) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays(cols, ["rid", "lead", "start", "stop", "lead_start", "words", "q1", "own"])
 
 
+def _held(found: np.ndarray, t: np.ndarray, left: np.ndarray, x0: np.ndarray, x1: np.ndarray, a: Stretches) -> np.ndarray:
+    """Which chains left lie in a found span of their two documents with WINDOW words to spare, or up to a text's end."""
+    own, lo, hi = t[found[:, 0]], found[:, 1], found[:, 2]
+    lo, hi = np.where(lo == a.lo[own], lo - WINDOW, lo), np.where(hi == a.hi[own], hi + WINDOW, hi)
+    wide = np.int64(len(a.hash) + 4 * WINDOW)  # places of one row stay below those of the next
+    order = np.argsort(own * wide + lo, kind="stable")
+    key = (own * wide + lo)[order]
+    reach = np.maximum.accumulate((own * wide + hi)[order])
+    at = np.searchsorted(key, t[left] * wide + x0 - WINDOW, side="right") - 1
+    return (at >= 0) & (reach[np.maximum(at, 0)] >= t[left] * wide + x1 + WINDOW)
+
+
 def numbered(docs: DataFrame) -> DataFrame:
     """docs (doc_id, text) with rid: doc_id, or where ids are null or stand for different texts, a hash below 0."""
     base = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
@@ -414,10 +444,14 @@ def repeated_passages(docs: DataFrame) -> DataFrame:
     small_batches(docs.sparkSession)
     seeds = docs.select("rid", "text").mapInArrow(_seeds, "h bigint, rid bigint, at bigint")
     first = seeds.groupBy("h").agg(F.min(F.struct("rid", "at")).alias("l"), F.count("*").alias("c")).where("c > 1")
-    first = first.select("h", F.col("l.rid").alias("lead"), F.col("l.at").alias("lead_at"))
-    pairs = seeds.join(first, "h").where("rid <> lead or at <> lead_at").select("rid", "lead", "at", "lead_at")
+    # stored, so that the join below has a stage of its own, in which Spark splits the places of a very common seed
+    first = stored(first.select("h", F.col("l.rid").alias("lead"), F.col("l.at").alias("lead_at")), "first")
+    shared = send(docs.sparkSession, bitmap(first.select(F.pmod("h", F.lit(BITMAP_BITS)).alias("at"))))
+    again = docs.select("rid", "text").mapInArrow(_shared_seeds(shared), "h bigint, rid bigint, at bigint")
+    pairs = again.join(first, "h").where("rid <> lead or at <> lead_at").select("rid", "lead", "at", "lead_at")
     pairs = pairs.repartition(n_parts(docs.sparkSession), "rid").sortWithinPartitions("rid", "lead", "at")
-    found = stored(pairs.mapInArrow(_chain_rows, "rid bigint, lead bigint, p0 int, p1 int, q0 int, q1 int, own binary"), "chains")
+    item = "struct<p0:int,p1:int,q0:int,q1:int,own:binary>"
+    found = stored(pairs.mapInArrow(_chain_rows, f"rid bigint, lead bigint, items array<{item}>"), "chains")
     texts = docs.select("rid", F.col("text").cast("binary").alias("raw"))
     return _align_chains(found, texts)
 
@@ -426,7 +460,8 @@ _SPANS = "rid bigint, lead bigint, start bigint, stop bigint, lead_start bigint,
 
 
 def _align_chains(found: DataFrame, texts: DataFrame) -> DataFrame:
-    """Chains aligned in PAD bytes of context; those that go on past it, all of two documents together, in whole texts."""
+    """FEW chains of two documents are aligned in PAD bytes of context; those that go on past it, and the chains of
+    documents that have more, all together in whole texts."""
 
     def stretch(lo: str, hi: str):
         at = F.greatest(F.col(lo) - PAD, F.lit(0))
@@ -436,10 +471,12 @@ def _align_chains(found: DataFrame, texts: DataFrame) -> DataFrame:
         own = chains.join(texts, "rid").withColumn("a", a).drop("raw")
         return own.join(texts.withColumnRenamed("rid", "lead"), "lead").withColumn("b", b).drop("raw")
 
+    few = found.where(F.size("items") <= FEW).select("rid", "lead", F.explode("items").alias("i")).select("rid", "lead", "i.*")
     cols = ["rid", "lead", "p0", "p1", "q0", "q1", "own", "a", "b"]
-    near = stored(beside(found, stretch("p0", "p1"), stretch("q0", "q1")).select(*cols).mapInArrow(_aligned(PAD), _SPANS), "aligned")
-    item = F.struct(F.col("start").alias("p0"), F.col("stop").alias("p1"), F.col("lead_start").alias("q0"), "q1", "own")
-    going = near.where("own is not null").groupBy("rid", "lead").agg(F.collect_list(item).alias("items"))
+    near = stored(beside(few, stretch("p0", "p1"), stretch("q0", "q1")).select(*cols).mapInArrow(_aligned(PAD), _SPANS), "aligned")
+    item = F.struct(F.col("start").cast("int").alias("p0"), F.col("stop").cast("int").alias("p1"), F.col("lead_start").cast("int").alias("q0"), F.col("q1").cast("int").alias("q1"), "own")
+    going = near.where("own is not null").groupBy("rid", "lead").agg(F.collect_list(item).alias("items"))  # FEW at most
+    going = going.union(found.where(F.size("items") > FEW))
     far = beside(going, F.col("raw"), F.col("raw")).select("rid", "lead", "items", "a", "b").mapInArrow(_aligned(None), _SPANS)
     return _widest(near.where("own is null").union(far).select("rid", "lead", "start", "stop", "lead_start", "words"))
 

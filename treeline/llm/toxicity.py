@@ -20,7 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import send, small_batches, stored, table
+from .common import BITMAP_BITS, bitmap, send, small_batches, stored, table
 
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
@@ -38,7 +38,6 @@ STEPS_SENT, WORDS_SENT = 8_000_000, 1_000_000
 #: Rows of a broadcast that come to the driver at once.
 FETCHED = 1_000_000
 TOXIC_FROM = 0.7
-_ID_BITS = 1 << 26
 _TURN, _SLID = np.uint64(0x9E3779B97F4A7C15), np.uint64(0x2545F4914F6CDD1D)
 #: The context of a word's first letter.
 ROOT = 0
@@ -176,10 +175,9 @@ class _Model:
 
     def __init__(self, keys: np.ndarray, step: np.ndarray, unseen: np.ndarray):
         self.keys, self.step, self.unseen = keys, step, unseen
-        bits = max(1, len(keys).bit_length() - 1)
+        bits = max(1, len(keys).bit_length() - 3)
         self.shift = np.uint64(64 - bits)
-        self.index = np.zeros((1 << bits) + 1, np.int64)
-        np.cumsum(np.bincount((keys >> self.shift).astype(np.int64), minlength=1 << bits), out=self.index[1:])
+        self.index = np.append(np.searchsorted(keys, np.arange(1 << bits, dtype=np.uint64) << self.shift), len(keys))
 
     def find(self, h: np.ndarray) -> np.ndarray:
         """The place of each hash among the keys, or -1."""
@@ -428,16 +426,11 @@ def _labelled(docs: DataFrame, labels: DataFrame) -> DataFrame:
     shuffle by a bitmap of fixed size (8 MB) of the labelled ids; the join is exact."""
     labels = labels.where("doc_id is not null and toxic is not null").groupBy(F.col("doc_id").cast("bigint").alias("doc_id")).agg(F.max(F.col("toxic").cast("int")).alias("toxic"))
     labels = labels.where(~held_out(F.col("doc_id")))
-    at = F.pmod(F.col("doc_id"), F.lit(_ID_BITS)) + 1
-    rows = labels.select(at.alias("at")).groupBy(F.expr("bitmap_bucket_number(at)").alias("bucket")).agg(F.expr("bitmap_construct_agg(bitmap_bit_position(at))").alias("bits"))
-    bits = np.zeros(_ID_BITS // 8, np.uint8)
-    for bucket, part in rows.collect():
-        bits[(bucket - 1) * 4096 : bucket * 4096] |= np.frombuffer(bytes(part), np.uint8)
-    sent = send(docs.sparkSession, bits)
+    sent = send(docs.sparkSession, bitmap(labels.select(F.pmod("doc_id", F.lit(BITMAP_BITS)).alias("at"))))
 
     def known(batches):
         for batch in batches:
-            ids = np.asarray(batch.column("doc_id").fill_null(0)) % _ID_BITS
+            ids = np.asarray(batch.column("doc_id").fill_null(0)) % BITMAP_BITS
             yield batch.filter(pa.array(((sent.value[ids >> 3] >> (ids & 7).astype(np.uint8)) & 1).astype(bool)))
 
     docs = docs.select(F.col("doc_id").cast("bigint").alias("doc_id"), "text").where(~held_out(F.col("doc_id")))
