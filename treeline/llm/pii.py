@@ -27,6 +27,8 @@ _TITLE = rf"(?:{'|'.join(sorted([*_MALE, *_FEMALE, 'Dr', 'Prof', 'Doctor', 'Prof
 _MEN = "Alexander Andrew Anthony Antonio Benjamin Carlos Charles Christopher Daniel David Edward François Friedrich Georg George Hans Heinrich James Javier Jean Johann John José Joseph Juan Jürgen Kevin Klaus Luis Manuel Matthew Michael Miguel Nicholas Pablo Patrick Pedro Peter Philippe Pierre Richard Robert Stefan Steven Thomas William Wolfgang Александр Алексей Андрей Дмитрий Сергей Γιάννης Γεώργιος".split()
 _WOMEN = "Alice Amanda Ana Angela Anna Barbara Brigitte Carmen Catherine Charlotte Christine Claudia Dorothy Elizabeth Emily Emma Françoise Isabel Jane Jennifer Jessica Johanna Julia Karen Katharina Laura Linda Lucía Margaret María Marie Mary Michelle Monika Nathalie Olivia Patricia Rachel Rebecca Sabine Sandra Sarah Sophie Susan Teresa Ursula Екатерина Елена Мария Наталья Ольга Ελένη Κατερίνα".split()
 _NAMED = rf"(?:{'|'.join(sorted(_MEN + _WOMEN, key=len, reverse=True))})"
+#: Where a word with a capital goes before another: only there are titles and names looked for.
+_CAPITALS = r"(?<![\p{L}\p{N}])(?=\p{Lu}[\p{L}]++\.? \p{Lu})"
 _PART = r"\p{Lu}[\p{L}'\-]++"
 PATTERNS = {
     "email": rf"(?<![{_L}._%+\-])[{_L}._%+\-]++@(?:[{_L}\-]{{1,63}}+\.){{1,8}}\p{{L}}{{2,24}}+",
@@ -36,12 +38,12 @@ PATTERNS = {
     "phone": r"(?<![\d+(])(?:\+\d{1,3}[ .\-]?)?(?:\(\d{2,4}\)[ .\-]?|\d{3}[.\-])\d{3,4}[ .\-]\d{4}(?!\d)|(?<![\d+])\+\d{1,3}(?:[ .\-]?\d{2,4}){2,4}(?!\d)",
     "card": r"(?<!\d)(?:\d{13,19}|\d{4}[ \-]\d{4}[ \-]\d{4}[ \-]\d{4}|\d{4}[ \-]\d{6}[ \-]\d{5})(?!\d)",
     "secret": r"(?<=(?i:token|secret|password|passwd|api_key|apikey|key)[ ]{0,2}[:=][ ]{0,2}[\"'])[^\"'\s]{8,}+(?=[\"'])|(?<![\p{L}\p{N}])AKIA[0-9A-Z]{16}(?![\p{L}\p{N}])",
-    "name": rf"(?<![\p{{L}}\p{{N}}])(?:{_TITLE}\.? {_PART}(?: {_PART})?|{_NAMED} {_PART})",
+    "name": rf"{_CAPITALS}(?:{_TITLE}\.? {_PART}(?: {_PART})?|{_NAMED} {_PART})",
 }
 PATTERN = "|".join(PATTERNS.values())
 #: A text without any of these holds no entity: all kinds but names and access keys have a digit or an @ or a quote in or
 #: before them.
-CUE = rf"[0-9@]|[\"']|AKIA|(?:{_TITLE}\.?|{_NAMED}) \p{{Lu}}"
+CUE = rf"[0-9@]|[\"']|AKIA|{_CAPITALS}(?:{_TITLE}\.?|{_NAMED}) "
 #: Up to so many entities with a surrogate keyed anew are held in expressions; more are joined to the texts.
 RENAMED_INLINE = 2_000
 #: From this attempt on, surrogates are longer than what they replace, so that no kind of entity can run out of them.
@@ -153,21 +155,21 @@ def _scrambled(v: Column, h: Column, hexadecimal: Column) -> Column:
 
 def _name(u: Column, h: Column, attempt: Column) -> Column:
     """A given or family name: given ones from a list at first, made of syllables where that meets another's."""
-    v = u["value"]
+    v, family = u["value"], u["kind"] == "family"
     script = F.when(v.rlike(r"^\p{IsCyrillic}"), "cyrillic").when(v.rlike(r"^\p{IsGreek}"), "greek").otherwise("latin")
-
-    def of(name: str) -> Column:
-        own = F.array(*[F.lit(x) for x in _SYLLABLES[name]])
-        made = F.array_join(F.transform(F.sequence(F.lit(1), attempt + 3), lambda i: own[_number(h, i) % len(_SYLLABLES[name])]), "")
-
-        def given(g: str) -> Column:
-            pool = _GIVEN[name, g]
-            listed = F.array(*[F.lit(x) for x in pool])[_number(h, F.lit(0)) % len(pool)]
-            return F.when(attempt == 0, listed).otherwise(F.concat(F.initcap(made), F.lit(_ENDINGS[name, g])))
-
-        return F.when(u["kind"] == "family", F.initcap(made)).when(u["gender"] == "m", given("m")).otherwise(given("f"))
-
-    out = F.when(script == "cyrillic", of("cyrillic")).when(script == "greek", of("greek")).otherwise(of("latin"))
+    style = F.concat_ws(" ", script, u["gender"])  # of a family name, the script alone
+
+    def chosen(of: dict, value) -> Column:
+        out = F.lit(None)
+        for name, x in of.items():
+            out = F.when(style == " ".join(name) if isinstance(name, tuple) else F.startswith(style, F.lit(name)), value(x)).otherwise(out)
+        return out
+
+    words = lambda x: F.array(*[F.lit(w) for w in x])
+    picked = lambda pool, i: pool[_number(h, i) % F.size(pool)]
+    made = _let(chosen(_SYLLABLES, words), lambda own: F.array_join(F.transform(F.sequence(F.lit(1), attempt + 3), lambda i: picked(own, i)), ""))
+    made = F.concat(F.initcap(made), F.coalesce(chosen(_ENDINGS, F.lit), F.lit("")))
+    out = F.when(~family & (attempt == 0), _let(chosen(_GIVEN, words), lambda pool: picked(pool, F.lit(0)))).otherwise(made)
     return _let(out, lambda s: F.when((F.upper(v) == v) & (F.length(v) > 1), F.upper(s)).otherwise(s))
 
 
@@ -238,14 +240,13 @@ def _surrogate(u: Column, attempt: Column, h: Column) -> Column:
     mixed = F.concat(start, F.array_join(F.transform(pieces, lambda x: _scrambled(x, h, (kind == "secret") & v.rlike("^[0-9a-f]{16,}$"))), ""))
     checked = _let(mixed, lambda m: F.when(kind == "card", _card(v, m)).when(kind == "iban", _account(v, m)).when(kind == "email", F.concat(m, F.lit(".example.org"))).otherwise(m))
     more = F.substring(F.translate(h, "abcdef", "012345"), F.lit(9), attempt)
+    wide, mail = attempt >= WIDER, kind == "email"
     return (
         # private addresses, then those of a private network of the longer kind
-        F.when((kind == "ip") & (attempt < WIDER), F.concat_ws(".", F.lit("10"), octet(1), octet(2), octet(3)))
+        F.when((kind == "ip") & ~wide, F.concat_ws(".", F.lit("10"), octet(1), octet(2), octet(3)))
         .when(kind == "ip", F.concat(F.lit("fd00"), F.regexp_replace(F.substring(h, 9, 28), "(.{4})", ":$1")))
         .when(kind.isin("given", "family"), _name(u, h, attempt))
-        .when((attempt >= WIDER) & (kind == "email"), F.concat(more, F.lit("."), checked))
-        .when(attempt >= WIDER, F.concat(checked, F.lit("-"), more))
-        .otherwise(checked)
+        .otherwise(F.concat(F.when(wide & mail, F.concat(more, F.lit("."))).otherwise(""), checked, F.when(wide & ~mail, F.concat(F.lit("-"), more)).otherwise("")))
     )
 
 
