@@ -61,3 +61,28 @@ def poisson_sql(row: str, tree: str, seed: int = 42) -> str:
     u = f"({mix_sql(row, tree, seed)} / {float(PRIME)}::DOUBLE)"
     cases = " ".join(f"WHEN {u} < {p}::DOUBLE THEN {k}" for k, p in enumerate(POISSON))
     return f"(CASE {cases} ELSE {len(POISSON)} END)"
+
+
+#: Draws of a row are counted up to so many.
+MOST_DRAWS = 24
+
+
+def drawn_weight(row: Column, tree: Column, mean: Column, seed: int = 42) -> Column:
+    """poisson_weight with any mean: how many steps of the distribution function the row's number has passed."""
+    def passed(x: Column) -> Column:
+        none = F.exp(-x["mean"])
+        start = F.struct(none.alias("step"), none.alias("total"), (x["u"] >= none).cast("int").alias("w"))
+
+        def on(acc: Column, k: Column) -> Column:
+            step = acc["step"] * x["mean"] / k
+            return F.struct(step.alias("step"), (acc["total"] + step).alias("total"), (acc["w"] + (x["u"] >= acc["total"] + step).cast("int")).alias("w"))
+
+        return F.aggregate(F.transform(F.sequence(F.lit(1), F.lit(MOST_DRAWS - 1)), lambda k: k.cast("double")), start, on, lambda acc: acc["w"])
+
+    return F.transform(F.array(F.struct(uniform(row, tree, seed).alias("u"), mean.alias("mean"))), passed)[0]
+
+
+def drawn_sql(row: str, tree: str, mean: str, seed: int = 42) -> str:
+    u = f"({mix_sql(row, tree, seed)} / {float(PRIME)}::DOUBLE)"
+    below = f"exp(-({mean})) * list_sum(list_transform(range(k + 1), lambda j: pow({mean}, j) / gamma(j + 1.0)))"
+    return f"len(list_filter(range({MOST_DRAWS}), lambda k: {u} >= {below}))"

@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
@@ -43,23 +43,38 @@ def width_cuts(df: DataFrame, names: list[str], n_bins: int) -> dict[str, list[f
     return {n: [] if row[n][0] is None else [row[n][0] + (row[n][1] - row[n][0]) * i / n_bins for i in range(1, n_bins)] for n in names}
 
 
-def dictionary_codes(df: DataFrame, name: str, n_bins: int) -> dict[str, int]:
-    """The n_bins - 1 most frequent values by (count desc, value asc); the rest share the last code."""
-    top = df.where(F.col(name).isNotNull()).groupBy(name).agg(F.count("*").alias("c")).orderBy(F.desc("c"), name).limit(n_bins - 1)
-    return {r[0]: i for i, r in enumerate(top.collect())}  # n_bins - 1 rows
+def dictionary_codes(df: DataFrame, names: list[str], n_bins: int) -> dict[str, dict[str, int]]:
+    """For each column the n_bins - 1 most frequent values by (count desc, value asc), in one job; the rest share the
+    last code."""
+    cells = df.select(F.explode(F.array(*[F.struct(F.lit(n).alias("name"), F.col(f"`{n}`").alias("value")) for n in names])).alias("c")).select("c.*")
+    top = cells.where("value is not null").groupBy("name", "value").agg(F.count("*").alias("c"))
+    top = top.withColumn("code", F.row_number().over(Window.partitionBy("name").orderBy(F.desc("c"), "value")) - 1).where(F.col("code") < n_bins - 1)
+    out: dict[str, dict[str, int]] = {n: {} for n in names}
+    for r in top.orderBy("name", "code").collect():  # n_bins - 1 rows a column
+        out[r["name"]][r["value"]] = r["code"]
+    return out
+
+
+def log_cuts(df: DataFrame, names: list[str], n_bins: int) -> dict[str, list[float]]:
+    """Cuts of equal ratio between the least value above 0 and the largest; what is not above 0 is in the first bin."""
+    row = df.agg(*[F.struct(F.min(F.when(F.col(n) > 0, F.col(n))).cast("double"), F.max(n).cast("double")).alias(n) for n in names]).first()
+    ratio = {n: (row[n][1] / row[n][0]) ** (1 / n_bins) for n in names if row[n][0]}
+    return {n: [row[n][0] * ratio[n] ** i for i in range(1, n_bins)] if n in ratio else [] for n in names}
 
 
 def fit_bins(df: DataFrame, features: list[str], n_bins: int = 8, exact: bool = True, cuts: str = "quantile") -> list[BinRule]:
     kinds = dict(df.dtypes)
     numeric = [f for f in features if kinds[f] != "string"]
-    found = (quantile_cuts(df, numeric, n_bins, exact) if cuts == "quantile" else width_cuts(df, numeric, n_bins)) if numeric else {}
+    by = {"quantile": lambda: quantile_cuts(df, numeric, n_bins, exact), "width": lambda: width_cuts(df, numeric, n_bins), "log": lambda: log_cuts(df, numeric, n_bins)}
+    found = by[cuts]() if numeric else {}
+    strings = [f for f in features if f not in found]
+    codes = dictionary_codes(df, strings, n_bins) if strings else {}
     rules = []
     for i, f in enumerate(features):
         if f in found:
             rules.append(BinRule(i, f, "numeric", cuts=found[f]))
         else:
-            codes = dictionary_codes(df, f, n_bins)
-            rules.append(BinRule(i, f, "string", codes=codes, other=n_bins - 1))
+            rules.append(BinRule(i, f, "string", codes=codes[f], other=n_bins - 1))
     return rules
 
 

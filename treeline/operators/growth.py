@@ -208,7 +208,19 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, he
     return run
 
 
-class Horizontal:
+class Dense:
+    """What a source says whose histograms hold every feature of every node."""
+
+    def totals(self, hist: DataFrame, names: list[str]) -> DataFrame:
+        """tree and the statistics of its root."""
+        return hist.where("feature_id = 0").groupBy("tree").agg(*[F.sum(s).alias(s) for s in names])
+
+    def every_score(self, scores: DataFrame, criterion: str) -> DataFrame:
+        """Root scores of all features of all trees."""
+        return scores
+
+
+class Horizontal(Dense):
     """Histograms from binned rows in place, or from packed blocks of them; rows find their nodes by walking the trees
     so far."""
 
@@ -239,7 +251,7 @@ class Horizontal:
         pass
 
 
-class Vertical:
+class Vertical(Dense):
     """Histograms from slices (feature_id, row_id, bin, target) and assignments (tree, row_id, node, w)."""
 
     def __init__(self, slices: DataFrame, weights: DataFrame, spec: ForestSpec, n_classes: int):
@@ -374,19 +386,20 @@ def _histogram(source, nodes: list[Node], live: list[Node], candidates: dict[int
 
 def root_histogram(source, trees: list[int], n_features: int, spec: ForestSpec) -> DataFrame:
     roots = [Node(t, 0, -1, 0, -1, []) for t in trees]
-    return source.histogram(roots, roots, {t: list(range(n_features)) for t in trees})
+    every = list(range(n_features))
+    return source.histogram(roots, roots, dict.fromkeys(trees, every))
 
 
 def reduced_roots(source, trees: list[int], n_features: int, spec: ForestSpec, n_classes: int) -> tuple[list[Node], dict[int, list[int]], list]:
     """Roots with their statistics, features of each tree, and the selection rows (tree, rank, feature_id, origin)."""
     hist = stored(root_histogram(source, trees, n_features, spec), "root")
     names = I.stat_names(I.n_stats(spec.task, n_classes))
-    totals = hist.where("feature_id = 0").groupBy("tree").agg(*[F.sum(s).alias(s) for s in names]).collect()  # a row per tree
+    totals = source.totals(hist, names).collect()  # a row per tree
     roots = [Node(r.tree, 0, -1, 0, -1, [r[s] for s in names]) for r in sorted(totals, key=lambda r: r.tree)]
-    everything = {r.tree: list(range(n_features)) for r in roots}
+    everything = dict.fromkeys([r.tree for r in roots], list(range(n_features)))
     if not spec.reduction:
         return roots, everything, [(t, i + 1, f, "all") for t, fs in everything.items() for i, f in enumerate(fs)]
-    scores = I.gains(hist, spec.task, n_classes)
+    scores = source.every_score(I.gains(hist, spec.task, n_classes), spec.criterion)
     if spec.reduction_scope == "shared":
         mean = scores.groupBy("feature_id").agg(F.avg(spec.criterion).alias(spec.criterion))
         scores = scores.select("tree").distinct().crossJoin(F.broadcast(mean))  # one row per feature on the right

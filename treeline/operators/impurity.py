@@ -12,7 +12,6 @@ from ..functions.math import xlog2x
 
 NODE = ["tree", "node"]
 CELL = ["tree", "node", "feature_id", "bin"]
-CRITERIA = ("gain_ratio", "info_gain", "gini", "variance")
 
 
 def n_stats(task: str, n_classes: int) -> int:

@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..session import stored
+from ..plans.cost import choose_layout
 from . import growth as G
 from .binning import BinRule, binned, fit_bins, spec_frame
 from .layout import to_slices
@@ -135,6 +136,9 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
     n_features = len(rules)
     spec = spec.sized(n_features)
     n_classes = max(1, len(classes))
+    if spec.layout == "auto":
+        best, _ = choose_layout(rows.count(), n_features + 1, spec.n_trees, 2**spec.max_depth, spec.n_bins + 1, n_classes, spec.n_selected, spec.max_depth, int(spark.conf.get("spark.sql.shuffle.partitions")))
+        spec = spec.but(layout=best if spec.n_bins < 255 or best != "blocks" else "horizontal")
     given = weights is not None
     nodes: list[G.Node] = []
     selected: list[tuple] = []
@@ -175,8 +179,9 @@ def oob_stats(forest: Forest, rows: DataFrame, weights: DataFrame | None) -> lis
 
 
 def fit(df: DataFrame, target: str, spec: ForestSpec, features: list[str], row_id: str) -> Forest:
-    """A forest from a table with one row per example: bins are learnt from it, then the trees."""
-    rules = fit_bins(df, features, spec.n_bins)
+    """A forest from a table with one row per example: bins are learnt from it (quantiles by sketches, whose size does
+    not grow with the table), then the trees."""
+    rules = fit_bins(df, features, spec.n_bins, exact=False)
     classes = sorted(r[0] for r in df.select(target).where(F.col(target).isNotNull()).distinct().collect()) if spec.task == "classification" else []  # one per class
     rows = binned(df.where(F.col(target).isNotNull()), rules, row_id, target)
     if spec.task == "classification":

@@ -5,7 +5,10 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import mix, poisson_weight
+from ..functions.hashing import drawn_weight, mix, poisson_weight
+
+#: Rows that a block of a partition-sampled table is drawn for: a fuller block is drawn from more often.
+BLOCK_ROWS = 400
 
 
 def draws(spark: SparkSession, n_rows: int, n_trees: int, seed: int = 42) -> DataFrame:
@@ -33,11 +36,12 @@ def poisson_weights(rows: DataFrame, n_trees: int, seed: int = 42) -> DataFrame:
     return every.withColumn("w", poisson_weight(F.col("row_id"), F.col("tree"), seed))
 
 
-def partition_weights(rows: DataFrame, n_trees: int, block: str, seed: int = 42) -> DataFrame:
-    """The contrast: draws made within each block of rows; each tree takes as many rows of a block by chance as the
-    block's own hash says, so the share drawn drifts with the blocks."""
-    every = rows.withColumn("tree", F.explode(F.array(*[F.lit(t) for t in range(n_trees)])))
-    return every.withColumn("w", poisson_weight(F.col("row_id") * 31 + F.col(block) * 1009, F.col("tree"), seed))
+def partition_weights(rows: DataFrame, n_trees: int, block: str, seed: int = 42, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """The contrast: each block of rows draws by itself, and a row is drawn (rows of its block) / block_rows times on
+    average. As the table grows in the same blocks, so does the share of it that a tree has drawn."""
+    size = rows.groupBy(block).agg((F.count("*") / float(block_rows)).alias("__mean"))
+    every = rows.join(size, block).withColumn("tree", F.explode(F.array(*[F.lit(t) for t in range(n_trees)])))
+    return every.withColumn("w", drawn_weight(F.col("row_id"), F.col("tree"), F.col("__mean"), seed)).drop("__mean")
 
 
 def multiplexed(slices: DataFrame, weights: DataFrame) -> DataFrame:

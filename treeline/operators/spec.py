@@ -7,6 +7,22 @@ import warnings
 from dataclasses import dataclass, replace
 
 
+#: What a specification may say.
+CHOICES = {
+    "task": ("classification", "regression"),
+    "criterion": ("gain_ratio", "gain", "gini"),
+    "tree": ("c45", "cart"),
+    "reduction_scope": ("tree", "shared"),
+    "feature_draw": ("tree", "node"),
+    "sampling": ("poisson", "multinomial", "copied"),
+    "sampling_scope": ("global", "partition"),
+    "layout": ("horizontal", "vertical", "blocks", "auto"),
+    "parallel": ("both", "trees", "features", "none"),
+    "vote": ("weighted", "direct"),
+    "state": ("memory", "disk"),
+}
+
+
 @dataclass(frozen=True)
 class ForestSpec:
     task: str = "classification"  # or "regression"
@@ -24,7 +40,7 @@ class ForestSpec:
     feature_draw: str = "tree"  # "node": new random features at each node
     sampling: str = "poisson"  # "multinomial": exact draws, stored; "copied": draws as copied rows
     sampling_scope: str = "global"  # "partition": draws made within blocks of rows
-    layout: str = "horizontal"  # "vertical": slices; "blocks": packed slices
+    layout: str = "horizontal"  # "vertical": slices; "blocks": packed slices; "auto": the one that sends least
     parallel: str = "both"  # "trees", "features", "none"
     vote: str = "weighted"  # "direct"
     normalise: bool = True
@@ -34,6 +50,9 @@ class ForestSpec:
 
     def sized(self, n_features: int) -> ForestSpec:
         """With the numbers of principal and selected features filled in and checked."""
+        for name, allowed in CHOICES.items():
+            if getattr(self, name) not in allowed:
+                raise ValueError(f"{name} {getattr(self, name)!r} is none of {', '.join(allowed)}")
         m = self.n_selected or min(n_features, 2 * math.ceil(math.sqrt(n_features)))
         p = self.n_principal if self.n_principal is not None else max(1, math.ceil(m / 2))
         m = min(m, n_features)

@@ -43,28 +43,37 @@ def schedule(tasks: DataFrame, placement: DataFrame) -> DataFrame:
     return x.select(*tasks.columns, locality_of(kind).alias("locality"), F.when(kind == "score", "local").otherwise("cluster").alias("pool"), F.coalesce("workers", F.array().cast("array<int>")).alias("workers"))
 
 
-def simulate_fifo(tasks: DataFrame, n_workers: int) -> DataFrame:
-    """task_id, tree, worker, start, finish of split tasks in stage order, each to the worker that is free first; a task
-    takes one unit for each score task it waits for, and starts after its tree's stage before. Trees are independent
-    queues, one group each."""
+def simulate_fifo(tasks: DataFrame, n_workers: int, period: int = 10) -> DataFrame:
+    """task_id, tree, worker, ready, start, finish, starved of the split tasks of all trees in one queue.
+
+    A tree's tasks of a stage form a set, which is appended when the stage before has ended; sets are taken first in,
+    first out (ties by tree), each task by the worker that is free first. A task takes one unit for each score task it
+    waits for. A timer ticks every `period` units; starved counts the ticks at which a ready task still had no worker.
+    There are as many tasks as the model has nodes, and one queue is one group.
+    """
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
+        sets = {k: own.sort_values("task_id") for k, own in part.groupby(["tree", "stage"])}
         free = [(0, w) for w in range(n_workers)]
-        heapq.heapify(free)
-        out, floor, last, stage = [], 0, 0, None
-        for r in part.sort_values(["stage", "task_id"]).itertuples():
-            if r.stage != stage:
-                floor, stage = last, r.stage
-            at, w = heapq.heappop(free)
-            start = max(at, floor)
-            finish = start + int(r.cost)
-            last = max(last, finish)
-            heapq.heappush(free, (finish, w))
-            out.append((r.task_id, r.tree, w, start, finish))
-        return pd.DataFrame(out, columns=["task_id", "tree", "worker", "start", "finish"])
-
-    work = tasks.where("kind = 'split'").select("task_id", "tree", "stage", F.size("parents").alias("cost"))
-    return work.groupBy("tree").applyInPandas(run, "task_id string, tree int, worker int, start bigint, finish bigint")
+        queue = [(0, tree, min(s for t, s in sets if t == tree)) for tree in sorted({t for t, _ in sets})]
+        heapq.heapify(queue)
+        out = []
+        while queue:
+            ready, tree, stage = heapq.heappop(queue)
+            end = ready
+            for r in sets[tree, stage].itertuples():
+                at, w = heapq.heappop(free)
+                start = max(at, ready)
+                finish = start + int(r.cost)
+                end = max(end, finish)
+                heapq.heappush(free, (finish, w))
+                out.append((r.task_id, tree, w, ready, start, finish, start // period - ready // period))
+            if (tree, stage + 1) in sets:
+                heapq.heappush(queue, (end, tree, stage + 1))
+        return pd.DataFrame(out, columns=["task_id", "tree", "worker", "ready", "start", "finish", "starved"])
+
+    work = tasks.where("kind = 'split'").select(F.lit(0).alias("queue"), "task_id", "tree", "stage", F.size("parents").alias("cost"))
+    return work.groupBy("queue").applyInPandas(run, "task_id string, tree int, worker int, ready bigint, start bigint, finish bigint, starved bigint")
 
 
 def dag_depth(tasks: DataFrame) -> DataFrame:

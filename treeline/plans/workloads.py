@@ -52,30 +52,38 @@ def _accuracy(frame: DataFrame) -> float:
     return M.accuracy(frame).first()["accuracy"]
 
 
-def accuracy_by_trees(spark: SparkSession, sf_dir: str, trees: list[int], methods: list[str], sets: list, seeds: list[int]) -> DataFrame:
+def accuracy_by_trees(spark: SparkSession, sf_dir: str, trees: list[int], methods: list[str], sets: list, seeds: list[int], dynamic_most: int = 10) -> DataFrame:
     """target, method, seed, trees, accuracy, majority. Our forests grow once and vote by their first trees; the
-    library's are grown for each size."""
+    library's are grown for each size; the dynamic forest, whose trees must wait for each other, to dynamic_most."""
     out = []
     for data in sets:
         for seed in seeds:
             train, test, rules = split_rows(spark, sf_dir, data, seed)
             top = max(r[0] for r in test.groupBy("target").count().select("count").collect()) / max(1, test.count())
             for method in methods:
-                spec = SPEC.but(n_trees=max(trees), seed=seed)
+                sizes = [t for t in trees if method != "dynamic" or t <= dynamic_most]
+                spec = SPEC.but(n_trees=max(sizes), seed=seed)
                 model = None if method == "library" else fitted(method, train, rules, data.n_classes, spec)
-                for t in trees:
+                for t in sizes:
                     m = model or fitted(method, train, rules, data.n_classes, spec.but(n_trees=t))
                     out.append((data.name, method, seed, t, _accuracy(decided(m, test, t)), top))
     return spark.createDataFrame(out, "target string, method string, seed int, trees int, accuracy double, majority double")
 
 
-def accuracy_by_rows(spark: SparkSession, sf_dirs: list[str], methods: list[str], data, n_trees: int = 10) -> DataFrame:
+def share_of(rows: DataFrame, share: float) -> DataFrame:
+    """A share of the rows by hash; a larger share holds every smaller one."""
+    return rows.where(mix(F.col("row_id"), F.lit(1), 9) % 1000 < int(1000 * share))
+
+
+def accuracy_by_rows(spark: SparkSession, sf_dir: str, shares: list[float], methods: list[str], data, n_trees: int = 10) -> DataFrame:
+    """rows, method, accuracy: trained on growing shares of the training rows, judged on the same test rows."""
     out = []
-    for d in sf_dirs:
-        train, test, rules = split_rows(spark, d, data)
-        n = train.count()
+    train, test, rules = split_rows(spark, sf_dir, data)
+    for share in shares:
+        own = stored(share_of(train, share), "share")
+        n = own.count()
         for method in methods:
-            out.append((n, method, _accuracy(decided(fitted(method, train, rules, data.n_classes, SPEC.but(n_trees=n_trees)), test))))
+            out.append((n, method, _accuracy(decided(fitted(method, own, rules, data.n_classes, SPEC.but(n_trees=n_trees)), test))))
     return spark.createDataFrame(out, "rows bigint, method string, accuracy double")
 
 
@@ -96,36 +104,67 @@ def oob_by_trees(spark: SparkSession, sf_dir: str, scales: list[int], data) -> D
     return out
 
 
-def time_by_size(spark: SparkSession, sf_dirs: list[str], methods: list[str], data, n_trees: int = 10) -> DataFrame:
-    """rows, method, seconds to train; the first directory is run once before, to warm up."""
+def time_by_size(spark: SparkSession, sf_dir: str, shares: list[float], methods: list[str], data, n_trees: int = 10) -> DataFrame:
+    """rows, method, seconds to train on growing shares of the training rows; the first is run once before, to warm up."""
     out = []
-    for i, d in enumerate([sf_dirs[0], *sf_dirs]):
-        train, _, rules = split_rows(spark, d, data)
-        n = train.count()
+    train, _, rules = split_rows(spark, sf_dir, data)
+    for i, share in enumerate([shares[0], *shares]):
+        own = stored(share_of(train, share), "share")
+        n = own.count()
         for method in methods:
             at = time.perf_counter()
-            fitted(method, train, rules, data.n_classes, SPEC.but(n_trees=n_trees))
+            fitted(method, own, rules, data.n_classes, SPEC.but(n_trees=n_trees))
             if i:
                 out.append((n, method, time.perf_counter() - at))
     return spark.createDataFrame(out, "rows bigint, method string, seconds double")
 
 
-def time_by_slots(sf_dir: str, slots: list[int], methods: list[str], set_name: str = "QUALITY") -> list[tuple]:
-    """(slots, method, seconds), each number of slots in a session of its own process."""
+def time_by_slots(sf_dir: str, slots: list[int], methods: list[str], set_name: str = "QUALITY", n_trees: int = 10) -> list[tuple]:
+    """(slots, method, seconds), each number of slots in a session of its own process; one slot is the stand-alone run."""
+    import os
     import subprocess
     import sys
+    from pathlib import Path
 
+    root = str(Path(__file__).resolve().parents[2])
+    env = {k: v for k, v in os.environ.items() if not k.startswith(("PYSPARK_GATEWAY", "PYSPARK_SUBMIT", "SPARK_LOCAL_DIRS", "_PYSPARK"))}
+    env["PYTHONPATH"] = os.pathsep.join(x for x in (root, env.get("PYTHONPATH")) if x)
     out = []
     for n in slots:
         code = (
             "from treeline.session import session; from treeline.queries import training_sets as t; from treeline.plans.workloads import time_by_size; "
-            f"s = session('local[{n}]'); [print('ROW', r.method, r.seconds) for r in time_by_size(s, [{sf_dir!r}], {methods!r}, t.{set_name}).collect()]"
+            f"s = session('local[{n}]', **{{'spark.sql.shuffle.partitions': '{n}', 'spark.ui.enabled': 'false'}}); "
+            f"[print('ROW', r.method, r.seconds) for r in time_by_size(s, {sf_dir!r}, [1.0], {methods!r}, t.{set_name}, {n_trees}).collect()]"
         )
-        said = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, check=True).stdout
-        out += [(n, line.split()[1], float(line.split()[2])) for line in said.splitlines() if line.startswith("ROW")]
+        done = subprocess.run([sys.executable, "-c", code], capture_output=True, text=True, env=env)
+        if done.returncode:
+            raise RuntimeError(done.stderr[-2000:])
+        out += [(n, line.split()[1], float(line.split()[2])) for line in done.stdout.splitlines() if line.startswith("ROW")]
     return out
 
 
+def generalisation_by_method(spark: SparkSession, sf_dir: str, methods: list[str], data, n_trees: int = 10) -> DataFrame:
+    """method, train, test, gap: accuracy on the rows trained on and on others."""
+    train, test, rules = split_rows(spark, sf_dir, data)
+    out = []
+    for method in methods:
+        model = fitted(method, train, rules, data.n_classes, SPEC.but(n_trees=n_trees))
+        r = M.generalisation_gap(decided(model, train), decided(model, test)).first()
+        out.append((method, r["train"], r["test"], r["gap"]))
+    return spark.createDataFrame(out, "method string, train double, test double, gap double")
+
+
+def grid(spark: SparkSession, sf_dir: str, data, changes: list[dict]) -> DataFrame:
+    """trees, selected, principal, bins, depth, accuracy of forests over a grid of specifications."""
+    out = []
+    for c in changes:
+        train, test, rules = split_rows(spark, sf_dir, data, n_bins=c.get("n_bins", SPEC.n_bins))
+        spec = SPEC.but(**c).sized(len(rules))
+        f = fit_binned(train, rules, list(range(data.n_classes)), spec)
+        out.append((spec.n_trees, spec.n_selected, spec.n_principal, spec.n_bins, spec.max_depth, _accuracy(decided(f, test))))
+    return spark.createDataFrame(out, "trees int, selected int, principal int, bins int, depth int, accuracy double")
+
+
 def volume_by_trees(spark: SparkSession, catalog: DataFrame, trees: list[int], bytes_per_cell: int = 8) -> DataFrame:
     return C.volume(catalog, trees).withColumn("bytes", F.col("cells") * bytes_per_cell)
 

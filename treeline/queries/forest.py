@@ -5,15 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..functions.hashing import mix_sql, poisson_sql
+from ..baselines import materialised
+from ..functions.features import filled, fold, hashed_words
+from ..functions.hashing import drawn_sql, mix_sql, poisson_sql
 from ..functions.math import rounded
-
 from ..operators import impurity as I
 from ..operators import layout as L
 from ..operators import sampling as S
 from ..operators.binning import binned, fit_bins
+from ..operators.growth import functional_weights, root_histogram
 from ..operators.model import Forest, fit_binned
 from ..operators.reduction import reduce_features, selected_arrays
+from ..operators.sparse import Sparse, fit_sparse, predict_sparse
 from ..operators.spec import ForestSpec
 from ..operators.voting import attach_weights, tree_predict, tree_predict_joins, vote, vote_regression
 from ..plans import measures as M
@@ -240,8 +243,8 @@ def q_bag_share(spark, sf_dir):
 
 
 @query(
-    f"SELECT tree, row_id % 8 AS block, {out('sum(w) / count(*)')} AS ratio FROM (SELECT o_orderkey AS row_id, tree, {poisson_sql('(o_orderkey * 31 + (o_orderkey % 8) * 1009)', 'tree')} AS w "
-    "FROM orders, (SELECT range::INTEGER AS tree FROM range(3))) GROUP BY ALL"
+    f"SELECT tree, row_id % 8 AS block, {out('sum(w) / count(*)')} AS ratio FROM (SELECT row_id, tree, {drawn_sql('row_id', 'tree', 'mean')} AS w "
+    f"FROM (SELECT o_orderkey AS row_id, count(*) OVER (PARTITION BY o_orderkey % 8) / {float(S.BLOCK_ROWS)} AS mean FROM orders), (SELECT range::INTEGER AS tree FROM range(3))) GROUP BY ALL"
 )
 def q_partition_sampling(spark, sf_dir):
     rows = _order_rows(spark, sf_dir).withColumn("block", F.col("row_id") % 8)
@@ -416,6 +419,64 @@ def q_tree_lines(spark, sf_dir):
     return f.nodes.select(*_NODE_COLS)
 
 
+def _grown(**change):
+    """The same trees, or those of another specification, as a query."""
+
+    def run(spark, sf_dir):
+        f, _ = forest_of(spark, sf_dir, QUALITY, SPEC.but(**change))
+        return f.nodes.select(*_NODE_COLS)
+
+    return run
+
+
+#: Ways to run that must not change the trees, and specifications whose trees SQL grows too.
+_WAYS = {
+    "q_tree_by_trees": {"parallel": "trees"}, "q_tree_by_features": {"parallel": "features"}, "q_tree_serial": {"parallel": "none"}, "q_tree_on_disk": {"state": "disk"},
+    "q_tree_groups": {"tree_group": 2}, "q_tree_auto": {"layout": "auto"},
+}
+_OTHERS = {
+    "q_tree_few_features": ({"n_principal": 2, "n_selected": 4}, {"n_principal": 2, "n_selected": 4}), "q_tree_shared_reduction": ({"reduction_scope": "shared"}, {"shared": True}),
+    "q_tree_more_trees": ({"n_trees": 8}, {"n_trees": 8}), "q_tree_gini": ({"criterion": "gini"}, {"criterion": "gini"}), "q_tree_node_draw": ({"reduction": False, "feature_draw": "node", "n_selected": 4}, {"reduction": False, "node_features": 4}),
+}
+for _name, _change in _WAYS.items():
+    QUERIES[_name], SQL[_name] = _grown(**_change), _two.text(_NODES)
+for _name, (_change, _same) in _OTHERS.items():
+    QUERIES[_name], SQL[_name] = _grown(**_change), forest_chain(QUALITY, 2, **_same).text(_NODES)
+
+
+@query(_two.text(_NODES))
+def q_tree_materialised(spark, sf_dir):
+    """The baseline that writes and reads all state between steps."""
+    rows, rules = rows_of(spark, sf_dir, QUALITY)
+    return materialised.fit(rows, rules, [0, 1], SPEC).nodes.select(*_NODE_COLS)
+
+
+@query(_chain.text("SELECT feature_id, bin, target, count(*) AS c FROM slices GROUP BY ALL"))
+def q_slices_bucketed(spark, sf_dir):
+    """Counts from slices saved as a table bucketed by feature."""
+    name = L.persist_slices(L.to_slices(rows_of(spark, sf_dir, QUALITY)[0]))
+    return spark.table(name).groupBy("feature_id", "bin", "target").agg(F.count("*").alias("c"))
+
+
+@query(_chain.text("SELECT feature_id, bin, target, count(*) AS c FROM slices GROUP BY ALL"))
+def q_slices_cached(spark, sf_dir):
+    """Counts from slices held in memory, and on disk where that does not do."""
+    held = L.cache_slices(L.to_slices(rows_of(spark, sf_dir, QUALITY)[0]))
+    out_ = stored(held.groupBy("feature_id", "bin", "target").agg(F.count("*").alias("c")), "counts")
+    held.unpersist()
+    return out_
+
+
+@query("SELECT doc_id, coalesce(source, (SELECT source FROM documents WHERE source IS NOT NULL GROUP BY source ORDER BY count(*) DESC, source LIMIT 1)) AS source FROM documents")
+def q_imputed(spark, sf_dir):
+    return filled(table(spark, sf_dir, "documents").select("doc_id", "source"), "source")
+
+
+@query(f"SELECT fold, count(*) AS n FROM (SELECT {mix_sql('o_orderkey', '0', 7)} % 5 AS fold FROM orders) GROUP BY ALL")
+def q_folds(spark, sf_dir):
+    return table(spark, sf_dir, "orders").groupBy(fold(F.col("o_orderkey"), 5).alias("fold")).agg(F.count("*").alias("n"))
+
+
 @query(_two.text("SELECT tree, depth::INTEGER AS depth, count(*) AS nodes, sum(is_leaf::BIGINT)::BIGINT AS leaves FROM nodes GROUP BY ALL"))
 def q_forest_nodes(spark, sf_dir):
     f, _ = forest_of(spark, sf_dir, QUALITY)
@@ -636,3 +697,39 @@ def q_cart_forest(spark, sf_dir):
     return f.nodes.select("tree", "node", "depth", "feature_id", "cut", "n", "prediction")
 
 
+#: Hashed words of a document as features; a cell is binned by how often the word is there.
+WORD_PLACES = 100_000
+
+
+def word_cells(spark, sf_dir, places: int = WORD_PLACES):
+    """Present cells (row_id, feature_id, bin) of the labelled documents' hashed words, and their rows (row_id, target)."""
+    docs = table(spark, sf_dir, "documents").join(table(spark, sf_dir, "labels"), "doc_id")
+    words = hashed_words(docs, places).select("row_id", F.col("feature").alias("feature_id"), F.least(F.col("count"), F.lit(SPEC.n_bins - 1)).cast("int").alias("bin"))
+    return stored(words, "cells"), stored(docs.select(F.col("doc_id").alias("row_id"), F.col("toxic").alias("target")), "rows")
+
+
+@query()
+def q_sparse_forest(spark, sf_dir):
+    """Accuracy of a forest over 100,000 hashed words, of which a document has some hundred."""
+    cells, rows = word_cells(spark, sf_dir)
+    f = fit_sparse(cells, rows, WORD_PLACES, [0, 1], ForestSpec(n_trees=5, n_principal=100, n_selected=200, max_depth=3))
+    return M.accuracy(predict_sparse(f, cells, rows).join(rows, "row_id"))
+
+
+_sparse = Chain(QUALITY)
+_sparse.weights()
+_sparse.add("w8", "SELECT w.row_id, w.tree, w.w, l.toxic AS target FROM weights w JOIN labels l ON l.doc_id = w.row_id WHERE w.w > 0")
+_sparse.add("cells", f"SELECT doc_id AS row_id, (('0x' || substr(md5(x), 1, 8))::BIGINT % 512)::INTEGER AS feature_id, least(count(*), {SPEC.n_bins - 1})::INTEGER AS bin FROM (SELECT doc_id, unnest(string_split(lower(text), ' ')) AS x FROM documents JOIN labels USING (doc_id)) WHERE x <> '' GROUP BY 1, 2")
+_sparse.add("slices_", "SELECT w.row_id, w.tree, w.w, w.target, f.feature_id, coalesce(c.bin, 0) AS bin FROM w8 w CROSS JOIN (SELECT unnest(range(512))::INTEGER AS feature_id) f LEFT JOIN cells c ON c.row_id = w.row_id AND c.feature_id = f.feature_id")
+_sparse.add("h0", "SELECT tree, 0::BIGINT AS node, feature_id, bin, target, sum(w) AS c FROM slices_ GROUP BY ALL")
+_sparse.gains("h0", "g0")
+
+
+@query(_sparse.text(f"SELECT tree, feature_id::INTEGER AS feature_id, {out('gain_ratio')} AS gain_ratio FROM g0 WHERE gain_ratio > 1e-7"))
+def q_sparse_gain(spark, sf_dir):
+    """Root scores from present cells only; SQL counts every cell."""
+    cells, rows = word_cells(spark, sf_dir, 512)
+    spec = SPEC.sized(512)
+    source = Sparse(cells, rows, functional_weights(rows, list(range(spec.n_trees)), spec.seed), spec, 2, 512)
+    g = I.gains(root_histogram(source, list(range(spec.n_trees)), 512, spec), "classification", 2)
+    return g.where("gain_ratio > 1e-7").select("tree", "feature_id", rounded(F.col("gain_ratio")).alias("gain_ratio"))

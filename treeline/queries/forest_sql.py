@@ -2,7 +2,8 @@
 
 from __future__ import annotations
 
-from ..functions.hashing import mix_sql, poisson_sql
+from ..functions.hashing import drawn_sql, mix_sql, poisson_sql
+from ..operators.sampling import BLOCK_ROWS
 from .training_sets import TrainingSet
 
 
@@ -46,9 +47,12 @@ class Chain:
         self.add("slices", " UNION ALL ".join(f"SELECT {i}::INTEGER AS feature_id, row_id, b{i} AS bin, target FROM bins" for i in range(len(d.features))))
 
     def weights(self, scope: str = "global") -> None:
-        row = "row_id" if scope == "global" else "(row_id * 31 + (row_id % 8) * 1009)"
         self.add("trees", f"SELECT range::INTEGER AS tree FROM range({self.n_trees})")
-        self.add("weights", f"SELECT row_id, target, tree, {poisson_sql(row, 'tree', self.seed)} AS w FROM bins CROSS JOIN trees")
+        if scope == "partition":
+            self.add("sized", f"SELECT row_id, target, count(*) OVER (PARTITION BY row_id % 8) / {float(BLOCK_ROWS)} AS mean FROM bins")
+            self.add("weights", f"SELECT row_id, target, tree, {drawn_sql('row_id', 'tree', 'mean', self.seed)} AS w FROM sized CROSS JOIN trees")
+        else:
+            self.add("weights", f"SELECT row_id, target, tree, {poisson_sql('row_id', 'tree', self.seed)} AS w FROM bins CROSS JOIN trees")
 
     def whole(self) -> None:
         """An unweighted histogram of the whole set, as tree 0."""
@@ -70,12 +74,14 @@ class Chain:
         self.add(f"{g}_z", f"SELECT *, greatest(h_target - h_cond, 0) AS gain FROM {g}_y")
         self.add(g, f"SELECT *, CASE WHEN split_info > 1e-12 THEN gain / split_info ELSE 0 END AS gain_ratio FROM {g}_z")
 
-    def importance(self, g: str, name: str = "imp") -> None:
-        total = "sum(gain_ratio) OVER (PARTITION BY tree)"
-        self.add(name, f"SELECT *, CASE WHEN {total} > 0 THEN gain_ratio / {total} ELSE 1.0 / count(*) OVER (PARTITION BY tree) END AS importance FROM {g}")
+    def importance(self, g: str, name: str = "imp", criterion: str = "gain_ratio") -> None:
+        total = f"sum({criterion}) OVER (PARTITION BY tree)"
+        self.add(name, f"SELECT *, CASE WHEN {total} > 0 THEN {criterion} / {total} ELSE 1.0 / count(*) OVER (PARTITION BY tree) END AS importance FROM {g}")
 
-    def select(self, n_principal: int, n_selected: int) -> None:
-        self.importance("g0")
+    def select(self, n_principal: int, n_selected: int, shared: bool = False, criterion: str = "gain_ratio") -> None:
+        if shared:
+            self.add("gm", "SELECT t.tree, m.feature_id, m.gain_ratio FROM (SELECT DISTINCT tree FROM g0) t CROSS JOIN (SELECT feature_id, avg(gain_ratio) AS gain_ratio FROM g0 GROUP BY feature_id) m")
+        self.importance("gm" if shared else "g0", criterion=criterion)
         self.add("ranked", "SELECT *, row_number() OVER (PARTITION BY tree ORDER BY round(importance, 10) DESC, feature_id) AS r FROM imp")
         key = mix_sql("feature_id", "tree", self.seed + 1)
         self.add("ranks", f"SELECT *, row_number() OVER (PARTITION BY tree ORDER BY CASE WHEN r <= {n_principal} THEN 0 ELSE 1 END, CASE WHEN r <= {n_principal} THEN r END, {key}, feature_id)::INTEGER AS rank FROM ranked")
@@ -84,8 +90,9 @@ class Chain:
     def every_feature(self) -> None:
         self.add("selected", "SELECT DISTINCT tree, feature_id FROM g0")
 
-    def grow(self, depth: int, criterion: str = "gain_ratio") -> None:
-        """Steps a0, n0, best0, a1, ... and nodes; trees of at most this depth, one child per bin."""
+    def grow(self, depth: int, criterion: str = "gain_ratio", node_features: int = 0) -> None:
+        """Steps a0, n0, best0, a1, ... and nodes; trees of at most this depth, one child per bin. node_features: how
+        many features are drawn anew for each node, if any."""
         a = self.n_bins + 1
         self.add("a0", "SELECT tree, row_id, target, w, 0::BIGINT AS node FROM weights WHERE w > 0")
         for level in range(depth + 1):
@@ -96,7 +103,11 @@ class Chain:
             used = "".join(f" AND NOT EXISTS (SELECT 1 FROM path{level} u WHERE u.tree = g{level}s.tree AND u.node = g{level}s.node AND u.feature_id = g{level}s.feature_id)" for _ in [0] if level)
             self.add(f"hs{level}", f"SELECT a.tree, a.node, s.feature_id, s.bin, s.target, sum(a.w) AS c FROM slices s JOIN a{level} a USING (row_id) JOIN selected f ON f.tree = a.tree AND f.feature_id = s.feature_id GROUP BY ALL")
             self.gains(f"hs{level}", f"g{level}s")
-            self.add(f"best{level}", f"SELECT tree, node, feature_id, {criterion} AS score FROM g{level}s WHERE round({criterion}, 10) > 0 AND n >= 2{used} QUALIFY row_number() OVER (PARTITION BY tree, node ORDER BY round({criterion}, 10) DESC, feature_id) = 1")
+            if node_features:
+                key = mix_sql("(feature_id + node * 131)", "tree", self.seed + 2)
+                self.add(f"drawn{level}", f"SELECT * FROM g{level}s WHERE true{used} QUALIFY row_number() OVER (PARTITION BY tree, node ORDER BY {key}, feature_id) <= {node_features}")
+            scored, also = (f"drawn{level}", "") if node_features else (f"g{level}s", used)
+            self.add(f"best{level}", f"SELECT tree, node, feature_id, {criterion} AS score FROM {scored} WHERE round({criterion}, 10) > 0 AND n >= 2{also} QUALIFY row_number() OVER (PARTITION BY tree, node ORDER BY round({criterion}, 10) DESC, feature_id) = 1")
             self.add(f"a{level + 1}", f"SELECT a.tree, a.row_id, a.target, a.w, a.node * {a} + s.bin + 2 AS node FROM a{level} a JOIN best{level} b USING (tree, node) JOIN slices s ON s.row_id = a.row_id AND s.feature_id = b.feature_id")
             before = f" UNION ALL SELECT c.tree, c.node, p.feature_id FROM (SELECT DISTINCT tree, node FROM a{level + 1}) c JOIN path{level} p ON p.tree = c.tree AND p.node = (c.node - 1) // {a}" if level else ""
             self.add(f"path{level + 1}", f"SELECT c.tree, c.node, b.feature_id FROM (SELECT DISTINCT tree, node FROM a{level + 1}) c JOIN best{level} b ON b.tree = c.tree AND b.node = (c.node - 1) // {a}{before}")
@@ -129,13 +140,13 @@ class Chain:
         self.add(name, f"SELECT row_id, target, prediction, s AS score FROM {name}_s QUALIFY row_number() OVER (PARTITION BY row_id ORDER BY s DESC, prediction) = 1")
 
 
-def forest_chain(data: TrainingSet, depth: int = 2, n_trees: int = 5, n_principal: int = 3, n_selected: int = 6, reduction: bool = True, criterion: str = "gain_ratio") -> Chain:
+def forest_chain(data: TrainingSet, depth: int = 2, n_trees: int = 5, n_principal: int = 3, n_selected: int = 6, reduction: bool = True, criterion: str = "gain_ratio", shared: bool = False, node_features: int = 0) -> Chain:
     c = Chain(data, n_trees=n_trees)
     c.root()
     if reduction:
-        c.select(n_principal, n_selected)
+        c.select(n_principal, n_selected, shared, criterion)
     else:
         c.every_feature()
-    c.grow(depth, criterion)
+    c.grow(depth, criterion, node_features)
     c.predict(depth)
     return c

@@ -15,9 +15,9 @@ from ..plans import cost as C
 from ..plans import measures as M
 from ..plans import taskgraph as T
 from ..session import stored, table
-from .forest import SPEC, forest_of, rows_of
+from .forest import _REG, SPEC, _reg, forest_of, rows_of
 from .forest_sql import Chain, forest_chain, out
-from .training_sets import FLAG, QUALITY
+from .training_sets import CHARGE, FLAG, QUALITY
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -239,11 +239,22 @@ _classic.decide("direct")
 def q_classic_forest(spark, sf_dir):
     """All features at each node of samples copied row by row, direct vote."""
     rows, rules = rows_of(spark, sf_dir, QUALITY)
-    f = classic.fit(rows, rules, [0, 1], SPEC.but(n_selected=len(rules)), all_features=True)
+    f = classic.fit(rows, rules, [0, 1], SPEC.but(n_selected=len(rules)), all_features=True, copies=True)
     d = f.predict(rows).join(rows.select("row_id", "target"), "row_id")
     return M.accuracy(d).withColumn("accuracy", rounded(F.col("accuracy")))
 
 
+_drawn = forest_chain(QUALITY, 2, reduction=False, node_features=4)
+
+
+@query(_drawn.text("SELECT tree, node, depth::INTEGER AS depth, n::DOUBLE AS n, feature_id::INTEGER AS feature_id, is_leaf, prediction FROM nodes"))
+def q_classic_nodes(spark, sf_dir):
+    """Trees of the classic forest: four random features at each node, copied samples."""
+    rows, rules = rows_of(spark, sf_dir, QUALITY)
+    f = classic.fit(rows, rules, [0, 1], SPEC.but(n_selected=4), copies=True)
+    return f.nodes.select("tree", "node", "depth", "n", "feature_id", "is_leaf", "prediction")
+
+
 def _dynamic_sql():
     c = forest_chain(QUALITY, 2)
     c.add("share", "SELECT row_id, avg((prediction = target)::INTEGER::DOUBLE) AS c FROM votes WHERE w = 0 AND tree < 3 GROUP BY row_id")
@@ -300,7 +311,8 @@ def q_layout_choice(spark, sf_dir):
     return spark.createDataFrame(rows, "name string, layout string, bytes double, chosen boolean")
 
 
-@query()
+@query(_reg.text(f"SELECT tree, count(*) AS oob_rows, {out('greatest(0, 1 - sum((prediction - target) * (prediction - target)) / (var_pop(target) * count(*)))')} AS ca FROM votes WHERE w = 0 GROUP BY tree"))
 def q_tree_accuracy_r2(spark, sf_dir):
-    f, rows = forest_of(spark, sf_dir, QUALITY)
-    return tree_accuracy(f.oob_votes(rows), "regression", kind="r2").select("tree", "oob_rows", "ca")
+    """R squared of the trees of a regression forest on their out-of-bag rows."""
+    f, rows = forest_of(spark, sf_dir, CHARGE, _REG)
+    return tree_accuracy(f.oob_votes(rows), "regression", kind="r2").select("tree", "oob_rows", rounded(F.col("ca")).alias("ca"))

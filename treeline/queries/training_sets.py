@@ -83,4 +83,50 @@ STATUS = TrainingSet(
     "status", ("o_totalprice", "month", "c_acctbal", "o_orderpriority", "c_mktsegment"), ("o_orderpriority", "c_mktsegment"), "o_orderstatus", 3,
     "SELECT o_orderkey AS row_id, CASE o_orderstatus WHEN 'F' THEN 0 WHEN 'O' THEN 1 ELSE 2 END AS target, o_totalprice, month(o_orderdate)::DOUBLE AS month, c_acctbal, o_orderpriority, c_mktsegment FROM orders JOIN customer ON o_custkey = c_custkey",
 )
-_FRAMES = {"quality": _documents("quality"), "toxic": _documents("toxic"), "flag": _flag, "charge": _charge, "status": _status}
+#: Further stand-ins for the accuracy experiments, without SQL twins: the language by text shape, the quarter of a
+#: line's price after discount (learnable by construction), the label of an embedding and the type of an event (noise).
+LANGUAGES, EVENTS = ("en", "de", "fr", "es"), ("click", "view", "purchase", "error", "signup")
+DIMENSIONS = 16
+
+
+def _code(c, values):
+    out = F.lit(len(values))
+    for i, v in reversed(list(enumerate(values))):
+        out = F.when(c == v, i).otherwise(out)
+    return out
+
+
+def _language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").where(F.col("lang").isin(*LANGUAGES))
+    shape = [c.alias(n) for n, c in text_shape(F.col("text")).items()]
+    return docs.select(F.col("doc_id").alias("row_id"), _code(F.col("lang"), LANGUAGES).alias("target"), *shape, "source")
+
+
+def _band(spark: SparkSession, sf_dir: str) -> DataFrame:
+    price = F.col("l_extendedprice") * (1 - F.col("l_discount"))
+    lines = _lines(spark, sf_dir)
+    quarters = lines.agg(F.percentile_approx(price, [0.25, 0.5, 0.75], 10_000).alias("q"))
+    band = F.size(F.filter("q", lambda q: q < price))
+    return lines.crossJoin(F.broadcast(quarters)).select("row_id", band.alias("target"), "l_quantity", "l_discount", "l_tax", "l_extendedprice", "l_linenumber", "l_linestatus")  # one row
+
+
+def _embedding(spark: SparkSession, sf_dir: str) -> DataFrame:
+    dims = [F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(DIMENSIONS)]
+    return table(spark, sf_dir, "embeddings").where("vec_id is not null and label is not null").select(F.col("vec_id").alias("row_id"), F.col("label").alias("target"), *dims)
+
+
+def _event(spark: SparkSession, sf_dir: str) -> DataFrame:
+    ts = F.col("ts")
+    return table(spark, sf_dir, "events").select(
+        F.col("event_id").alias("row_id"), _code(F.col("event_type"), EVENTS).alias("target"), "value", F.hour(ts).cast("double").alias("hour"),
+        F.dayofweek(ts).cast("double").alias("weekday"), F.get_json_object("props", "$.k").cast("double").alias("k"), (F.col("user_id") % 64).cast("double").alias("user"),
+    )
+
+
+LANG = TrainingSet("lang", (*_SHAPE, "source"), ("source",), "lang", 5, "")
+BAND = TrainingSet("band", ("l_quantity", "l_discount", "l_tax", "l_extendedprice", "l_linenumber", "l_linestatus"), ("l_linestatus",), "band", 4, "")
+EMBEDDING = TrainingSet("embedding", tuple(f"x{i}" for i in range(DIMENSIONS)), (), "label", 10, "")
+EVENT = TrainingSet("event", ("value", "hour", "weekday", "k", "user"), (), "event_type", 6, "")
+EIGHT = (QUALITY, TOXIC, FLAG, STATUS, LANG, BAND, EMBEDDING, EVENT)
+
+_FRAMES = {"lang": _language, "band": _band, "embedding": _embedding, "event": _event, "quality": _documents("quality"), "toxic": _documents("toxic"), "flag": _flag, "charge": _charge, "status": _status}

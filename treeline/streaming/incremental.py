@@ -14,6 +14,9 @@ from ..operators.voting import forest_predict
 from ..session import shared_dir, stored
 
 
+_STATE = "number bigint, next_tree int, paths array<string>, history array<struct<batch:bigint,tree:int,ca:double>>, done array<bigint>"
+
+
 def score_stream(stream: DataFrame, forest: Forest, row_id: str) -> DataFrame:
     """row_id, prediction, score of a stream of wide rows: the forest is a static side, sent once."""
     rows = forest.rows(stream, row_id)
@@ -28,7 +31,10 @@ class IncrementalForest:
     the last `window` batches, so the work of a batch does not grow with the stream.
     """
 
-    def __init__(self, rules: list, classes: list, spec: ForestSpec, fresh: int = 2, window: int = 4):
+    def __init__(self, rules: list, classes: list, spec: ForestSpec, fresh: int = 2, window: int = 4, folder: str | None = None):
+        """With a folder, the forest, the rows held and the number of the last batch are written there after every
+        batch, and another object over the same folder goes on from there."""
+        self.folder, self._paths, self._restored = folder, [], folder is None
         self.rules, self.classes, self.spec = rules, classes, spec
         self.fresh, self.window = fresh, window
         self.forest: Forest | None = None
@@ -38,15 +44,16 @@ class IncrementalForest:
         self._done: set[int] = set()
 
     def update(self, batch: DataFrame, number: int) -> None:
+        self._restore(batch.sparkSession)
         if number in self._done:  # a batch that is run again after a failure
             return
-        rows = stored(batch.select("row_id", "target", "bins"), "batch")
+        rows, path = self._kept(batch.select("row_id", "target", "bins"), number)
         if rows.isEmpty():
             self._done.add(number)
             return
         if self.forest is not None:
             self._score(rows, number)
-        self.held = [*self.held, rows][-self.window :]
+        self.held, self._paths = [*self.held, rows][-self.window :], [*self._paths, path][-self.window :]
         data = self.held[0]
         for more in self.held[1:]:
             data = data.unionByName(more)
@@ -61,6 +68,36 @@ class IncrementalForest:
             self.forest.node_list = [x for x in self.forest.node_list if x.tree not in gone] + new.node_list
             self.forest.stats_rows = [r for r in self.forest.stats_rows if r[0] not in gone] + new.stats_rows
         self._done.add(number)
+        self._save(number)
+
+    def _kept(self, rows: DataFrame, number: int) -> tuple[DataFrame, str]:
+        if not self.folder:
+            return stored(rows, "batch"), ""
+        path = f"{self.folder}/rows-{number}"
+        rows.write.mode("overwrite").parquet(path)
+        return rows.sparkSession.read.schema(rows.schema).parquet(path), path
+
+    def _save(self, number: int) -> None:
+        """The model first, then the row that names it: a batch that fails in between is run again."""
+        if self.folder:
+            self.forest.save(f"{self.folder}/model-{number}")
+            row = [(number, self.next_tree, self._paths, [(b, t, float(ca)) for b, t, ca in self.history], sorted(self._done))]
+            frame = self.forest.spark.createDataFrame(row, _STATE)
+            frame.coalesce(1).write.mode("overwrite").parquet(f"{self.folder}/state/{number:09d}")
+
+    def _restore(self, spark) -> None:
+        if self._restored:
+            return
+        self._restored = True
+        top = spark._jvm.org.apache.hadoop.fs.Path(f"{self.folder}/state")
+        if not top.getFileSystem(spark._jsc.hadoopConfiguration()).exists(top):
+            return
+        last = spark.read.schema(_STATE).option("recursiveFileLookup", "true").parquet(f"{self.folder}/state").orderBy(F.desc("number")).first()
+        if last is not None:
+            self.forest = Forest.load(spark, f"{self.folder}/model-{last.number}")
+            self.next_tree, self._paths, self._done = last.next_tree, list(last.paths), set(last.done)
+            self.history = [(h.batch, h.tree, h.ca) for h in last.history]
+            self.held = [spark.read.parquet(p) for p in self._paths]
 
     def _score(self, rows: DataFrame, number: int) -> None:
         from ..operators.voting import tree_predict
@@ -76,7 +113,7 @@ class IncrementalForest:
             if after:
                 after(number)
 
-        check = f"{shared_dir(stream.sparkSession)}/treeline-incremental-{uuid.uuid4().hex}"
+        check = f"{self.folder}/progress" if self.folder else f"{shared_dir(stream.sparkSession)}/treeline-incremental-{uuid.uuid4().hex}"
         stream.writeStream.foreachBatch(each).option("checkpointLocation", check).trigger(availableNow=True).start().awaitTermination()
 
 
