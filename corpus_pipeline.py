@@ -42,7 +42,8 @@ def _stage(f):
 
 
 def _numbered(docs: DataFrame) -> DataFrame:
-    """Rows numbered by their place in the Parquet files that docs reads, alike in each scan of them."""
+    """Rows numbered by their place in the Parquet files that docs reads, alike in each scan of them: docs must be a plain
+    scan, as every stage's is."""
     return docs.withColumn(_ROW, F.monotonically_increasing_id())
 
 
@@ -82,7 +83,8 @@ def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The rows that the mix takes: all columns, and size, source_size, target, epochs (whole passes), taken (words)."""
+    """The rows that the mix takes: all columns, and size, source_size, target, epochs (whole passes), taken (words),
+    which replace columns of docs by these names."""
     rows = _numbered(docs)
     taken = mixed(rows.select("doc_id", "text", "source", _ROW), carry=[_ROW]).where("taken > 0")
     new = ["size", "source_size", "target", "epochs", "taken"]
