@@ -202,7 +202,7 @@ class _Model:
             return np.zeros(0)
         context, step = _steps(letters, first)
         at = self.find(step)
-        out = np.where(at >= 0, self.step[at] if len(self.step) else 0.0, 0.0)
+        out = np.where(at >= 0, self.step[at] if len(self.step) else 0.0, 0.0).astype(np.float64)
         new = np.flatnonzero(at < 0)
         at = self.find(context[new])
         out[new] = np.where(at >= 0, self.unseen[at] if len(self.unseen) else 0.0, 0.0)
@@ -329,7 +329,7 @@ def _known_features(sent):
             row = np.asarray(batch.column("__row"))
             for own, words, first, inverse in _plain_words(batch):
                 at = model.find(words.hash[first])
-                ratio = np.where(at >= 0, ratios[at] if len(ratios) else 0.0, 0.0)[inverse]
+                ratio = np.where(at >= 0, ratios[at] if len(ratios) else 0.0, 0.0).astype(np.float64)[inverse]
                 n, s, strong, top, marks = _per_text(words, ratio, inverse)
                 doc, which, times = _texts_with(words, first, inverse)
                 rare = at[which] < 0
