@@ -20,7 +20,6 @@ from treeline.llm.toxicity import TOXIC_FROM, fit_toxicity
 
 #: Near duplicates: words of a shingle and percent of the union that two texts share.
 SHINGLE, SIMILAR = 5, 80
-_ROW = "__pipeline_row"
 
 
 #: What the stage before has stored and sent, and nothing reads once its output is written.
@@ -41,10 +40,13 @@ def _stage(f):
     return run_stage
 
 
-def _numbered(docs: DataFrame) -> DataFrame:
-    """Rows numbered by their place in the Parquet files that docs reads, alike in each scan of them: docs must be a plain
-    scan, as every stage's is."""
-    return docs.withColumn(_ROW, F.monotonically_increasing_id())
+def _numbered(docs: DataFrame) -> tuple[DataFrame, str]:
+    """Rows numbered by their place in the Parquet files that docs reads, alike in each scan of them (docs must be a plain
+    scan, as every stage's is), and the name of the new column, which no column of docs has."""
+    name = "__pipeline_row"
+    while name in docs.columns:
+        name += "_"
+    return docs.withColumn(name, F.monotonically_increasing_id()), name
 
 
 @_stage
@@ -59,12 +61,12 @@ def toxicity(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 @_stage
 def near_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keeps of each component the row with the least doc_id (null last); texts without words all stay."""
-    rows = _numbered(docs)
-    found = near_duplicates(rows.select(F.col(_ROW).alias("doc_id"), "text"), SHINGLE, SIMILAR)
-    ids = rows.select(_ROW, F.col("doc_id").alias("id"))
-    own = found.select(F.col("doc_id").alias(_ROW), "component_id").join(ids, _ROW)
-    first = own.groupBy("component_id").agg(F.min(F.struct(F.col("id").isNull(), "id", _ROW)).alias("first")).select(f"first.{_ROW}")
-    return rows_in(rows, first, _ROW).select(*docs.columns)
+    rows, row = _numbered(docs)
+    found = near_duplicates(rows.select(F.col(row).alias("doc_id"), "text"), SHINGLE, SIMILAR)
+    ids = rows.select(row, F.col("doc_id").alias("id"))
+    own = found.select(F.col("doc_id").alias(row), "component_id").join(ids, row)
+    first = own.groupBy("component_id").agg(F.min(F.struct(F.col("id").isNull(), "id", row)).alias("first")).select(f"first.{row}")
+    return rows_in(rows, first, row).select(*docs.columns)
 
 
 @_stage
@@ -85,10 +87,10 @@ def private_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The rows that the mix takes: all columns, and size, source_size, target, epochs (whole passes), taken (words),
     which replace columns of docs by these names."""
-    rows = _numbered(docs)
-    taken = mixed(rows.select("doc_id", "text", "source", _ROW), carry=[_ROW]).where("taken > 0")
+    rows, row = _numbered(docs)
+    taken = mixed(rows.select("doc_id", "text", "source", row), carry=[row]).where("taken > 0")
     new = ["size", "source_size", "target", "epochs", "taken"]
-    return rows.select(*[c for c in rows.columns if c not in new]).join(taken.select(_ROW, *new), _ROW).drop(_ROW)
+    return rows.select(*[c for c in rows.columns if c not in new]).join(taken.select(row, *new), row).drop(row)
 
 
 #: Its result is the caller's, who may read it at any time: what it needs stays.
