@@ -16,7 +16,7 @@ from . import plans as P
 from .training_sets import BAND, EIGHT, FLAG, QUALITY, STATUS, TOXIC
 
 METHODS = ["hybrid", "classic", "dynamic", "library"]
-TREES, SHARES = [1, 2, 5, 10, 20, 50], [0.1, 0.3, 1.0]
+TREES, SHARES = [1, 2, 5, 10, 20, 50], [0.2, 1.0]
 
 
 def q_w1(spark, sf_dir):
@@ -43,12 +43,12 @@ def q_w1_gap(spark, sf_dir):
 
 def q_w2(spark, sf_dir):
     """Accuracy by rows, four methods."""
-    return W.accuracy_by_rows(spark, sf_dir, SHARES, METHODS, QUALITY, 5)
+    return W.accuracy_by_rows(spark, sf_dir, SHARES, METHODS, QUALITY, 4)
 
 
 def q_w2_band(spark, sf_dir):
     """Accuracy by rows on the larger learnable set."""
-    return W.accuracy_by_rows(spark, sf_dir, SHARES, ["hybrid", "classic", "library"], BAND, 5)
+    return W.accuracy_by_rows(spark, sf_dir, [0.05, 0.2, 1.0], ["hybrid", "classic", "library"], BAND, 5)
 
 
 def q_w3(spark, sf_dir):
@@ -59,12 +59,12 @@ def q_w3(spark, sf_dir):
 
 def q_w4(spark, sf_dir):
     """Training seconds by size, four methods."""
-    return W.time_by_size(spark, sf_dir, SHARES, METHODS, QUALITY, 4)
+    return W.time_by_size(spark, sf_dir, SHARES, METHODS, QUALITY, 3)
 
 
 def q_w4_lines(spark, sf_dir):
     """Training seconds by size on the larger set, the methods whose trees grow side by side."""
-    return W.time_by_size(spark, sf_dir, SHARES, ["hybrid", "classic", "library"], FLAG, 10)
+    return W.time_by_size(spark, sf_dir, [0.05, 0.2, 1.0], ["hybrid", "classic", "library"], FLAG, 10)
 
 
 def q_w5(spark, sf_dir):
