@@ -277,18 +277,21 @@ def _model_table(words: DataFrame) -> DataFrame:
 
 def _sent(table_: DataFrame, rows: int, values: list[str]):
     """A stored table of key and values, of a bounded number of rows, as a broadcast of arrays in order of the keys."""
-    parts = max(1, -(-rows // FETCHED))
+    parts = min(256, max(1, -(-rows // FETCHED)))
     keys, out = np.zeros(rows, np.uint64), [np.zeros(rows, np.float32) for _ in values]
     lo = 0
+    # by ranges of the keys, which are hashes, so that each part is sorted where it comes to lie
+    part = F.floor(F.shiftrightunsigned(F.col("key"), 56) * parts / 256)
     for i in range(parts):
-        got = table_.where(F.pmod(F.col("key"), F.lit(parts)) == i).toArrow()
-        keys[lo : lo + len(got)] = got["key"].to_numpy().view(np.uint64)
+        got = table_.where(part == i).toArrow()
+        own = got["key"].to_numpy().view(np.uint64)
+        order = np.argsort(own)
+        keys[lo : lo + len(own)] = own[order]
         for column, name in zip(out, values, strict=True):
-            column[lo : lo + len(got)] = got[name].to_numpy()
-        lo += len(got)
-        del got
-    order = np.argsort(keys)
-    return send(table_.sparkSession, (keys[order], *[column[order] for column in out]))
+            column[lo : lo + len(own)] = got[name].to_numpy()[order]
+        lo += len(own)
+        del got, own, order
+    return send(table_.sparkSession, (keys, *out))
 
 
 def _vocabulary(batches):
