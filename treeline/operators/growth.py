@@ -26,7 +26,7 @@ from .spec import ForestSpec
 cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 
-@dataclass
+@dataclass(slots=True)
 class Node:
     tree: int
     node: int
@@ -78,11 +78,16 @@ def walk_arrays(nodes: list[Node], n_bins: int) -> dict[int, dict]:
         feature = np.array([-1 if x.is_leaf else x.feature_id for x in own], np.int32)
         child = np.full((len(own), n_bins + 1), -1, np.int32)
         for i, x in enumerate(own):
-            if not x.is_leaf:
-                for b in range(-1, n_bins):
-                    key = b if x.cut is None else (0 if b <= x.cut else 1)
-                    if key in x.children:
-                        child[i, b + 1] = at[x.children[key]]
+            if x.is_leaf:
+                continue
+            if x.cut is None:
+                for b, c in x.children.items():
+                    child[i, b + 1] = at[c]
+                continue
+            for b in range(-1, n_bins):
+                key = 0 if b <= x.cut else 1
+                if key in x.children:
+                    child[i, b + 1] = at[x.children[key]]
         trees[t] = {"feature": feature, "child": child, "depth": max(x.depth for x in own), "node": np.array([x.node for x in own], np.int64)}
     return trees
 
@@ -135,6 +140,29 @@ def decoded(batch):
 
 #: Cells of dense counts a task holds (8 bytes each); what is more is put out and summed by the shuffle.
 HELD_CELLS = 4_000_000
+#: Bins of rows that are counted at once (4 bytes each): the more, the fewer partial counts where not all can be held.
+GATHERED = 8_000_000
+
+
+def gathered(parts, most: int = GATHERED):
+    """Decoded parts with those of one kind put together up to so many bins."""
+
+    def joined(held: list):
+        one = held[0]
+        if len(held) == 1:
+            return one
+        return *(np.concatenate([h[i] for h in held]) for i in range(3)), {t: np.concatenate([h[3][t] for h in held]) for t in one[3]}
+
+    held: list = []
+    size = 0
+    for part in parts:
+        if held and size + part[2].size > most:
+            yield joined(held)
+            held, size = [], 0
+        held.append(part)
+        size += part[2].size
+    if held:
+        yield joined(held)
 
 
 def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, held: int = HELD_CELLS):
@@ -169,7 +197,7 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, he
             if cells:
                 yield rows(cells)
 
-        for row, y, bins, stored_weights in (part for batch in batches for part in decoded(batch)):
+        for row, y, bins, stored_weights in gathered(part for batch in batches for part in decoded(batch)):
             for t, features in candidates.items():
                 w = stored_weights.get(t)
                 w = poisson_numpy(row, t, seed) if w is None else w
@@ -208,9 +236,31 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, he
     return run
 
 
+def _named(count, names):
+    """The cells of count with nodes in place of their numbers, without features that a node's path has used."""
+
+    def run(batches):
+        ids, features, used = names.value  # tree -> node of each number, sorted features, used (number, place of feature)
+        for cells in count(batches):
+            tree, live, feature = (np.asarray(cells.column(c)) for c in ("tree", "live", "feature_id"))
+            node, keep = np.zeros(len(tree), np.int64), np.ones(len(tree), bool)
+            for t in np.unique(tree).tolist():
+                at = np.flatnonzero(tree == t)
+                node[at] = ids[t][live[at]]
+                if t in used:
+                    keep[at] = ~used[t][live[at], np.searchsorted(features[t], feature[at])]
+            out = pa.RecordBatch.from_arrays([pa.array(node) if c == "live" else cells.column(c) for c in cells.schema.names], ["node" if c == "live" else c for c in cells.schema.names])
+            yield out if keep.all() else out.filter(pa.array(keep))
+
+    return run
+
+
 class Dense:
     """What a source says whose histograms hold every feature of every node."""
 
+    #: Whether histograms leave out the features that a node's path has used.
+    leaves_used = False
+
     def totals(self, hist: DataFrame, names: list[str]) -> DataFrame:
         """tree and the statistics of its root."""
         return hist.where("feature_id = 0").groupBy("tree").agg(*[F.sum(s).alias(s) for s in names])
@@ -224,28 +274,36 @@ class Horizontal(Dense):
     """Histograms from binned rows in place, or from packed blocks of them; rows find their nodes by walking the trees
     so far."""
 
+    leaves_used = True
+
     def __init__(self, rows: DataFrame, spec: ForestSpec, n_classes: int):
         self.rows, self.spec, self.n_classes = rows, spec, n_classes
 
     def histogram(self, nodes: list[Node], live: list[Node], candidates: dict[int, list[int]]) -> DataFrame:
         spec, spark = self.spec, self.rows.sparkSession
         trees = walk_arrays(nodes, spec.n_bins)
-        numbers = {t: np.full(len(a["node"]), -1, np.int64) for t, a in trees.items()}
-        order = []
-        places = {t: {int(n): i for i, n in enumerate(a["node"])} for t, a in trees.items()}
-        count: dict[int, int] = {}
+        by: dict[int, list[Node]] = {}
         for x in live:
-            c = count.get(x.tree, 0)
-            numbers[x.tree][places[x.tree][x.node]] = c
-            count[x.tree] = c + 1
-            order.append((x.tree, c, x.node))
-        sent = spark.sparkContext.broadcast(({t: trees[t] for t in count}, {t: numbers[t] for t in count}, {t: candidates[t] for t in count}))
+            by.setdefault(x.tree, []).append(x)
+        numbers, ids, features, used = {}, {}, {}, {}
+        for t, own in by.items():
+            ids[t] = np.array([x.node for x in own], np.int64)
+            known = trees[t]["node"]
+            order = np.argsort(known)
+            numbers[t] = np.full(len(known), -1, np.int64)
+            numbers[t][order[np.searchsorted(known, ids[t], sorter=order)]] = np.arange(len(own))
+            place = {f: i for i, f in enumerate(sorted(candidates[t]))}
+            features[t] = np.array(list(place), np.int64)
+            past = [(i, place[f]) for i, x in enumerate(own) for f in x.used if f in place]
+            if past:
+                used[t] = np.zeros((len(own), len(place)), bool)
+                used[t][tuple(np.array(past).T)] = True
+        sent = spark.sparkContext.broadcast(({t: trees[t] for t in by}, numbers, {t: candidates[t] for t in by}))
+        names = spark.sparkContext.broadcast((ids, features, used))
         k = I.n_stats(spec.task, self.n_classes)
-        ddl = "tree int, live bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in I.stat_names(k))
-        part = self.rows.mapInArrow(_block_histogram(sent, spec.task, self.n_classes, spec.n_bins, spec.seed), ddl)
-        total = part.groupBy("tree", "live", "feature_id", "bin").agg(*[F.sum(s).alias(s) for s in I.stat_names(k)])
-        names = spark.createDataFrame(order, "tree int, live bigint, node bigint")
-        return total.join(F.broadcast(names), ["tree", "live"]).drop("live")  # live nodes of a tree group
+        ddl = "tree int, node bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in I.stat_names(k))
+        part = self.rows.mapInArrow(_named(_block_histogram(sent, spec.task, self.n_classes, spec.n_bins, spec.seed), names), ddl)
+        return part.groupBy(*I.CELL).agg(*[F.sum(s).alias(s) for s in I.stat_names(k)])
 
     def advance(self, splits: list[Node]) -> None:
         pass
@@ -293,14 +351,15 @@ def node_features(scores: DataFrame, m: int, seed: int) -> DataFrame:
     return scores.withColumn("__r", F.row_number().over(order)).where(F.col("__r") <= m).drop("__r")
 
 
-def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes: int) -> list[Node]:
-    """Chooses the split of every live node; returns the children. Winning cells come to the driver: they are the model."""
+def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes: int, leaves_used: bool = False) -> list[Node]:
+    """Chooses the split of every live node; returns the children. Winning cells come to the driver: they are the model.
+    leaves_used: hist has no features that a node's path has used."""
     spark = hist.sparkSession
     hist = stored(hist, "histogram") if spec.state == "disk" else hist.persist()
     binary = spec.tree == "cart"
     scores = I.binary_gains(hist, spec.task, n_classes) if binary else I.gains(hist, spec.task, n_classes)
     criterion = "gain" if binary else spec.criterion
-    if not binary:
+    if not binary and not leaves_used:
         used = [(x.tree, x.node, f) for x in live for f in x.used]
         if used:
             scores = scores.join(F.broadcast(spark.createDataFrame(used, "tree int, node bigint, feature_id int")), ["tree", "node", "feature_id"], "left_anti")
@@ -309,34 +368,37 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
     best = I.best_splits(scores, criterion).where(F.round(criterion, 10) > spec.min_gain)
     cut = F.col("cut") if binary else F.lit(None).cast("int")
     best = best.select("tree", "node", "feature_id", cut.alias("cut"), F.col(criterion).alias("score"))
-    cells = hist.join(F.broadcast(best), ["tree", "node", "feature_id"]).collect()  # one best per live node of a tree group
+    names = I.stat_names(I.n_stats(spec.task, n_classes))
+    cells = hist.join(F.broadcast(best), ["tree", "node", "feature_id"]).toArrow()  # one best per live node of a tree group
     if spec.state != "disk":
         hist.unpersist()
-    names = I.stat_names(I.n_stats(spec.task, n_classes))
-    by: dict = {}
-    for r in cells:
-        by.setdefault((r.tree, r.node), []).append(r)
+    cells = cells.sort_by([(c, "ascending") for c in ("tree", "node", "bin")])
+    tree, node, bins, feature, score, cuts = (cells[c].to_pylist() for c in ("tree", "node", "bin", "feature_id", "score", "cut"))
+    stats = np.column_stack([cells[c].to_numpy() for c in names]).tolist() if len(tree) else []
+    first: dict = {}
+    for i, key in enumerate(zip(tree, node, strict=True)):
+        first.setdefault(key, i)
     children = []
     for x in live:
-        rows = by.get((x.tree, x.node))
-        if not rows:
+        at = first.get((x.tree, x.node))
+        if at is None:
             continue
-        x.feature_id, x.cut, x.score = rows[0].feature_id, rows[0].cut, rows[0].score
+        cut = cuts[at]
         merged: dict[int, list[float]] = {}
-        for r in rows:
-            key = r.bin if x.cut is None else (0 if r.bin <= x.cut else 1)
-            s = merged.setdefault(key, [0.0] * len(names))
-            for i, name in enumerate(names):
-                s[i] += r[name]
+        for i in range(at, len(tree)):
+            if node[i] != x.node or tree[i] != x.tree:
+                break
+            key = bins[i] if cut is None else (0 if bins[i] <= cut else 1)
+            merged[key] = [a + b for a, b in zip(merged[key], stats[i], strict=True)] if key in merged else stats[i]
         merged = {b: s for b, s in merged.items() if (sum(s) if spec.task == "classification" else s[0]) > 0}
+        x.score = score[at]
         if len(merged) < 2:
-            x.feature_id, x.cut = -1, None
             continue
-        x.is_leaf = False
+        x.feature_id, x.cut, x.is_leaf = feature[at], cut, False
+        used = x.used if binary else x.used | {x.feature_id}
         for b in sorted(merged):
             number = child_id(x.node, b, spec.n_bins + 1, x.depth + 1)
             x.children[b] = number
-            used = x.used if binary else x.used | {x.feature_id}
             children.append(Node(x.tree, number, x.node, x.depth + 1, b, merged[b], used))
     return children
 
@@ -346,12 +408,15 @@ def _open(x: Node, candidates: dict[int, list[int]], spec: ForestSpec) -> bool:
     return x.depth < spec.max_depth and x.n(spec.task) >= spec.min_rows and not x.pure(spec.task) and left
 
 
-def grow(source, roots: list[Node], candidates: dict[int, list[int]], spec: ForestSpec, n_classes: int) -> list[Node]:
-    """Grows the trees of roots from histograms of source; candidates: features of each tree."""
+def grow(source, roots: list[Node], candidates: dict[int, list[int]], spec: ForestSpec, n_classes: int, first: DataFrame | None = None) -> list[Node]:
+    """Grows the trees of roots from histograms of source; candidates: features of each tree; first: the histogram of
+    the roots, if it is there already."""
     nodes = list(roots)
     live = [x for x in roots if _open(x, candidates, spec)]
     while live:
-        children = _split_level(_histogram(source, nodes, live, candidates, spec), live, spec, n_classes)
+        known = first is not None and live[0].depth == 0 and spec.parallel == "both"
+        hist = (of_candidates(first, live, candidates) if spec.reduction else first) if known else _histogram(source, nodes, live, candidates, spec)
+        children = _split_level(hist, live, spec, n_classes, source.leaves_used)
         nodes += children
         split = [x for x in live if not x.is_leaf]
         if not split:
@@ -384,21 +449,28 @@ def _histogram(source, nodes: list[Node], live: list[Node], candidates: dict[int
     return out
 
 
+def of_candidates(hist: DataFrame, live: list[Node], candidates: dict[int, list[int]]) -> DataFrame:
+    """The cells of live trees' own features."""
+    wanted = hist.sparkSession.createDataFrame([(x.tree, f) for x in live for f in candidates[x.tree]], "tree int, feature_id int")
+    return hist.join(F.broadcast(wanted), ["tree", "feature_id"], "left_semi")  # n_selected rows per tree
+
+
 def root_histogram(source, trees: list[int], n_features: int, spec: ForestSpec) -> DataFrame:
     roots = [Node(t, 0, -1, 0, -1, []) for t in trees]
     every = list(range(n_features))
     return source.histogram(roots, roots, dict.fromkeys(trees, every))
 
 
-def reduced_roots(source, trees: list[int], n_features: int, spec: ForestSpec, n_classes: int) -> tuple[list[Node], dict[int, list[int]], list]:
-    """Roots with their statistics, features of each tree, and the selection rows (tree, rank, feature_id, origin)."""
+def reduced_roots(source, trees: list[int], n_features: int, spec: ForestSpec, n_classes: int) -> tuple[list[Node], dict[int, list[int]], list, DataFrame]:
+    """Roots with their statistics, features of each tree, the selection rows (tree, rank, feature_id, origin), and the
+    roots' histogram."""
     hist = stored(root_histogram(source, trees, n_features, spec), "root")
     names = I.stat_names(I.n_stats(spec.task, n_classes))
     totals = source.totals(hist, names).collect()  # a row per tree
     roots = [Node(r.tree, 0, -1, 0, -1, [r[s] for s in names]) for r in sorted(totals, key=lambda r: r.tree)]
     everything = dict.fromkeys([r.tree for r in roots], list(range(n_features)))
     if not spec.reduction:
-        return roots, everything, [(t, i + 1, f, "all") for t, fs in everything.items() for i, f in enumerate(fs)]
+        return roots, everything, [(t, i + 1, f, "all") for t, fs in everything.items() for i, f in enumerate(fs)], hist
     scores = source.every_score(I.gains(hist, spec.task, n_classes), spec.criterion)
     if spec.reduction_scope == "shared":
         mean = scores.groupBy("feature_id").agg(F.avg(spec.criterion).alias(spec.criterion))
@@ -408,7 +480,7 @@ def reduced_roots(source, trees: list[int], n_features: int, spec: ForestSpec, n
     selected: dict[int, list[int]] = {}
     for t, _, f, _ in sorted(rows):
         selected.setdefault(t, []).append(f)
-    return roots, selected, sorted(rows)
+    return roots, selected, sorted(rows), hist
 
 
 def weighted_rows(rows: DataFrame, trees: list[int], spec: ForestSpec, weights: DataFrame | None) -> DataFrame:

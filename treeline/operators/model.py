@@ -156,9 +156,9 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
         else:
             packed = spec.layout == "blocks" and own is None  # stored weights stay beside their rows
             source = G.Horizontal(blocks if packed else G.weighted_rows(rows, trees, spec, own), spec, n_classes)
-        roots, candidates, chosen = G.reduced_roots(source, trees, n_features, spec, n_classes)
+        roots, candidates, chosen, first = G.reduced_roots(source, trees, n_features, spec, n_classes)
         selected += chosen
-        nodes += G.grow(source, roots, candidates, spec, n_classes)
+        nodes += G.grow(source, roots, candidates, spec, n_classes, first)
     out = Forest(spark, spec, rules, classes, nodes, selected, [])
     out.stats_rows = oob_stats(out, rows, weights if given else None)
     return out

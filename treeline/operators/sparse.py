@@ -88,9 +88,9 @@ def fit_sparse(cells: DataFrame, rows: DataFrame, n_features: int, classes: list
     for lo in range(0, spec.n_trees, spec.tree_group):
         trees = list(range(lo, min(lo + spec.tree_group, spec.n_trees)))
         source = Sparse(cells, rows, G.functional_weights(rows, trees, spec.seed), spec, n_classes, n_features)
-        roots, candidates, chosen = G.reduced_roots(source, trees, n_features, spec, n_classes)
+        roots, candidates, chosen, first = G.reduced_roots(source, trees, n_features, spec, n_classes)
         selected += chosen
-        nodes += G.grow(source, roots, candidates, spec, n_classes)
+        nodes += G.grow(source, roots, candidates, spec, n_classes, first)
     out = Forest(rows.sparkSession, spec, [], classes, nodes, selected, [])
     votes = sparse_votes(out, cells, rows).where(poisson_weight(F.col("row_id"), F.col("tree"), spec.seed) == 0)
     tau = 0.5 * (rows.agg(F.stddev_pop("target")).first()[0] or 0.0) if spec.task == "regression" else None
