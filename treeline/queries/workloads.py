@@ -69,12 +69,12 @@ def q_w4_lines(spark, sf_dir):
 
 def q_w5(spark, sf_dir):
     """Training seconds by slots, each number in a process of its own."""
-    return spark.createDataFrame(W.time_by_slots(sf_dir, [1, 2, 4], ["hybrid", "library"], n_trees=5), "slots int, method string, seconds double")
+    return spark.createDataFrame(W.time_by_slots(spark, sf_dir, [1, 2, 4], ["hybrid", "library"], QUALITY, n_trees=5), "slots int, method string, seconds double")
 
 
 def q_w6(spark, sf_dir):
     """Speed-up over the stand-alone run."""
-    return C.speedup(spark.createDataFrame(W.time_by_slots(sf_dir, [1, 4], ["hybrid"], n_trees=5), "method_slots int, method string, seconds double").withColumnRenamed("method_slots", "slots"))
+    return C.speedup(spark.createDataFrame(W.time_by_slots(spark, sf_dir, [1, 4], ["hybrid"], QUALITY, n_trees=5), "method_slots int, method string, seconds double").withColumnRenamed("method_slots", "slots"))
 
 
 def q_w7(spark, sf_dir):
