@@ -15,7 +15,7 @@ from .binning import BinRule, binned, fit_bins, spec_frame
 from .layout import to_slices
 from .sampling import draw_weights, draws, partition_weights
 from .spec import ForestSpec
-from .voting import attach_weights, forest_predict, tree_accuracy, tree_predict, vote, vote_regression
+from .voting import attach_weights, forest_predict, oob_counts, tree_accuracy, tree_predict, vote, vote_regression
 
 NODE_DDL = "tree int, node bigint, parent bigint, depth int, in_bin int, feature_id int, cut int, is_leaf boolean, n double, stats array<double>, score double, prediction double, children map<int,bigint>"
 
@@ -79,6 +79,10 @@ class Forest:
         """Votes on rows that the tree has not drawn (functional weights), with targets."""
         return tree_predict(rows, self.node_list, self.spec.n_bins, self.spec.task, self.spec.seed)
 
+    def oob_counts(self, rows: DataFrame) -> DataFrame:
+        """first_t, target, right, rows: what the first t trees' out-of-bag votes decide, without a table of votes."""
+        return oob_counts(rows, self.node_list, self.spec.n_bins, max(1, len(self.classes)), self.spec.seed)
+
     def importance(self) -> DataFrame:
         """feature, importance: the scores of a feature's splits, weighted by their rows."""
         inner = self.nodes.where(~F.col("is_leaf")).groupBy("feature_id").agg(F.sum(F.col("score") * F.col("n")).alias("v"))

@@ -43,6 +43,32 @@ def tree_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, oob
     return rows.mapInArrow(run, "row_id bigint, tree int, prediction double" + (", target double" if with_target else ""))
 
 
+def oob_counts(rows: DataFrame, nodes: list[Node], n_bins: int, n_classes: int, seed: int) -> DataFrame:
+    """first_t, target, right, rows: of the rows of a class that one of the first t trees has not drawn, how many the
+    unweighted out-of-bag votes of these trees decide rightly, for every t. Votes are added up within the row."""
+    sent = rows.sparkSession.sparkContext.broadcast(tree_tables(nodes, n_bins, "classification"))
+
+    def run(batches):
+        trees, values = sent.value
+        order = sorted(values)
+        right, count = (np.zeros((len(order), n_classes), np.int64) for _ in range(2))
+        for batch in batches:
+            bins, row = bins_matrix(batch), np.asarray(batch.column("row_id"))
+            y = np.asarray(batch.column("target")).astype(np.int64)
+            sums, voted, best = np.zeros((len(row), n_classes), np.int32), np.zeros(len(row), bool), np.zeros(len(row), np.int64)
+            for i, t in enumerate(order if len(row) else []):
+                at = np.flatnonzero(poisson_numpy(row, t, seed) == 0)
+                sums[at, values[t][slots(trees[t], bins[at])].astype(np.int64)] += 1
+                best[at], voted[at] = sums[at].argmax(axis=1), True
+                right[i] += np.bincount(y[voted & (best == y)], minlength=n_classes)
+                count[i] += np.bincount(y[voted], minlength=n_classes)
+        i, c = np.nonzero(count)
+        yield pa.RecordBatch.from_pydict({"first_t": pa.array(np.array(order, np.int32)[i] + np.int32(1)), "target": pa.array(c.astype(float)), "right": pa.array(right[i, c]), "rows": pa.array(count[i, c])})
+
+    part = rows.mapInArrow(run, "first_t int, target double, right bigint, rows bigint")
+    return part.groupBy("first_t", "target").agg(F.sum("right").alias("right"), F.sum("rows").alias("rows"))
+
+
 def tree_predict_joins(rows: DataFrame, nodes: DataFrame, max_depth: int) -> DataFrame:
     """The same by joins with the node table (tree, node, parent, in_bin, feature_id, is_leaf, prediction), one for
     each level; for node tables too large to send, and to check the other way."""
