@@ -88,7 +88,7 @@ def walk_arrays(nodes: list[Node], n_bins: int) -> dict[int, dict]:
                 key = 0 if b <= x.cut else 1
                 if key in x.children:
                     child[i, b + 1] = at[x.children[key]]
-        trees[t] = {"feature": feature, "child": child, "depth": max(x.depth for x in own), "node": np.array([x.node for x in own], np.int64)}
+        trees[t] = {"feature": feature, "child": child, "depth": own[-1].depth, "node": np.array([x.node for x in own], np.int64)}
     return trees
 
 
@@ -303,6 +303,7 @@ class Horizontal(Dense):
         k = I.n_stats(spec.task, self.n_classes)
         ddl = "tree int, node bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in I.stat_names(k))
         part = self.rows.mapInArrow(_named(_block_histogram(sent, spec.task, self.n_classes, spec.n_bins, spec.seed), names), ddl)
+        part = part.repartition("tree", "node", "feature_id")  # one shuffle, which sums, scores and winning cells all read
         return part.groupBy(*I.CELL).agg(*[F.sum(s).alias(s) for s in I.stat_names(k)])
 
     def advance(self, splits: list[Node]) -> None:
@@ -355,7 +356,8 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
     """Chooses the split of every live node; returns the children. Winning cells come to the driver: they are the model.
     leaves_used: hist has no features that a node's path has used."""
     spark = hist.sparkSession
-    hist = stored(hist, "histogram") if spec.state == "disk" else hist.persist()
+    if spec.state == "disk":
+        hist = stored(hist, "histogram")
     binary = spec.tree == "cart"
     scores = I.binary_gains(hist, spec.task, n_classes) if binary else I.gains(hist, spec.task, n_classes)
     criterion = "gain" if binary else spec.criterion
@@ -370,27 +372,24 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
     best = best.select("tree", "node", "feature_id", cut.alias("cut"), F.col(criterion).alias("score"))
     names = I.stat_names(I.n_stats(spec.task, n_classes))
     cells = hist.join(F.broadcast(best), ["tree", "node", "feature_id"]).toArrow()  # one best per live node of a tree group
-    if spec.state != "disk":
-        hist.unpersist()
-    cells = cells.sort_by([(c, "ascending") for c in ("tree", "node", "bin")])
+    weight = np.add.reduce([cells[c].to_numpy() for c in (names if spec.task == "classification" else names[:1])])
+    cells = cells.filter(pa.array(weight > 0)).sort_by([(c, "ascending") for c in ("tree", "node", "bin")])
     tree, node, bins, feature, score, cuts = (cells[c].to_pylist() for c in ("tree", "node", "bin", "feature_id", "score", "cut"))
     stats = np.column_stack([cells[c].to_numpy() for c in names]).tolist() if len(tree) else []
     first: dict = {}
-    for i, key in enumerate(zip(tree, node, strict=True)):
-        first.setdefault(key, i)
+    starts = [i for i in range(len(tree)) if not i or node[i] != node[i - 1] or tree[i] != tree[i - 1]]
+    for i, end in zip(starts, [*starts[1:], len(tree)], strict=True):
+        first[tree[i], node[i]] = i, end
     children = []
     for x in live:
-        at = first.get((x.tree, x.node))
-        if at is None:
+        at, end = first.get((x.tree, x.node), (0, 0))
+        if at == end:
             continue
         cut = cuts[at]
         merged: dict[int, list[float]] = {}
-        for i in range(at, len(tree)):
-            if node[i] != x.node or tree[i] != x.tree:
-                break
+        for i in range(at, end):
             key = bins[i] if cut is None else (0 if bins[i] <= cut else 1)
             merged[key] = [a + b for a, b in zip(merged[key], stats[i], strict=True)] if key in merged else stats[i]
-        merged = {b: s for b, s in merged.items() if (sum(s) if spec.task == "classification" else s[0]) > 0}
         x.score = score[at]
         if len(merged) < 2:
             continue
@@ -404,8 +403,10 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
 
 
 def _open(x: Node, candidates: dict[int, list[int]], spec: ForestSpec) -> bool:
-    left = spec.tree == "cart" or any(f not in x.used for f in candidates[x.tree])
-    return x.depth < spec.max_depth and x.n(spec.task) >= spec.min_rows and not x.pure(spec.task) and left
+    def left() -> bool:
+        return spec.tree == "cart" or any(f not in x.used for f in candidates[x.tree])
+
+    return x.depth < spec.max_depth and x.n(spec.task) >= spec.min_rows and not x.pure(spec.task) and left()
 
 
 def grow(source, roots: list[Node], candidates: dict[int, list[int]], spec: ForestSpec, n_classes: int, first: DataFrame | None = None) -> list[Node]:

@@ -3,7 +3,7 @@
 from __future__ import annotations
 
 import pickle
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -11,11 +11,12 @@ from pyspark.sql import functions as F
 from ..session import stored
 from ..plans.cost import choose_layout
 from . import growth as G
+from .alike import oob_accuracy
 from .binning import BinRule, binned, fit_bins, spec_frame
 from .layout import to_slices
 from .sampling import draw_weights, draws, partition_weights
 from .spec import ForestSpec
-from .voting import attach_weights, forest_predict, oob_counts, tree_accuracy, tree_predict, vote, vote_regression
+from .voting import attach_weights, forest_predict, oob_counts, tree_accuracy, tree_predict, tree_tables, vote, vote_regression
 
 NODE_DDL = "tree int, node bigint, parent bigint, depth int, in_bin int, feature_id int, cut int, is_leaf boolean, n double, stats array<double>, score double, prediction double, children map<int,bigint>"
 
@@ -39,6 +40,7 @@ class Forest:
     node_list: list[G.Node]
     selected_rows: list[tuple]
     stats_rows: list[tuple]
+    held: list = field(default_factory=list, repr=False, compare=False)  # the number of nodes and their tables
 
     @property
     def nodes(self) -> DataFrame:
@@ -67,10 +69,16 @@ class Forest:
             out = out.withColumn("target", coded(F.col("target"), self.classes))
         return out
 
-    def predict(self, rows: DataFrame, first: int | None = None) -> DataFrame:
-        """row_id, prediction, score for binned rows, by the first trees only if asked."""
-        nodes = [x for x in self.node_list if first is None or x.tree < first]
-        return forest_predict(rows, nodes, self.spec.n_bins, self.spec.task, self.accuracy_of(), max(1, len(self.classes)), self.spec.normalise)
+    def tables(self) -> tuple[dict, dict]:
+        """The trees as arrays and their nodes' values, made once."""
+        if not self.held or self.held[0] is not self.node_list or self.held[1] != len(self.node_list):
+            self.held[:] = self.node_list, len(self.node_list), tree_tables(self.node_list, self.spec.n_bins, self.spec.task)
+        return self.held[2]
+
+    def predict(self, rows: DataFrame, first: int | None = None, with_target: bool = False) -> DataFrame:
+        """row_id, prediction, score (and target) for binned rows, by the first trees only if asked."""
+        tables = tuple({t: x for t, x in part.items() if first is None or t < first} for part in self.tables())
+        return forest_predict(rows, self.node_list, self.spec.n_bins, self.spec.task, self.accuracy_of(), max(1, len(self.classes)), self.spec.normalise, with_target, tables)
 
     def votes(self, rows: DataFrame) -> DataFrame:
         return attach_weights(tree_predict(rows, self.node_list, self.spec.n_bins, self.spec.task), self.tree_stats, self.spec.vote)
@@ -134,8 +142,9 @@ def sample_weights(rows: DataFrame, trees: list[int], spec: ForestSpec) -> DataF
     return drawn.join(ids, "at").select("tree", "row_id", "w")
 
 
-def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: ForestSpec, weights: DataFrame | None = None, first_tree: int = 0) -> Forest:
-    """A forest from binned rows (row_id, target, bins); weights: tree, row_id, w in place of drawn ones."""
+def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: ForestSpec, weights: DataFrame | None = None, first_tree: int = 0, alike: DataFrame | None = None) -> Forest:
+    """A forest from binned rows (row_id, target, bins); weights: tree, row_id, w in place of drawn ones; alike: the same
+    rows put together, with the weights drawn for these trees, which gives the same trees (classifiers, by rows)."""
     spark = rows.sparkSession
     n_features = len(rules)
     spec = spec.sized(n_features)
@@ -144,12 +153,14 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
         best, _ = choose_layout(rows.count(), n_features + 1, spec.n_trees, 2**spec.max_depth, spec.n_bins + 1, n_classes, spec.n_selected, spec.max_depth, int(spark.conf.get("spark.sql.shuffle.partitions")))
         spec = spec.but(layout=best if spec.n_bins < 255 or best != "blocks" else "horizontal")
     given = weights is not None
+    if alike is not None and (given or spec.task != "classification" or spec.layout != "horizontal" or (spec.sampling, spec.sampling_scope) != ("poisson", "global")):
+        raise ValueError("rows put together serve classifiers by rows with functional weights")
     nodes: list[G.Node] = []
     selected: list[tuple] = []
     blocks = stored(G.pack_rows(rows), "blocks") if spec.layout == "blocks" else None
     for lo in range(first_tree, first_tree + spec.n_trees, spec.tree_group):
         trees = list(range(lo, min(lo + spec.tree_group, first_tree + spec.n_trees)))
-        own = weights if given else sample_weights(rows, trees, spec)
+        own = weights if given else None if alike is not None else sample_weights(rows, trees, spec)
         if own is not None:
             own = stored(own.where(F.col("tree").isin(trees)), "weights")
         if spec.layout == "vertical":
@@ -159,12 +170,19 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
             source = G.Vertical(stored(to_slices(rows), "slices"), w, spec, n_classes)
         else:
             packed = spec.layout == "blocks" and own is None  # stored weights stay beside their rows
-            source = G.Horizontal(blocks if packed else G.weighted_rows(rows, trees, spec, own), spec, n_classes)
+            if alike is not None:
+                own_rows = alike.select("row_id", "target", "bins", *[f"w{t}" for t in trees])
+            else:
+                own_rows = blocks if packed else G.weighted_rows(rows, trees, spec, own)
+            source = G.Horizontal(own_rows, spec, n_classes)
         roots, candidates, chosen, first = G.reduced_roots(source, trees, n_features, spec, n_classes)
         selected += chosen
         nodes += G.grow(source, roots, candidates, spec, n_classes, first)
     out = Forest(spark, spec, rules, classes, nodes, selected, [])
-    out.stats_rows = oob_stats(out, rows, weights if given else None)
+    if alike is not None:
+        out.stats_rows = [tuple(r) for r in oob_accuracy(alike, out.tables()).orderBy("tree").collect()]  # a row per tree
+    else:
+        out.stats_rows = oob_stats(out, rows, weights if given else None)
     return out
 
 

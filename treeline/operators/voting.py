@@ -18,8 +18,14 @@ cloudpickle.register_pickle_by_value(sys.modules[__name__])
 
 def tree_tables(nodes: list[Node], n_bins: int, task: str) -> tuple[dict[int, dict], dict[int, np.ndarray]]:
     trees = walk_arrays(nodes, n_bins)
-    by = {(x.tree, x.node): x.prediction(task) for x in nodes}
-    return trees, {t: np.array([by[t, int(n)] for n in a["node"]]) for t, a in trees.items()}
+    by: dict[int, list[Node]] = {}
+    for x in sorted(nodes, key=lambda x: (x.depth, x.node)):
+        by.setdefault(x.tree, []).append(x)
+    values = {}
+    for t in trees:
+        s = np.array([x.stats for x in by[t]], float)
+        values[t] = s.argmax(axis=1).astype(float) if task == "classification" else np.array([x.prediction(task) for x in by[t]])
+    return trees, values
 
 
 def tree_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, oob_seed: int | None = None) -> DataFrame:
@@ -117,9 +123,10 @@ def vote_regression(votes: DataFrame, normalise: bool = True) -> DataFrame:
     return votes.groupBy("row_id").agg(F.when(under > 0, top / under).alias("prediction"))
 
 
-def forest_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, weights: dict[int, float], n_classes: int, normalise: bool = True) -> DataFrame:
-    """row_id, prediction, score in one pass: votes are added up within the row, nothing is shuffled."""
-    trees, values = tree_tables(nodes, n_bins, task)
+def forest_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, weights: dict[int, float], n_classes: int, normalise: bool = True, with_target: bool = False, tables: tuple[dict, dict] | None = None) -> DataFrame:
+    """row_id, prediction, score (and target if asked) in one pass: votes are added up within the row, nothing is
+    shuffled. tables: those of tree_tables, if they are made already."""
+    trees, values = tree_tables(nodes, n_bins, task) if tables is None else tables
     sent = rows.sparkSession.sparkContext.broadcast((trees, values, weights))
 
     def run(batches):
@@ -140,6 +147,10 @@ def forest_predict(rows: DataFrame, nodes: list[Node], n_bins: int, task: str, w
                     top += weights.get(t, 0.0) * v[slots(trees[t], bins)]
                 under = total if normalise else len(values)
                 p, score = top / under if under else top, np.full(len(row), total)
-            yield pa.RecordBatch.from_pydict({"row_id": pa.array(row), "prediction": pa.array(p), "score": pa.array(score)})
+            out = {"row_id": pa.array(row), "prediction": pa.array(p), "score": pa.array(score)}
+            if with_target:
+                out["target"] = batch.column("target")
+            yield pa.RecordBatch.from_pydict(out)
 
-    return rows.mapInArrow(run, "row_id bigint, prediction double, score double")
+    kind = rows.schema["target"].dataType.simpleString() if with_target else ""
+    return rows.mapInArrow(run, "row_id bigint, prediction double, score double" + f", target {kind}" * with_target)
