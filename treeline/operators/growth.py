@@ -303,7 +303,6 @@ class Horizontal(Dense):
         k = I.n_stats(spec.task, self.n_classes)
         ddl = "tree int, node bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in I.stat_names(k))
         part = self.rows.mapInArrow(_named(_block_histogram(sent, spec.task, self.n_classes, spec.n_bins, spec.seed), names), ddl)
-        part = part.repartition("tree", "node", "feature_id")  # one shuffle, which sums, scores and winning cells all read
         return part.groupBy(*I.CELL).agg(*[F.sum(s).alias(s) for s in I.stat_names(k)])
 
     def advance(self, splits: list[Node]) -> None:
@@ -356,8 +355,7 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
     """Chooses the split of every live node; returns the children. Winning cells come to the driver: they are the model.
     leaves_used: hist has no features that a node's path has used."""
     spark = hist.sparkSession
-    if spec.state == "disk":
-        hist = stored(hist, "histogram")
+    hist = stored(hist, "histogram") if spec.state == "disk" else hist.persist()
     binary = spec.tree == "cart"
     scores = I.binary_gains(hist, spec.task, n_classes) if binary else I.gains(hist, spec.task, n_classes)
     criterion = "gain" if binary else spec.criterion
@@ -372,6 +370,8 @@ def _split_level(hist: DataFrame, live: list[Node], spec: ForestSpec, n_classes:
     best = best.select("tree", "node", "feature_id", cut.alias("cut"), F.col(criterion).alias("score"))
     names = I.stat_names(I.n_stats(spec.task, n_classes))
     cells = hist.join(F.broadcast(best), ["tree", "node", "feature_id"]).toArrow()  # one best per live node of a tree group
+    if spec.state != "disk":
+        hist.unpersist()
     weight = np.add.reduce([cells[c].to_numpy() for c in (names if spec.task == "classification" else names[:1])])
     cells = cells.filter(pa.array(weight > 0)).sort_by([(c, "ascending") for c in ("tree", "node", "bin")])
     tree, node, bins, feature, score, cuts = (cells[c].to_pylist() for c in ("tree", "node", "bin", "feature_id", "score", "cut"))
