@@ -3,7 +3,8 @@
 Each level is one job: a histogram of (tree, node, feature, bin) for all live nodes, scores, the best split of each
 node, and its children. Only the chosen splits, which are the model, come to the driver. Histograms come from one of
 two layouts: `Horizontal` walks rows down the trees so far and counts in NumPy blocks, so no row-to-node table
-exists; `Vertical` joins per-feature slices with a table of (tree, row, node).
+exists; `Vertical` joins per-feature slices with a table of (tree, row, node), and `VerticalBlocks` does so where both
+are packed by blocks of rows.
 """
 
 from __future__ import annotations
@@ -165,6 +166,21 @@ def gathered(parts, most: int = GATHERED):
         yield joined(held)
 
 
+def kinds_of(bins: np.ndarray, y: np.ndarray, width: int, n_classes: int) -> tuple[np.ndarray, np.ndarray, np.ndarray] | None:
+    """Rows with the same bins and class as one: bins and targets of each kind, and every row's kind. None where there
+    may be more than a quarter as many kinds as rows."""
+    n_features = bins.shape[1]
+    if not n_features or 4 * width**n_features * n_classes > len(y):
+        return None
+    code = y.astype(np.int64)
+    for f in range(n_features):
+        code = code * width + (bins[:, f] + 1)
+    seen = np.bincount(code, minlength=width**n_features * n_classes) > 0
+    kinds = np.flatnonzero(seen)
+    own = np.stack([kinds // width ** (n_features - 1 - f) % width - 1 for f in range(n_features)], axis=1)
+    return own, kinds // width**n_features, (np.cumsum(seen) - 1)[code]
+
+
 def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, held: int = HELD_CELLS):
     """Partial histograms of a task's rows, summed before they leave it as far as memory allows.
 
@@ -198,11 +214,16 @@ def _block_histogram(sent, task: str, n_classes: int, n_bins: int, seed: int, he
                 yield rows(cells)
 
         for row, y, bins, stored_weights in gathered(part for batch in batches for part in decoded(batch)):
+            alike = kinds_of(bins, y, width, k) if task == "classification" and not stored_weights else None
+            if alike:
+                bins, y, kind = alike
             for t, features in candidates.items():
                 w = stored_weights.get(t)
                 w = poisson_numpy(row, t, seed) if w is None else w
+                if alike:
+                    w = np.bincount(kind, w, len(y))
                 number = live[t]
-                node = number[slots(trees[t], bins)] if t in trees else np.zeros(len(row), np.int64)
+                node = number[slots(trees[t], bins)] if t in trees else np.zeros(len(y), np.int64)
                 ok = (w > 0) & (node >= 0)
                 if not ok.any():
                     continue
@@ -342,6 +363,147 @@ class Vertical(Dense):
         return [b for b in range(-1, self.spec.n_bins) if (b <= x.cut) == (key == 0)]
 
 
+#: Cells of a block of slices with its assignments: rows times features and trees.
+BLOCK_CELLS = 2_000_000
+
+
+def pack_slices(rows: DataFrame, block_rows: int, n_classes: int) -> DataFrame:
+    """Slices of binned rows, packed where the rows are: row_block, feature_id, bins (one byte a cell, from 0 for bin -1)
+    and targets; and as feature -1 the block's row ids. Targets that are no class become n_classes."""
+    kind = "<u1" if n_classes < 256 else "<u4"
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        parts = (part[:3] + ({},) for batch in batches for part in decoded(batch))
+        first, number = TaskContext.get().partitionId() << 32, 0
+        for ids, y, bins, _ in gathered(parts):
+            y = y.astype(float)
+            y = np.where((y >= 0) & (y < n_classes), y, n_classes).astype(kind)
+            for at in range(0, len(ids), block_rows):
+                own, targets = slice(at, at + block_rows), y[at : at + block_rows].tobytes()
+                cells = (bins[own] + 1).astype(np.uint8).T
+                n = len(cells)
+                names = ["row_block", "feature_id", "bins", "targets"]
+                cols = [pa.array([first + number] * (n + 1), pa.int64()), pa.array(range(-1, n), pa.int32()), pa.array([ids[own].astype("<i8").tobytes(), *(c.tobytes() for c in cells)], pa.binary()), pa.array([b"", *[targets] * n], pa.binary())]
+                yield pa.RecordBatch.from_arrays(cols, names)
+                number += 1
+
+    return rows.select("row_id", "target", "bins").mapInArrow(run, "row_block bigint, feature_id int, bins binary, targets binary")
+
+
+class VerticalBlocks(Dense):
+    """Vertical for classifiers whose weights are a function of row and tree: slices and assignments are packed by
+    blocks of rows and meet by block, where a row is its place. Nodes of a tree go by number, 0 for rows that are out."""
+
+    ASSIGNED = "tree int, row_block bigint, w binary, nodes binary"
+
+    def __init__(self, rows: DataFrame, trees: list[int], spec: ForestSpec, n_classes: int, n_features: int):
+        self.spec, self.n_classes = spec, n_classes
+        packed = stored(pack_slices(rows, max(1, BLOCK_CELLS // (n_features + len(trees))), n_classes), "slices")
+        self.slices = packed.where("feature_id >= 0")
+        self.numbers = {t: {0: 1} for t in trees}
+        seed = spec.seed
+
+        def draw(batches):
+            for batch in batches:
+                for block, ids in zip(batch.column("row_block").to_pylist(), batch.column("bins").to_pylist(), strict=True):
+                    for t in trees:
+                        w = poisson_numpy(np.frombuffer(ids, "<i8"), t, seed).astype(np.uint8)
+                        cols = [pa.array([t], pa.int32()), pa.array([block], pa.int64()), pa.array([w.tobytes()], pa.binary()), pa.array([(w > 0).astype("<u2").tobytes()], pa.binary())]
+                        yield pa.RecordBatch.from_arrays(cols, ["tree", "row_block", "w", "nodes"])
+
+        ids = packed.where("feature_id = -1").select("row_block", "bins")
+        self.assigned, self.kind = stored(ids.mapInArrow(draw, self.ASSIGNED), "assigned"), "<u2"
+
+    def _met(self, features: dict[int, list[int]], run, ddl: str) -> DataFrame:
+        """What run makes of each block's slices of the trees' features and its assignments of these trees."""
+        slices = self.slices.where(F.col("feature_id").isin(sorted({f for fs in features.values() for f in fs})))
+        rows = self.assigned.where(F.col("tree").isin(sorted(features)))
+        return slices.groupBy("row_block").cogroup(rows.groupBy("row_block")).applyInArrow(run, ddl)
+
+    def histogram(self, nodes: list[Node], live: list[Node], candidates: dict[int, list[int]]) -> DataFrame:
+        """Only slices of wanted features are read, and only open nodes' rows are counted."""
+        k, width, spec, kind = self.n_classes, self.spec.n_bins + 1, self.spec, self.kind
+        names = I.stat_names(k)
+        by: dict[int, list[int]] = {}
+        for x in live:
+            by.setdefault(x.tree, []).append(x.node)
+        place = {t: np.full(max(self.numbers[t].values()) + 1, -1, np.int64) for t in by}
+        for t, own in by.items():
+            place[t][[self.numbers[t][n] for n in own]] = np.arange(len(own))
+        wanted = {t: sorted(candidates[t]) for t in by}
+        sent = self.slices.sparkSession.sparkContext.broadcast(({t: np.array(own, np.int64) for t, own in by.items()}, place, wanted))
+        targets_kind = "<u1" if k < 256 else "<u4"
+
+        def count(slices: pa.Table, assigned: pa.Table) -> pa.Table:
+            ids, place, wanted = sent.value
+            found = {f: (b, y) for f, b, y in zip(*(slices[c].to_pylist() for c in ("feature_id", "bins", "targets")), strict=True)}
+            out = []
+            for t, w, at in zip(*(assigned[c].to_pylist() for c in ("tree", "w", "nodes")), strict=True):
+                node = place[t][np.frombuffer(at, kind)]
+                rows = np.flatnonzero(node >= 0)
+                if not len(rows):
+                    continue
+                node, w = node[rows] * (width * k), np.frombuffer(w, np.uint8)[rows].astype(float)
+                n_cells = len(ids[t]) * width
+                for f in wanted[t]:
+                    y = np.frombuffer(found[f][1], targets_kind)[rows]
+                    code, own = node + np.frombuffer(found[f][0], np.uint8)[rows] * np.int64(k) + y, w
+                    if not (known := y < k).all():
+                        code, own = code[known], w[known]
+                    if n_cells > 8 * len(code):
+                        seen, code = np.unique(code // k, return_inverse=True), code % k
+                        cells, part = seen[0], np.bincount(seen[1] * k + code, weights=own, minlength=len(seen[0]) * k).reshape(-1, k)
+                    else:
+                        part = np.bincount(code, weights=own, minlength=n_cells * k).reshape(-1, k)
+                        cells = np.flatnonzero(part.any(axis=1))
+                        part = part[cells]
+                    out.append((np.full(len(cells), t, np.int32), ids[t][cells // width], np.full(len(cells), f, np.int32), (cells % width - 1).astype(np.int32), *part.T))
+            cols = [np.concatenate(c) for c in zip(*out, strict=True)] if out else [np.zeros(0, d) for d in (np.int32, np.int64, np.int32, np.int32, *[float] * k)]
+            return pa.table([pa.array(c) for c in cols], [*I.CELL, *names])
+
+        part = self._met(wanted, count, "tree int, node bigint, feature_id int, bin int, " + ", ".join(f"{s} double" for s in names))
+        return part.groupBy(*I.CELL).agg(*[F.sum(s).alias(s) for s in names])
+
+    def advance(self, splits: list[Node]) -> None:
+        """Rows of split nodes move to the child of their bin; rows of leaves drop out."""
+        by: dict[int, list[Node]] = {}
+        for x in splits:
+            by.setdefault(x.tree, []).append(x)
+        numbers = {t: {c: i + 1 for i, c in enumerate(c for x in own for c in x.children.values())} for t, own in by.items()}
+        old, kind = self.kind, "<u2" if max(len(n) for n in numbers.values()) < 2**16 else "<u4"
+        step: dict[int, dict[int, np.ndarray]] = {}  # tree -> feature -> child by node and bin
+        for t, own in by.items():
+            size = max(self.numbers[t].values()) + 1, self.spec.n_bins + 1
+            for x in own:
+                table = step.setdefault(t, {}).setdefault(x.feature_id, np.zeros(size, kind))
+                for key, c in x.children.items():
+                    for b in bins_of(x, key, self.spec.n_bins):
+                        table[self.numbers[t][x.node], b + 1] = numbers[t][c]
+        sent = self.slices.sparkSession.sparkContext.broadcast(step)
+
+        def move(slices: pa.Table, assigned: pa.Table) -> pa.Table:
+            step = sent.value
+            bins = {f: np.frombuffer(b, np.uint8) for f, b in zip(slices["feature_id"].to_pylist(), slices["bins"].to_pylist(), strict=True)}
+            moved = []
+            for t, at in zip(assigned["tree"].to_pylist(), assigned["nodes"].to_pylist(), strict=True):
+                node = np.frombuffer(at, old)
+                child = np.zeros(len(node), kind)
+                for f, table in step[t].items():
+                    child += table[node, bins[f]]  # a node is split by one feature
+                moved.append(child.tobytes())
+            return assigned.set_column(assigned.schema.get_field_index("nodes"), "nodes", pa.array(moved, pa.binary()))
+
+        moved = self._met({t: list(tables) for t, tables in step.items()}, move, self.ASSIGNED)
+        self.assigned, self.numbers, self.kind = stored(moved, "assigned"), numbers, kind
+
+
+def bins_of(x: Node, key: int, n_bins: int) -> list[int]:
+    """The bins that lead to a node's child."""
+    return [key] if x.cut is None else [b for b in range(-1, n_bins) if (b <= x.cut) == (key == 0)]
+
+
 def node_features(scores: DataFrame, m: int, seed: int) -> DataFrame:
     """Only m features of each node, by a hash of (feature, tree, node)."""
     from pyspark.sql import Window

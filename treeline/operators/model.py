@@ -16,7 +16,7 @@ from .binning import BinRule, binned, fit_bins, spec_frame
 from .layout import to_slices
 from .sampling import draw_weights, draws, partition_weights
 from .spec import ForestSpec
-from .voting import attach_weights, forest_predict, oob_counts, tree_accuracy, tree_predict, tree_tables, vote, vote_regression
+from .voting import attach_weights, forest_predict, oob_by_tree, oob_counts, tree_accuracy, tree_predict, tree_tables, vote, vote_regression
 
 NODE_DDL = "tree int, node bigint, parent bigint, depth int, in_bin int, feature_id int, cut int, is_leaf boolean, n double, stats array<double>, score double, prediction double, children map<int,bigint>"
 
@@ -163,7 +163,9 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
         own = weights if given else None if alike is not None else sample_weights(rows, trees, spec)
         if own is not None:
             own = stored(own.where(F.col("tree").isin(trees)), "weights")
-        if spec.layout == "vertical":
+        if spec.layout == "vertical" and own is None and spec.task == "classification" and spec.sampling == "poisson" and spec.n_bins < 255:
+            source = G.VerticalBlocks(rows, trees, spec, n_classes, n_features)
+        elif spec.layout == "vertical":
             w = own if own is not None else G.functional_weights(rows, trees, spec.seed)
             if spec.sampling == "copied":
                 w = w.withColumn("w", F.explode(F.sequence(F.lit(1), F.col("w").cast("int")))).withColumn("w", F.lit(1))
@@ -189,6 +191,8 @@ def fit_binned(rows: DataFrame, rules: list[BinRule], classes: list, spec: Fores
 def oob_stats(forest: Forest, rows: DataFrame, weights: DataFrame | None) -> list[tuple]:
     spec = forest.spec
     if weights is None and spec.sampling == "poisson" and spec.sampling_scope == "global":
+        if spec.task == "classification":
+            return [tuple(r) for r in oob_by_tree(rows, forest.tables(), spec.seed).orderBy("tree").collect()]  # a row per tree
         votes = forest.oob_votes(rows)
     else:
         if weights is None:

@@ -75,6 +75,27 @@ def oob_counts(rows: DataFrame, nodes: list[Node], n_bins: int, n_classes: int,
     return part.groupBy("first_t", "target").agg(F.sum("right").alias("right"), F.sum("rows").alias("rows"))
 
 
+def oob_by_tree(rows: DataFrame, tables: tuple[dict, dict], seed: int) -> DataFrame:
+    """tree, oob_rows, oob_correct, ca of a classifier's trees on rows that they have not drawn, counted in the tasks."""
+    sent = rows.sparkSession.sparkContext.broadcast(tables)
+
+    def run(batches):
+        trees, values = sent.value
+        count = {t: [0, 0] for t in sorted(values)}
+        for batch in batches:
+            bins, row, y = bins_matrix(batch), np.asarray(batch.column("row_id")), np.asarray(batch.column("target"), dtype=float)
+            for t in count if len(row) else []:
+                at = np.flatnonzero(poisson_numpy(row, t, seed) == 0)
+                count[t][0] += len(at)
+                count[t][1] += int((values[t][slots(trees[t], bins[at])] == y[at]).sum())
+        out = [(t, n, right) for t, (n, right) in count.items() if n]
+        yield pa.RecordBatch.from_arrays([pa.array([r[i] for r in out], kind) for i, kind in enumerate((pa.int32(), pa.int64(), pa.int64()))], ["tree", "oob_rows", "oob_correct"])
+
+    part = rows.select("row_id", "target", "bins").mapInArrow(run, "tree int, oob_rows bigint, oob_correct bigint")
+    out = part.groupBy("tree").agg(F.sum("oob_rows").alias("oob_rows"), F.sum("oob_correct").alias("oob_correct"))
+    return out.withColumn("ca", F.col("oob_correct") / F.col("oob_rows"))
+
+
 def tree_predict_joins(rows: DataFrame, nodes: DataFrame, max_depth: int) -> DataFrame:
     """The same by joins with the node table (tree, node, parent, in_bin, feature_id, is_leaf, prediction), one for
     each level; for node tables too large to send, and to check the other way."""
